@@ -1,0 +1,6 @@
+"""Queries and their SQL, side by side."""
+
+from __future__ import annotations
+
+QUERIES: dict = {}
+SQL: dict[str, str] = {}
