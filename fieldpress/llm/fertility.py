@@ -43,7 +43,7 @@ class Band:
 
 #: Bands by script, for the 32k piece vocabulary; wide enough for any ordinary prose.
 SCRIPT_BANDS = {
-    "latin": Band((1.25, 8.0), 0.10, 3.5),
+    "latin": Band((1.5, 8.0), 0.10, 4.0),
     "cyrillic": Band((0.9, 6.0), 0.20, 3.5),
     "greek": Band((0.5, 5.0), 0.60, 3.5),
     "cjk": Band((0.25, 3.0), 0.90, 3.5),
