@@ -47,6 +47,58 @@ def op6_factorisation_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return got.select("doc_id", (crc_bucket("doc_id", 4) == 2).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
 
 
-QUERIES = {f.__name__: f for f in (op1_fertility, op3_byte_bpe, op4_rank_order_langid, op6_factorisation_quality)}
+def op2_licence_dice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import licences
 
-SQL: dict[str, str] = {}
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
+#: The rules that the contract of op5 fixes.
+URL_RULES = [("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/")]
+
+
+def op5_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import hosts
+
+    pages = table(spark, sf_dir, "pages")
+    return hosts.judge(pages, hosts.count_outcomes(pages), URL_RULES)
+
+
+def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import simhash
+
+    return simhash.near_duplicates(table(spark, sf_dir, "documents"))
+
+
+def op8_weak_supervision_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import pii
+
+    return pii.find(table(spark, sf_dir, "documents"))
+
+
+def op9_line_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import lines
+
+    out = lines.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"), counts=("n_lines", "n_removed"))
+    return out.select("doc_id", "n_lines", "n_removed", F.sha2("text", 256).alias("text_sha256"))
+
+
+def op10_prefix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from . import contamination
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    got = contamination.contaminated(docs, table(spark, sf_dir, "benchmark"))
+    return got.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), "contaminated")
+
+
+_ALL = (op1_fertility, op2_licence_dice, op3_byte_bpe, op4_rank_order_langid, op5_host_reputation, op6_factorisation_quality, op7_simhash, op8_weak_supervision_pii, op9_line_windows, op10_prefix_decontamination)
+QUERIES = {f.__name__: f for f in _ALL}
+
+
+def _sql() -> dict[str, str]:
+    from . import contamination, licences, lines
+
+    return {"op2_licence_dice": licences.sql(), "op9_line_windows": lines.sql(), "op10_prefix_decontamination": contamination.SQL}
+
+
+SQL: dict[str, str] = _sql()
