@@ -18,8 +18,10 @@ from __future__ import annotations
 
 import math
 import zlib
+from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -188,29 +190,16 @@ def _score_batch(machine: Machine, n_meta: int, bits: int, id_name: str):
 
 def keep_good(docs: DataFrame, machine: Machine, threshold: float, *, text_col: str = "text", metadata: tuple[str, ...] = (), bits: int = BITS) -> DataFrame:
     """The rows of docs with a score of at least ``threshold``, with all their columns and no shuffle."""
-    from collections.abc import Iterator
-
-    import pandas as pd
-
     (name,) = unused(docs, "quality_score")
     n_meta = len(metadata)
 
     @F.pandas_udf("double")
-    def marks(cols: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.Series]:
+    def marks(batches: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.Series]:
         feats = Features(bits, n_meta)
-        for texts, *meta in cols:
-            found = [machine.margin(*feats(t, tuple(None if pd.isna(m.iloc[i]) else float(m.iloc[i]) for m in meta))) for i, t in enumerate(texts)]
+        for texts, *meta in batches:
+            found = [machine.margin(*feats(t, tuple(None if pd.isna(x) else float(x) for x in m))) for t, *m in zip(texts, *meta[:n_meta])]
             yield pd.Series(1 / (1 + np.exp(-np.clip(np.array(found, float), -30, 30))))
 
-    cols = [F.col(text_col), *[F.col(m).cast("double") for m in metadata]] if metadata else [F.col(text_col), F.lit(None).cast("double")]
-    if not metadata:
-
-        @F.pandas_udf("double")
-        def marks(texts: Iterator[pd.Series]) -> Iterator[pd.Series]:  # noqa: F811
-            feats = Features(bits, 0)
-            for some in texts:
-                found = [machine.margin(*feats(t)) for t in some]
-                yield pd.Series(1 / (1 + np.exp(-np.clip(np.array(found, float), -30, 30))))
-
-        cols = cols[:1]
+    # a second column even without metadata: the iterator then always holds tuples
+    cols = [F.col(text_col), *([F.col(m).cast("double") for m in metadata] or [F.lit(0.0)])]
     return docs.withColumn(name, marks(*cols)).filter(F.col(name) >= threshold).drop(name)
