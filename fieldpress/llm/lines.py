@@ -60,7 +60,7 @@ def covered(docs: DataFrame, **kw) -> DataFrame:
     place = place.cast("decimal(31,0)")
     repeated = found.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n"), F.min(place).alias("first")).filter(F.col("n") > 1).select("k1", "k2", "first")
     repeated = written(repeated, "repeated-windows")
-    later = found.join(F.broadcast(repeated) if small(repeated) else repeated, ["k1", "k2"]).filter(place > F.col("first"))
+    later = found.join(repeated, ["k1", "k2"]).filter(place > F.col("first"))
     starts = later.groupBy("id", "tid").agg(F.collect_set("pos").alias("starts"))
     return written(starts.select("id", "tid", F.array_sort(F.array_distinct(F.flatten(F.transform("starts", lambda p: F.array(p, p + 1, p + 2))))).alias("covered")), "covered-lines")
 
