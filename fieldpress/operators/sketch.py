@@ -138,7 +138,7 @@ def mixed_leverage(points: DataFrame, model: FunctionalTucker, kind: str = "dft"
     """blk, out, lev: leverage of every mixed row. The Gram matrix is that of the rows before mixing, which is unitary."""
     g, _, _, _ = moments(points, model)
     t, r = triangular(g), model.R
-    rows = mixed_rows(points, model, 1.1, kind, b, seed=seed)
+    rows = mixed_rows(points, model, float("inf"), kind, b, seed=seed)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

@@ -55,7 +55,7 @@ def multiwavelet_gram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows(spark, [(s.tag, s.size, bool(np.abs(B.gram(s) - np.eye(s.size)).max() < 1e-10)) for s in specs], "space string, n int, orthonormal boolean")
 
 
-_HAAR_X = "x AS (SELECT p_partkey AS pk, (p_partkey - 0.5::DOUBLE) / 64 AS x FROM part WHERE p_partkey <= 64)"
+_HAAR_X = "x AS (SELECT p_partkey AS pk, (p_partkey + 0.5::DOUBLE) / 64 AS x FROM part WHERE p_partkey < 64)"
 
 
 @query(
@@ -63,9 +63,9 @@ _HAAR_X = "x AS (SELECT p_partkey AS pk, (p_partkey - 0.5::DOUBLE) / 64 AS x FRO
     f"SELECT pk, f, {qs('v', 9)} AS v FROM b"
 )
 def haar_eval(spark: SparkSession, sf_dir: str) -> DataFrame:
-    x = (np.arange(1, 65) - 0.5) / 64
+    x = (np.arange(64) + 0.5) / 64
     phi = B.evaluate_matrix(x, multiwavelet(3, 0))
-    return rows(spark, [(i + 1, f, float(v)) for (i, f), v in np.ndenumerate(phi)], "pk long, f int, v double").select("pk", "f", q("v", 9).alias("v"))
+    return rows(spark, [(i, f, float(v)) for (i, f), v in np.ndenumerate(phi)], "pk long, f int, v double").select("pk", "f", q("v", 9).alias("v"))
 
 
 # -- least squares on the sawtooth ------------------------------------------------------------------
@@ -76,14 +76,14 @@ def _saw(spark: SparkSession, sf_dir: str) -> tuple[np.ndarray, np.ndarray]:
     return pdf["c1"].to_numpy(), pdf["u"].to_numpy()
 
 
-SAW = "p AS (SELECT p_partkey AS pk, (p_partkey - 1) / (SELECT greatest(count(*) - 1, 1)::DOUBLE FROM part) AS x, p_retailprice AS u FROM part), c AS (SELECT *, least(floor(x * 8), 7)::INTEGER AS cell FROM p)"
+SAW = "p AS (SELECT p_partkey AS pk, p_partkey / (SELECT greatest(count(*) - 1, 1)::DOUBLE FROM part) AS x, p_retailprice AS u FROM part), c AS (SELECT *, least(floor(x * 8), 7)::INTEGER AS cell FROM p)"
 
 
-def _fitted(spark: SparkSession, sf_dir: str, spec) -> DataFrame:
+def _fitted(spark: SparkSession, sf_dir: str, spec, k: int = 4) -> DataFrame:
     x, u = _saw(spark, sf_dir)
     phi = B.evaluate_matrix(x, spec)
     got = phi @ S.ols(phi, u)
-    return rows(spark, [(i + 1, float(v)) for i, v in enumerate(got)], "pk long, v double").select("pk", q("v", 4).alias("v"))
+    return rows(spark, [(i, float(v)) for i, v in enumerate(got)], "pk long, v double").select("pk", q("v", k).alias("v"))
 
 
 @query(f"WITH {SAW} SELECT pk, {qs('avg(u) OVER (PARTITION BY cell)', 4)} AS v FROM c")
@@ -120,25 +120,25 @@ def poly_fit_deg1(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(
     f"WITH {SAW}, m AS (SELECT count(*)::DOUBLE AS n, sum(x) AS s1, sum(x*x) AS s2, sum(x*x*x) AS s3, sum(x*x*x*x) AS s4, sum(u) AS t0, sum(x*u) AS t1, sum(x*x*u) AS t2 FROM p), d AS (SELECT *, n*(s2*s4-s3*s3) - s1*(s1*s4-s2*s3) + s2*(s1*s3-s2*s2) AS det FROM m), "
     "r AS (SELECT (t0*(s2*s4-s3*s3) - s1*(t1*s4-s3*t2) + s2*(t1*s3-s2*t2))/det AS a, (n*(t1*s4-s3*t2) - t0*(s1*s4-s2*s3) + s2*(s1*t2-t1*s2))/det AS b, (n*(s2*t2-t1*s3) - s1*(s1*t2-t1*s2) + t0*(s1*s3-s2*s2))/det AS c FROM d) "
-    f"SELECT pk, {qs('a + b * x + c * x * x', 3)} AS v FROM p, r"
+    f"SELECT pk, {qs('a + b * x + c * x * x', 5)} AS v FROM p, r"
 )
 def poly_fit_deg2(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _fitted(spark, sf_dir, legendre(2)).select("pk", q("v", 3).alias("v"))
+    return _fitted(spark, sf_dir, legendre(2), 5)
 
 
 # -- sparse fits on an orthonormal Haar design -------------------------------------------------------
 
 #: Coefficients c of 64 integers on the 64 Haar functions, scaled so that the design is orthonormal.
 HAAR = (
-    "x AS (SELECT p_partkey AS pk, (p_partkey - 0.5::DOUBLE) / 64 AS x FROM part WHERE p_partkey <= 64), z AS (SELECT pk, x, ((pk * 37) % 101)::DOUBLE AS z FROM x), "
+    "x AS (SELECT p_partkey AS pk, (p_partkey + 0.5::DOUBLE) / 64 AS x FROM part WHERE p_partkey < 64), z AS (SELECT pk, x, ((pk * 37) % 101)::DOUBLE AS z FROM x), "
     "b AS (SELECT pk, z, 0 AS f, 1.0::DOUBLE AS v FROM z UNION ALL SELECT pk, z, (pow(2, l) + n)::INTEGER AS f, CASE WHEN floor(x * pow(2, l)) <> n THEN 0.0::DOUBLE WHEN x * pow(2, l) - n < 0.5 THEN sqrt(pow(2, l)) ELSE -sqrt(pow(2, l)) END AS v FROM z, (SELECT l, unnest(range(pow(2, l)::BIGINT)) AS n FROM unnest(range(6)) t(l)) g), "
     "c AS (SELECT f, sum(v * z) / 8 AS c FROM b GROUP BY f)"
 )
 
 
 def _haar() -> tuple[np.ndarray, np.ndarray]:
-    pk = np.arange(1, 65)
-    return B.evaluate_matrix((pk - 0.5) / 64, multiwavelet(6, 0)) / 8, ((pk * 37) % 101).astype(float)
+    pk = np.arange(64)
+    return B.evaluate_matrix((pk + 0.5) / 64, multiwavelet(6, 0)) / 8, ((pk * 37) % 101).astype(float)
 
 
 def _coefs(spark: SparkSession, c: np.ndarray, k: int = 6) -> DataFrame:

@@ -80,10 +80,10 @@ def saw_points(spark: SparkSession, sf_dir: str) -> DataFrame:
     """part's price, a sawtooth over the key, on one unit axis."""
     part = tables.table(spark, sf_dir, "part").select("p_partkey", "p_retailprice")
     n = part.count()
-    return part.select(F.col("p_partkey").cast("string").alias("pt_key"), ((F.col("p_partkey") - 1) / F.lit(float(max(n - 1, 1)))).alias("c1"), F.col("p_retailprice").alias("u"))
+    return part.select(F.col("p_partkey").cast("string").alias("pt_key"), (F.col("p_partkey") / F.lit(float(max(n - 1, 1)))).alias("c1"), F.col("p_retailprice").alias("u"))
 
 
-SAW = "p AS (SELECT p_partkey::VARCHAR AS pt_key, (p_partkey - 1) / (SELECT greatest(count(*) - 1, 1)::DOUBLE FROM part) AS c1, p_retailprice AS u FROM part)"
+SAW = "p AS (SELECT p_partkey::VARCHAR AS pt_key, p_partkey / (SELECT greatest(count(*) - 1, 1)::DOUBLE FROM part) AS c1, p_retailprice AS u FROM part)"
 
 
 @query(f"WITH {SAW}, {corners_sql('p', (9,))}, m AS (SELECT i1, sum(w) AS s0, sum(w * a1) AS s1, sum(w * a1 * a1) AS s2, sum(w * u) AS t0, sum(w * a1 * u) AS t1 FROM corners GROUP BY i1) SELECT i1, {qs('(t0 * s2 - t1 * s1) / (s0 * s2 - s1 * s1)', 4)} AS v FROM m")

@@ -59,8 +59,7 @@ def model_source_filtered(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The bundle as a table through the Python data source, with a slice option and filters."""
     path = tempfile.mkdtemp(prefix="fieldpress-model-")
     literal_model().save(spark, "file://" + path)
-    datasource.register(spark)
-    df = spark.read.format("fieldpress").option("nodes", "11,11,11").option("fix", "c3=0.4").load(path)
+    df = datasource.read(spark, path, nodes="11,11,11", fix="c3=0.4")
     return _rounded(df.where("c1 >= 0.25 AND c2 < 0.55"))
 
 

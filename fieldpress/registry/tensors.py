@@ -152,7 +152,7 @@ def two_level_svd(spark: SparkSession, sf_dir: str) -> DataFrame:
 _E3 = "e AS (SELECT " + ", ".join(f"coalesce(max(CASE WHEN a = {a} AND b = {b} THEN g END), 0) AS g{a}{b}" for a in range(3) for b in range(a, 3)) + " FROM g), m AS (SELECT *, (g00 + g11 + g22) / 3 AS m FROM e), n AS (SELECT *, sqrt(((g00 - m) * (g00 - m) + (g11 - m) * (g11 - m) + (g22 - m) * (g22 - m) + 2 * (g01 * g01 + g02 * g02 + g12 * g12)) / 6) AS p FROM m), o AS (SELECT *, acos(greatest(-1.0::DOUBLE, least(1.0::DOUBLE, ((g00 - m) * ((g11 - m) * (g22 - m) - g12 * g12) - g01 * (g01 * (g22 - m) - g12 * g02) + g02 * (g01 * g12 - (g11 - m) * g02)) / (2 * p * p * p)))) / 3 AS phi FROM n)"
 
 
-@query(f"WITH {_by_rest('CASE l_returnflag WHEN ' + chr(39) + 'A' + chr(39) + ' THEN 0 WHEN ' + chr(39) + 'N' + chr(39) + ' THEN 1 ELSE 2 END')}, {_E3} SELECT j, {qs('sqrt(lambda)', 3)} AS sigma FROM (SELECT 1 AS j, m + 2 * p * cos(phi) AS lambda FROM o UNION ALL SELECT 3, m + 2 * p * cos(phi + 2 * pi() / 3) FROM o UNION ALL SELECT 2, m + 2 * p * cos(phi + 4 * pi() / 3) FROM o)")
+@query(f"WITH {_by_rest('CASE l_returnflag WHEN ' + chr(39) + 'A' + chr(39) + ' THEN 0 WHEN ' + chr(39) + 'N' + chr(39) + ' THEN 1 ELSE 2 END')}, {_E3} SELECT j, {qs('sqrt(lam)', 3)} AS sigma FROM (SELECT 1 AS j, m + 2 * p * cos(phi) AS lam FROM o UNION ALL SELECT 3, m + 2 * p * cos(phi + 2 * pi() / 3) FROM o UNION ALL SELECT 2, m + 2 * p * cos(phi + 4 * pi() / 3) FROM o)")
 def three_level_svd(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _sigmas(spark, _levels(spark, sf_dir, "l_returnflag", ["A", "N", "R"]), 3).select("j", q("sigma", 3).alias("sigma"))
 

@@ -1,9 +1,9 @@
 """A model bundle as a table: spark.read.format("fieldpress").option("nodes", "50,50,20").load(dir).
 
-Comparisons of an axis column with a number are taken over by the reader and prune the
-nodes before anything is evaluated. Options: nodes (per axis), fix ("c3=0.4;c1=0.5").
-Register with ``register(spark)``; pushing filters down needs
-spark.sql.python.filterPushdown.enabled, without it Spark filters afterwards.
+Options: nodes (per axis), fix ("c3=0.4;c1=0.5"), pushdown. With pushdown=true, comparisons
+of an axis column with a number are taken over by the reader and prune the nodes before
+anything is evaluated; this needs spark.sql.python.filterPushdown.enabled. ``read`` sets
+the option as the session allows. Register with ``register(spark)``.
 """
 
 from __future__ import annotations
@@ -56,7 +56,8 @@ class ModelSource(DataSource):
         return ", ".join(f"{c} double" for c in (*coords(self._model().d), "u_hat"))
 
     def reader(self, schema) -> "ModelReader":
-        return ModelReader(self._model(), self.options)
+        kind = PruningReader if self.options.get("pushdown", "false") == "true" else ModelReader
+        return kind(self._model(), self.options)
 
 
 class ModelReader(DataSourceReader):
@@ -66,16 +67,6 @@ class ModelReader(DataSourceReader):
         fixed = dict(x.split("=") for x in options.get("fix", "").split(";") if x)
         self.values = [np.array([float(fixed[f"c{k + 1}"])]) if f"c{k + 1}" in fixed else np.linspace(a.lo, a.hi, n) for k, (a, n) in enumerate(zip(model.axes, nodes))]
 
-    def pushFilters(self, filters: list[Filter]) -> Iterable[Filter]:
-        for f in filters:
-            name = f.attribute[0] if getattr(f, "attribute", None) and len(f.attribute) == 1 else ""
-            k = coords(self.model.d).index(name) if name in coords(self.model.d) else -1
-            keep = {GreaterThan: np.greater, GreaterThanOrEqual: np.greater_equal, LessThan: np.less, LessThanOrEqual: np.less_equal, EqualTo: np.equal}.get(type(f))
-            if k < 0 or keep is None:
-                yield f
-            else:
-                self.values[k] = self.values[k][keep(self.values[k], float(f.value))]
-
     def partitions(self) -> list[Lead]:
         n = len(self.values[0])
         step = max(1, -(-n // 16))
@@ -95,5 +86,26 @@ class ModelReader(DataSourceReader):
             yield pa.RecordBatch.from_arrays([pa.array(np.full(len(v), x)), *[pa.array(g.ravel()) for g in grids], pa.array(v)], names=[*coords(self.model.d), "u_hat"])
 
 
+class PruningReader(ModelReader):
+    """Takes comparisons over; Spark rejects such a reader where pushing down is switched off."""
+
+    def pushFilters(self, filters: list[Filter]) -> Iterable[Filter]:
+        for f in filters:
+            name = f.attribute[0] if getattr(f, "attribute", None) and len(f.attribute) == 1 else ""
+            k = coords(self.model.d).index(name) if name in coords(self.model.d) else -1
+            keep = {GreaterThan: np.greater, GreaterThanOrEqual: np.greater_equal, LessThan: np.less, LessThanOrEqual: np.less_equal, EqualTo: np.equal}.get(type(f))
+            if k < 0 or keep is None:
+                yield f
+            else:
+                self.values[k] = self.values[k][keep(self.values[k], float(f.value))]
+
+
 def register(spark: SparkSession) -> None:
     spark.dataSource.register(ModelSource)
+
+
+def read(spark: SparkSession, path: str, **options: str):
+    """The bundle as a DataFrame, with pushdown if the session allows it."""
+    register(spark)
+    on = spark.conf.get("spark.sql.python.filterPushdown.enabled", "false")
+    return spark.read.format("fieldpress").options(pushdown=on, **options).load(path)

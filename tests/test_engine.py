@@ -216,12 +216,13 @@ def test_bundle_and_data_source(spark, tmp_path):
     m.save(spark, str(tmp_path / "m"))
     back = FunctionalTucker.load(spark, str(tmp_path / "m"))
     assert np.allclose(back.core, m.core) and back.functions[0][1].basis == legendre(1)
-    datasource.register(spark)
-    df = spark.read.format("fieldpress").option("nodes", "11,5").load(str(tmp_path / "m")).where("c1 > 0.55 AND c2 = 0.5")
-    got = sorted((r.c1, r.u_hat) for r in df.collect())
-    assert [round(x, 6) for x, _ in got] == [0.6, 0.7, 0.8, 0.9, 1.0]
-    for x, v in got:
-        assert v == pytest.approx(field(x, 0.5))
+    pushed = datasource.read(spark, str(tmp_path / "m"), nodes="11,5")
+    plain = spark.read.format("fieldpress").option("nodes", "11,5").load(str(tmp_path / "m"))
+    for df in (pushed, plain):
+        got = sorted((r.c1, r.u_hat) for r in df.where("c1 > 0.55 AND c2 = 0.5").collect())
+        assert [round(x, 6) for x, _ in got] == [0.6, 0.7, 0.8, 0.9, 1.0]
+        for x, v in got:
+            assert v == pytest.approx(field(x, 0.5))
 
 
 def test_sql_functions(spark):
