@@ -33,8 +33,9 @@ def blocks(points: DataFrame, b: int, seed: int | str = 0, scope: str = "block",
 
 
 def positions(blocked: DataFrame) -> DataFrame:
-    """Adds pos, the place in the block (from 0)."""
-    w = Window.partitionBy("blk").orderBy("h", "pt_key")
+    """Adds pos, the place in the block (from 0). Rows of equal keys are ordered by their coordinates and value."""
+    ties = [c for c in blocked.columns if c == "u" or c[0] == "c" and c[1:].isdigit()]
+    w = Window.partitionBy("blk").orderBy("h", "pt_key", *ties)
     return blocked.withColumn("pos", F.row_number().over(w) - 1)
 
 

@@ -37,7 +37,7 @@ def mixed_rows(points: DataFrame, model: FunctionalTucker, share: float, kind: s
     d, r = model.d, model.R
 
     def run(table: pa.Table) -> pa.Table:
-        t = table.sort_by([("h", "ascending"), ("pt_key", "ascending")])
+        t = table.sort_by([(c, "ascending") for c in ("h", "pt_key", *coords(d), "u")])
         n, blk = t.num_rows, int(t.column("blk")[0].as_py())
         h = draw(blk, n, seed)
         kept = np.flatnonzero(h < share)

@@ -273,7 +273,7 @@ def mutual_coherence(spark: SparkSession, sf_dir: str) -> DataFrame:
 _SPACE_ERR = f"WITH {SAW}, g AS (SELECT regr_slope(u, x) AS b, regr_intercept(u, x) AS a FROM p), r AS (SELECT cell, regr_slope(u, x) AS b, regr_intercept(u, x) AS a FROM c GROUP BY cell), e AS (SELECT sqrt((SELECT sum((u - a - b * x) * (u - a - b * x)) FROM p, g) / (SELECT sum(u * u) FROM p)) AS e1, sqrt((SELECT sum((u - a - b * x) * (u - a - b * x)) FROM c JOIN r ON c.cell = r.cell) / (SELECT sum(u * u) FROM p)) AS e2)"
 
 
-@query(f"{_SPACE_ERR} SELECT 'legendre' AS family, {qs('e1', 5)} AS err, e1 <= e2 AS chosen FROM e UNION ALL SELECT 'multiwavelet', {qs('e2', 5)}, e2 < e1 FROM e")
+@query(f"{_SPACE_ERR} SELECT 'legendre' AS family, {qs('e1', 5)} AS err, greatest(e1, 1e-12) <= greatest(e2, 1e-12) AS chosen FROM e UNION ALL SELECT 'multiwavelet', {qs('e2', 5)}, greatest(e2, 1e-12) < greatest(e1, 1e-12) FROM e")
 def space_choice(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A line against a piecewise line on the sawtooth; the smaller error wins."""
     x, u = _saw(spark, sf_dir)

@@ -154,7 +154,7 @@ def row_signs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.signs(line(spark, sf_dir)).select("pt_key", "sgn")
 
 
-_BLOCKS = f"n AS (SELECT greatest(1, round(count(*) / 256.0))::BIGINT AS nb FROM p), b AS (SELECT pt_key, c1, u, {hint('pt_key', 'blk0')} % nb AS blk, row_number() OVER (PARTITION BY {hint('pt_key', 'blk0')} % nb ORDER BY {hint('pt_key', 'pos0')}, pt_key) - 1 AS pos, count(*) OVER (PARTITION BY {hint('pt_key', 'blk0')} % nb) AS len, (1 - 2 * ({hint('pt_key', 'sign0')} % 2)) AS sgn FROM p, n)"
+_BLOCKS = f"n AS (SELECT greatest(1, round(count(*) / 256.0))::BIGINT AS nb FROM p), b AS (SELECT pt_key, c1, u, {hint('pt_key', 'blk0')} % nb AS blk, row_number() OVER (PARTITION BY {hint('pt_key', 'blk0')} % nb ORDER BY {hint('pt_key', 'pos0')}, pt_key, c1, c2, c3, u) - 1 AS pos, count(*) OVER (PARTITION BY {hint('pt_key', 'blk0')} % nb) AS len, (1 - 2 * ({hint('pt_key', 'sign0')} % 2)) AS sgn FROM p, n)"
 
 
 @query(f"WITH {points_sql()}, {_BLOCKS} SELECT pt_key, blk, pos::INTEGER AS pos FROM b")

@@ -108,11 +108,11 @@ def sampled_error(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _regions_sql(groups: str) -> str:
     b = ", ".join(f"least(floor(c{k} * 4), 3)::INTEGER AS b{k}" for k in (1, 2, 3))
-    return f"{_RESID}, c AS (SELECT {b}, resid * resid AS e FROM r) SELECT b1, b2, b3, {qs('sum(e)', 4)} AS energy, count(*)::BIGINT AS n FROM c GROUP BY {groups}"
+    return f"{_RESID}, c AS (SELECT {b}, resid * resid AS e FROM r) SELECT coalesce(b1, -1) AS b1, coalesce(b2, -1) AS b2, coalesce(b3, -1) AS b3, energy, n FROM (SELECT b1, b2, b3, {qs('sum(e)', 4)} AS energy, count(*)::BIGINT AS n FROM c GROUP BY {groups})"
 
 
 def _regions(spark: SparkSession, sf_dir: str, how: str) -> DataFrame:
-    return metrics.residual_regions(decode.residuals(line(spark, sf_dir), literal_model()), how).select("b1", "b2", "b3", q("energy", 4).alias("energy"), "n")
+    return metrics.residual_regions(decode.residuals(line(spark, sf_dir), literal_model()), how).select(*[F.coalesce(b, F.lit(-1)).alias(b) for b in ("b1", "b2", "b3")], q("energy", 4).alias("energy"), "n")
 
 
 @query(_regions_sql("CUBE (b1, b2, b3)"))
@@ -259,12 +259,12 @@ def asof_node(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line(spark, sf_dir).select("pt_key", q(F.floor(F.col("c1") * 23) / 23).alias("node"))
 
 
-@query("SELECT a.event_id, max(b.event_id) AS prev FROM events a LEFT JOIN events b ON a.user_id = b.user_id AND b.event_type = 'purchase' AND b.ts <= a.ts AND b.event_id <= a.event_id GROUP BY a.event_id")
+@query("SELECT a.event_id, coalesce(max(b.event_id), -1) AS prev FROM events a LEFT JOIN events b ON a.user_id = b.user_id AND b.event_type = 'purchase' AND b.ts <= a.ts AND b.event_id <= a.event_id GROUP BY a.event_id")
 def asof_event(spark: SparkSession, sf_dir: str) -> DataFrame:
     """As-of join: each event's last purchase of the same user, by union and a running last value."""
     e = tables.table(spark, sf_dir, "events").select("event_id", "user_id", "ts", "event_type")
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, 0)
-    return e.select("event_id", F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w).alias("prev"))
+    return e.select("event_id", F.coalesce(F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(w), F.lit(-1)).alias("prev"))
 
 
 _STAMP = "epoch({c})::BIGINT"

@@ -127,9 +127,9 @@ def test_compress_then_decode_a_product_field(spark):
     model = compress(p, axes, 1e-3, candidates=[legendre(3)])
     assert metrics.achieved_error(p, model)[0] < 0.05
     better = refit.refit_full(p, model)
-    assert metrics.achieved_error(p, better)[0] <= metrics.achieved_error(p, model)[0] * (1 + 1e-9)
+    assert metrics.achieved_error(p, better)[0] <= metrics.achieved_error(p, model)[0] * (1 + 1e-9) + 1e-12
     alt = refit.alternate(p, model)
-    assert metrics.achieved_error(p, alt)[0] <= metrics.achieved_error(p, better)[0] * (1 + 1e-6)
+    assert metrics.achieved_error(p, alt)[0] <= metrics.achieved_error(p, better)[0] * (1 + 1e-6) + 1e-12
     r = metrics.report(p, model)
     assert r["ratio_values"] > 0 and r["nnz"] == model.nnz
 
@@ -252,8 +252,7 @@ def plan(df):
 
 def test_scans_are_pruned(spark, sf):
     text = plan(tables.line_points(spark, sf))
-    schema = text[text.index("ReadSchema") :]
-    assert "l_comment" not in schema and "l_shipdate" in schema and "Exchange" not in text
+    assert "l_tax" not in text and "l_returnflag" not in text and "l_shipdate" in text and "Exchange" not in text
 
 
 def test_decode_and_design_do_not_shuffle(spark):
@@ -306,15 +305,15 @@ def test_late_events_are_dropped(spark, tmp_path):
     source = spark.readStream.schema(e.schema).parquet(str(tmp_path / "in"))
 
     def run():
-        q = refresh.windowed(source, size="1 hour", delay="1 hour").writeStream.format("memory").queryName("late").outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True)
+        q = refresh.windowed(source, size="1 hour", delay="1 hour").writeStream.format("parquet").option("path", str(tmp_path / "out")).outputMode("append").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True)
         q.start().awaitTermination()
-        return [r.n for r in spark.table("late").collect()]
+        return sorted(r.n for r in spark.read.schema("n long, start timestamp").parquet(str(tmp_path / "out")).collect())
 
     run()
     spark.sql("SELECT 2L event_id, TIMESTAMP_NTZ'2024-01-01 20:00:00' ts, 1L user_id, 'a' event_type, 1.0D value").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
     first = run()
     spark.sql("SELECT 3L event_id, TIMESTAMP_NTZ'2024-01-01 10:30:00' ts, 1L user_id, 'a' event_type, 1.0D value").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
-    assert first == [1] and run() in ([], [1])  # the late event opens no window
+    assert first == [1] and run() == [1]  # the late event opens no window
 
 
 def test_polynomial_columns_match_numpy(spark):
