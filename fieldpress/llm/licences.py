@@ -78,12 +78,11 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, *, id_col: st
     src = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     split_ = lambda u: F.filter(F.split(F.lower(u), _GAPS, -1), lambda w: w != "")
     literal = F.array(*[F.lit(w) for w in words]) if words else F.array().cast("array<string>")
-    # a unit that is short enough for some template has at most so many gaps; the others are not cut up
     cut = F.transform(F.coalesce(units(F.col("text")), F.array().cast("array<string>")), split_)
     near = F.filter(cut, lambda w: (F.size(w) >= least + 1) & F.arrays_overlap(w, literal))
     grams = F.transform(near, lambda w: F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(w) - 2), lambda i: F.concat(w[i], F.lit(" "), w[i + 1]))))
     grams = F.filter(grams, lambda g: F.size(g).between(least, largest))
-    table = F.array(*[F.struct(F.lit(n).alias("name"), F.array(*map(F.lit, g)).alias("g")) for n, g in made])
+    table = F.array(*[F.struct(F.lit(n).alias("name"), F.array(*map(F.lit, g)).alias("g")) for n, g in made]).cast("array<struct<name:string,g:array<string>>>")
 
     def scored(g: Column) -> Column:
         fit = F.filter(table, lambda t: num * (F.size(g) + F.size(t["g"])) <= 2 * den * F.least(F.size(g), F.size(t["g"])))

@@ -178,9 +178,9 @@ def test_lines(spark, odd, none):
     assert out.columns == [*odd.columns, "n_lines", "n_removed"] and out.count() == odd.count()
     back = {r.doc_id: r for r in out.collect()}
     texts = {r.doc_id: r.text for r in odd.collect()}
-    assert back[8].text == texts[8] and back[1].text is None and back[None].text == texts[None]
+    assert back[7].text == texts[7] and back[1].text is None and back[None].text == texts[None]
     assert back[9].text == "same line here and there and everywhere in this text\n"  # all but the first are later windows' lines
-    assert back[4].text == PROSE[: PROSE.index("Children")]  # doc 4 repeats its own two sentences
+    assert back[4].text == PROSE and back[5].text == ""  # doc 4 repeats its own two sentences, doc 5 is its copy
     assert lines.remove_repeats(none).count() == 0
 
 
