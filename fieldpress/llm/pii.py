@@ -6,7 +6,7 @@ titled names). Seven labelers - shape, checksum, context words for and against,
 variety of characters, boundaries - vote for, against or not. Expectation-maximisation over the
 counts of vote patterns (all candidates; at most kinds x 3^7 rows reach the driver)
 estimates each labeler's reliability; its posteriors train a logistic span classifier on
-hashed features of at most ``SAMPLE`` candidates. Candidates the classifier accepts, and
+hashed features of about ``SAMPLE`` candidates at most. Candidates the classifier accepts, and
 that overlap no base span, are added.
 
 One pass over the texts; candidates are written once without the texts, then scored. No
@@ -274,11 +274,14 @@ def propose(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text")
 
 
 def train(proposed: DataFrame, sample: int = SAMPLE) -> tuple[Reliability, np.ndarray]:
-    """Reliabilities from all candidates' vote patterns; the classifier from at most ``sample`` candidates, chosen by hash."""
+    """Reliabilities from all candidates' vote patterns; the classifier from about ``sample`` candidates at most, a share chosen by hash."""
     each = proposed.select("doc_id", F.explode("cands").alias("c")).select("doc_id", "c.*")
     patterns = each.groupBy("kind", "votes").count().collect()
     found = Reliability().fit([(r["kind"], r["votes"], r["count"]) for r in sorted(patterns, key=lambda r: (r["kind"], r["votes"]))])
-    rows = each.orderBy(F.xxhash64(F.col("doc_id").cast("string"), "s", "e", "kind"), "doc_id", "s", "e", "kind").limit(sample).select("kind", "votes", "feats").collect()
+    # the count is known, so a share by hash bounds the sample without ordering anything
+    share = sample / max(1, sum(r["count"] for r in patterns))
+    place = F.pmod(F.xxhash64(F.col("doc_id").cast("string"), "s", "e", "kind"), F.lit(1 << 30)) / float(1 << 30)
+    rows = sorted(each.filter(place < share).select("kind", "votes", "feats").collect())
     target = np.array([found.posterior(r["kind"], r["votes"]) for r in rows])
     return found, fit_classifier([r["feats"] for r in rows], target)
 
