@@ -5,9 +5,9 @@ structure (shares of symbols, capitals, repeats, ...; cut into steps), and bucke
 metadata. The score is sigmoid(w0 + w.x + sum of pairwise interactions), the interactions
 of rank ``RANK`` by the sum-of-squares identity, so linear in the features.
 
-Training takes at most ``SAMPLE`` labelled rows, those whose id hashes lowest; their
-features are made on the executors and fitted on the driver (bounded). Scoring is row by
-row.
+Training takes about ``SAMPLE`` labelled rows at most, the share whose id hashes lowest;
+their features are made on the executors and fitted on the driver (bounded). Scoring is row
+by row.
 
 Defined cases: a null or empty text has the structure features of an empty text and is
 scored like any; null metadata is a bucket of its own; rows with a null label or id are
@@ -33,6 +33,8 @@ SAMPLE = 6000
 BITS = 14
 RANK = 8
 STEPS = 16
+#: Words whose slots are kept, for speed only.
+SLOTS = 100_000
 _SYMBOLS = "#*$%&|<>!=@^~_{}[]\\"
 _STATS = ("words", "symbols", "capitals", "digits", "repeats", "kinds", "length", "lines", "dup_lines", "ends", "longest", "letters", "pipes")
 
@@ -46,7 +48,7 @@ class Features:
         self.slots: dict[str, int] = {}
 
     def slot(self, word: str) -> int:
-        if len(self.slots) > 300_000:
+        if len(self.slots) > SLOTS:
             self.slots.clear()
         got = self.slots.get(word)
         if got is None:
@@ -143,9 +145,10 @@ class Machine:
 
 
 def learn(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", metadata: tuple[str, ...] = (), sample: int = SAMPLE, bits: int = BITS) -> Machine:
-    """Fits on at most ``sample`` labelled rows. ``labels`` holds the rows that may be learned from."""
+    """Fits on about ``sample`` labelled rows at most. ``labels`` holds the rows that may be learned from."""
     usable = labels.filter(F.col(id_col).isNotNull() & F.col(label_col).isin(0, 1)).groupBy(F.col(id_col).alias("k")).agg(F.max(label_col).cast("int").alias("y"))
-    picked = usable.orderBy(F.xxhash64(F.col("k").cast("string")), "k").limit(sample)
+    share = sample / max(1, usable.count())
+    picked = usable.filter(F.pmod(F.xxhash64(F.col("k").cast("string")), F.lit(1 << 30)) / float(1 << 30) < share)
     src = docs.select(F.col(id_col).alias("k"), F.col(text_col).alias("text"), *[F.col(m).cast("double").alias(f"m{i}") for i, m in enumerate(metadata)])
     joined = src.join(F.broadcast(picked), "k")
     schema = T._parse_datatype_string("y int, h long, idx binary, val binary")
