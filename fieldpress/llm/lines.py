@@ -7,7 +7,8 @@ three lines, and covered lines go. Text that stays is kept byte for byte.
 
 DataFrame functions only. Windows (two hashes, id, position) are written once; hashes are
 counted with partial aggregation, then joined with the repeated ones (a shuffled join whose
-hot keys AQE can split). A broadcast is used for the covered positions only if few.
+hot keys AQE can split). A broadcast is used for the covered
+ranges only if few.
 
 Defined cases: null text stays null; fewer than three lines: no window, nothing removed; a
 text all of whose lines are covered becomes empty; rows with a null id are neither indexed
@@ -54,15 +55,22 @@ def windows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
 
 
 def covered(docs: DataFrame, **kw) -> DataFrame:
-    """id, tid, covered (sorted distinct positions of lines to remove)."""
+    """id, tid, covered (merged ranges of lines to remove)."""
     found = written(windows(docs, **kw), "line-windows")
     place = F.col("id").cast("decimal(19,0)") * F.lit(_POSITIONS).cast("decimal(10,0)") + F.col("pos").cast("decimal(10,0)")
     place = place.cast("decimal(31,0)")
     repeated = found.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n"), F.min(place).alias("first")).filter(F.col("n") > 1).select("k1", "k2", "first")
     repeated = written(repeated, "repeated-windows")
     later = found.join(repeated, ["k1", "k2"]).filter(place > F.col("first"))
-    starts = later.groupBy("id", "tid").agg(F.collect_set("pos").alias("starts"))
-    return written(starts.select("id", "tid", F.array_sort(F.array_distinct(F.flatten(F.transform("starts", lambda p: F.array(p, p + 1, p + 2))))).alias("covered")), "covered-lines")
+    starts = later.groupBy("id", "tid").agg(F.array_sort(F.collect_set("pos")).alias("s"))
+    return written(starts.select("id", "tid", merged(F.col("s")).alias("covered")), "covered-lines")
+
+
+def merged(s: Column) -> Column:
+    """Ranges [a, b) of lines covered by windows at the sorted starts; windows that meet or overlap are one range."""
+    first = F.filter(s, lambda x, i: (i == 0) | (x - F.element_at(s, F.greatest(i, F.lit(1))) > 3))
+    last = F.filter(s, lambda x, i: (i == F.size(s) - 1) | (F.element_at(s, F.least(i + 2, F.size(s))) - x > 3))
+    return F.zip_with(first, last, lambda a, z: F.struct(a.alias("a"), (z + 3).alias("b")))
 
 
 def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sentences: bool = True, min_chars: int = MIN_CHARS, counts: tuple[str, str] | None = None) -> DataFrame:
@@ -78,15 +86,15 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     bound = F.array(F.struct(lines.alias("a"), _marks(F.col(cov), n).alias("gone")))
     kept = joined(F.element_at(F.transform(bound, lambda s: F.filter(s["a"], lambda x, i: ~F.element_at(s["gone"], i + 1))), 1))
     text = F.when(F.col(cov).isNull(), F.col(text_col)).otherwise(kept)
-    out = both.withColumn(text_col, text) if counts is None else both.withColumns({counts[0]: F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(n).cast("long"), counts[1]: F.coalesce(F.size(F.when(F.col(cov).isNotNull(), F.col(cov))), F.lit(0)).cast("long"), text_col: text})
+    out = both.withColumn(text_col, text) if counts is None else both.withColumns({counts[0]: F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(n).cast("long"), counts[1]: F.coalesce(F.aggregate(cov, F.lit(0), lambda n, r: n + r["b"] - r["a"]), F.lit(0)).cast("long"), text_col: text})
     return out.select(*docs.columns, *(counts or ()))
 
 
-def _marks(positions: Column, n: Column) -> Column:
-    """An array of n booleans, true at the (sorted) positions; linear in n."""
-    ends = F.concat(F.array(F.lit(-1)), positions)
-    here = lambda a: F.when(a >= 0, F.array(F.lit(True))).otherwise(F.array().cast("array<boolean>"))
-    return F.flatten(F.zip_with(ends, F.concat(positions, F.array(n.cast("int"))), lambda a, b: F.concat(here(a), F.array_repeat(F.lit(False), b - a - 1))))
+def _marks(ranges: Column, n: Column) -> Column:
+    """An array of n booleans, true within the ranges; linear in n."""
+    ends = F.concat(F.array(F.lit(0)), F.transform(ranges, lambda r: r["b"]))
+    all_ = F.concat(ranges, F.array(F.struct(n.cast("int").alias("a"), n.cast("int").alias("b"))))
+    return F.flatten(F.zip_with(ends, all_, lambda p, r: F.concat(F.array_repeat(F.lit(False), r["a"] - p), F.array_repeat(F.lit(True), r["b"] - r["a"]))))
 
 
 def sql(min_chars: int = MIN_CHARS) -> str:
