@@ -40,6 +40,16 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(df: DataFrame) -> None:
+    """Delete the files of a table made by ``written`` that nothing reads any more."""
+    spark = df.sparkSession
+    jvm, root = spark.sparkContext._jvm, shared_dir(spark)
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        if root.removeprefix("file:").lstrip("/") in folder:
+            path = jvm.org.apache.hadoop.fs.Path(folder)
+            path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def unused(df: DataFrame, *stems: str) -> list[str]:
     """Column names made of the stems that clash with none of df's."""
     have = {c.lower() for c in df.columns}

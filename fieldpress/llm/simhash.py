@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_batches, small, written
+from .common import discard, map_batches, small, written
 
 RADIUS = 3
 WIDTH = 3
@@ -264,6 +264,8 @@ def components(edges: DataFrame) -> DataFrame:
         lower = written(label.join(seen, "node").select("node", F.least("label", "seen").alias("label"), F.col("label").alias("was")), "labels")
         jump = lower.select(F.col("node").alias("n"), F.col("label").alias("next"))
         after = written(lower.join(jump, F.col("label") == F.col("n")).select("node", F.least("label", "next").alias("label"), "was"), "labels")
+        discard(label)
+        discard(lower)
         label = after.select("node", "label")
         if after.filter(F.col("label") != F.col("was")).isEmpty():
             return label
