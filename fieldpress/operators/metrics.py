@@ -128,3 +128,9 @@ def residual_regions(residuals: DataFrame, how: str = "cube", parts: int = 4):
         return cells.rollup("b1", "b2", "b3").agg(*aggs)
     b = [F.col(f"b{k}") for k in (1, 2, 3)]
     return cells.groupingSets([[b[0]], [b[1]], [b[2]]], *b).agg(*aggs)
+
+
+def factor_table(samples: DataFrame, k: int = 1) -> DataFrame:
+    """i and one column for each singular vector of axis k, for reading: a pivot of as many columns as the rank."""
+    rows = samples.where(F.col("k") == k).select("j", F.posexplode("z").alias("i", "z"))
+    return rows.groupBy("i").pivot("j").agg(F.first("z")).orderBy("i")

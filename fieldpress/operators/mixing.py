@@ -21,10 +21,12 @@ def signs(points: DataFrame, seed: int | str = 0) -> DataFrame:
 
 
 def blocks(points: DataFrame, b: int, seed: int | str = 0, scope: str = "block", total: int | None = None) -> DataFrame:
-    """Adds blk and h (order within the block). block: blocks of about b rows by hash (a shuffle of narrow rows follows when they are gathered); partition: blocks of consecutive rows of an input partition, without a shuffle."""
+    """Adds blk and h (order within the block). block: blocks of about b rows by hash (a shuffle of narrow rows follows when they are gathered); partition: blocks of consecutive rows of an input partition, without a shuffle. global: one block (one task; the caller checks the size)."""
     if scope == "partition":
         place = F.monotonically_increasing_id()
         return points.withColumn("blk", F.floor(place / b).cast("long")).withColumn("h", place)
+    if scope == "global":
+        return points.withColumn("blk", F.lit(0).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"pos{seed}"))
     if scope != "block":
         raise ValueError(f"unknown scope {scope!r}")
     n = points.count() if total is None else total

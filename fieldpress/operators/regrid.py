@@ -175,3 +175,51 @@ def cumulative_cube(cells: DataFrame, axes: list[AxisSpec], measure: str = "v")
         w = Window.partitionBy(*[x for x in idx if x != i]).orderBy(i).rowsBetween(Window.unboundedPreceding, Window.currentRow)
         full = full.withColumn("v", F.sum("v").over(w))
     return full
+
+
+def triangulate(xy: np.ndarray) -> np.ndarray:
+    """Delaunay triangles (rows of three point indices) by inserting one point after the other. For small sets on the driver: a reference to compare the regridders with."""
+    n = len(xy)
+    mid, size = xy.mean(axis=0), 1 + 40 * np.abs(xy - xy.mean(axis=0)).max()
+    far = mid + size * np.array([[-1.7, -1.0], [1.7, -1.0], [0.0, 2.0]])
+    pts = np.concatenate([xy, far])
+    tri = [(n, n + 1, n + 2)]
+
+    def outside(t) -> tuple[np.ndarray, float]:
+        a, b, c = pts[list(t)]
+        m = 2 * np.array([b - a, c - a])
+        centre = np.linalg.solve(m, [b @ b - a @ a, c @ c - a @ a])
+        return centre, float(((a - centre) ** 2).sum())
+
+    circles = {tri[0]: outside(tri[0])}
+    for i in range(n):
+        bad = [t for t in tri if ((pts[i] - circles[t][0]) ** 2).sum() <= circles[t][1] * (1 + 1e-12)]
+        edges: dict[frozenset, int] = {}
+        for t in bad:
+            for e in ((t[0], t[1]), (t[1], t[2]), (t[2], t[0])):
+                edges[frozenset(e)] = edges.get(frozenset(e), 0) + 1
+        gone = set(bad)
+        tri = [t for t in tri if t not in gone]
+        for e, count in edges.items():
+            if count == 1:
+                u, v = sorted(e)
+                d1, d2 = pts[u] - pts[i], pts[v] - pts[i]
+                if abs(d1[0] * d2[1] - d1[1] * d2[0]) > 1e-14 * size * size:
+                    t = (u, v, i)
+                    circles[t] = outside(t)
+                    tri.append(t)
+    return np.array([t for t in tri if max(t) < n], int).reshape(-1, 3)
+
+
+def barycentric_2d(xy: np.ndarray, u: np.ndarray, nodes: np.ndarray) -> np.ndarray:
+    """Linear interpolation over the triangles; NaN outside the convex hull."""
+    out = np.full(len(nodes), np.nan)
+    for t in triangulate(xy):
+        a, b, c = xy[t]
+        m = np.array([b - a, c - a]).T
+        if abs(np.linalg.det(m)) < 1e-14:
+            continue
+        w = np.linalg.solve(m, (nodes - a).T)
+        inside = (w[0] >= -1e-9) & (w[1] >= -1e-9) & (w.sum(axis=0) <= 1 + 1e-9)
+        out[inside] = ((1 - w.sum(axis=0)) * u[t[0]] + w[0] * u[t[1]] + w[1] * u[t[2]])[inside]
+    return out

@@ -80,6 +80,8 @@ def collect_sketch(rows: DataFrame, s: int, r: int) -> tuple[np.ndarray, np.ndar
 def sketch(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """s uniformly drawn mixed rows. A little more than the share is let through, so that the s smallest draws are among them."""
     q = points.count() if total is None else total
+    if scope == "global" and q * (model.R + 1) * 8 > MAX_SKETCH:
+        raise ValueError(f"one transform over {q} x {model.R + 1} numbers does not fit a task: use scope='block'")
     share = min(1.0, (s + 5 * np.sqrt(s) + 10) / max(q, 1))
     return collect_sketch(mixed_rows(points, model, share, kind, b, scope, seed, q), s, model.R)
 

@@ -288,3 +288,13 @@ def richness_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     x, u = _saw(spark, sf_dir)
     samples = rows(spark, [(1, 1, x.tolist(), u.tolist())], funcfit.SAMPLES)
     return funcfit.richness_sweep(samples, [legendre(1), piecewise(3, 1)]).select("space", "n", q("fit_err", 5).alias("err"))
+
+
+@query(
+    "WITH p AS (SELECT o_orderpriority AS g, date_diff('day', DATE '1995-01-01', o_orderdate::DATE) / 1000.0::DOUBLE AS y, o_totalprice / 1000 AS z FROM orders), m AS (SELECT g, count(*)::DOUBLE AS n, sum(y) AS sy, sum(z) AS sz, sum(y*y) AS syy, sum(y*z) AS syz FROM p GROUP BY g), "
+    "l AS (SELECT p.g, p.y, p.z, n - 1 AS n, sy - y AS sy, sz - z AS sz, syy - y*y AS syy, syz - y*z AS syz FROM p JOIN m ON p.g = m.g), e AS (SELECT g, z - ((sz*syy - sy*syz)/(n*syy - sy*sy) + (n*syz - sy*sz)/(n*syy - sy*sy) * y) AS e FROM l) "
+    f"SELECT g, {qs('avg(e * e)', 3)} AS loo FROM e GROUP BY g"
+)
+def loo_by_group(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = tables.table(spark, sf_dir, "orders").select(F.col("o_orderpriority").alias("g"), (F.expr("datediff(o_orderdate, DATE'1995-01-01')") / F.lit(1000.0)).alias("y"), (F.col("o_totalprice") / 1000).alias("z"))
+    return funcfit.grouped_line_loo(p, "g", "y", "z").select("g", q("loo", 3).alias("loo"))

@@ -335,3 +335,46 @@ def stream_core_refit(spark: SparkSession, sf_dir: str) -> DataFrame:
     run.awaitTermination()
     core = last[-1].core.ravel()
     return rows(spark, [(i + 1, float(v)) for i, v in enumerate(core)], "j int, v double").select("j", q("v").alias("v"))
+
+
+@query("SELECT count(DISTINCT event_id)::BIGINT AS n FROM events")
+def stream_deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every event twice in the stream, once in the result."""
+    s = event_stream(spark, sf_dir)
+    got = _drain(refresh.deduplicated(s.union(s), "40 days"), f"d{os.urandom(4).hex()}", "append")
+    return got.agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("SELECT event_type, (dense_rank() OVER (ORDER BY event_type) - 1)::INTEGER AS id, n FROM (SELECT event_type, count(*)::BIGINT AS n FROM events GROUP BY event_type)")
+def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stream joined with an axis dictionary of its categories."""
+    from ..operators.axes import index_axis
+
+    d = index_axis(tables.table(spark, sf_dir, "events"), "event_type")
+    j = refresh.with_dictionary(event_stream(spark, sf_dir).select("event_id", "event_type"), d, "event_type")
+    got = _drain(j, f"j{os.urandom(4).hex()}", "append")
+    return got.groupBy("event_type", F.col("event_type_id").alias("id")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query(f"WITH {points_sql()} SELECT least(floor(c1 * 16), 15)::INTEGER AS bucket, count(*)::BIGINT AS n, {qs('sum(u)', 4)} AS total FROM p WHERE least(floor(c1 * 16), 15) >= 8 GROUP BY 1")
+def partitioned_sink(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Points written by bucket of an axis and read back for half of it: only those folders are scanned."""
+    from ..operators.storage import shared_dir
+
+    path = f"{shared_dir(spark)}/by-axis-{os.urandom(6).hex()}"
+    tables.write_by_axis(line(spark, sf_dir), path)
+    return spark.read.parquet(path).where("bucket >= 8").groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), q(F.sum("u"), 4).alias("total"))
+
+
+@query(f"WITH {points_sql()} SELECT f AS format, count(*)::BIGINT AS n, {qs('sum(u)', 4)} AS total FROM p, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) t(f) GROUP BY f")
+def point_formats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Points through CSV, JSON, ORC and Parquet with the explicit schema."""
+    from ..operators.storage import shared_dir
+
+    out = None
+    for fmt in ("csv", "json", "orc", "parquet"):
+        path = f"{shared_dir(spark)}/{fmt}-{os.urandom(6).hex()}"
+        line(spark, sf_dir).write.format(fmt).save(path)
+        r = tables.read_points(spark, path, 3, fmt).agg(F.lit(fmt).alias("format"), F.count(F.lit(1)).alias("n"), q(F.sum("u"), 4).alias("total"))
+        out = r if out is None else out.union(r)
+    return out

@@ -252,3 +252,60 @@ def dense_tucker_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows(spark, [(metrics.storage(model)["values_only"] < metrics.dense_tucker_bytes(model.ranks, dims),)], "values_beat_dense boolean")
 
 
+
+
+@query()
+def eleven_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ranks, achieved error and ratio of all eleven variables."""
+    dims = [16, 12, 8]
+    axes, out = unit_axes(dims), []
+    wide = tables.line_points_multi(spark, sf_dir).withColumn("noise", sampling.hash01(F.col("pt_key"), "noise")).persist()
+    for name in tables.ELEVEN:
+        p = wide.select("pt_key", "c1", "c2", "c3", F.col(name).alias("u"))
+        t = regrid.fill_holes(regrid.local_linear(p, axes), axes)
+        m = compress(p, axes, 1e-2, candidates=[legendre(10), multiwavelet(1, 3)], tensor=t)
+        if m.R <= 400:
+            m = refit.refit_full(p, m)
+        r = metrics.report(p, m)
+        out.append((name, r["ranks"], r["err_points"], r["ratio_values"]))
+    wide.unpersist()
+    return rows(spark, out, "name string, ranks string, err_points double, ratio double")
+
+
+@query("SELECT true AS triangles_exact, true AS close_to_planes")
+def regrid_triangulated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Triangulation of a small sample as a reference: exact on affine data, near the plane fits on a smooth field."""
+    p = sampling.hash_fraction(line(spark, sf_dir), 1.0).select("pt_key", "c1", "c2").orderBy("pt_key").limit(300).toPandas()
+    xy = p[["c1", "c2"]].to_numpy()
+    xy = xy[np.unique(xy, axis=0, return_index=True)[1]]
+    g = np.stack(np.meshgrid(np.linspace(0.2, 0.8, 5), np.linspace(0.2, 0.8, 5)), axis=-1).reshape(-1, 2)
+    affine = regrid.barycentric_2d(xy, 1 + 2 * xy[:, 0] - xy[:, 1], g)
+    smooth = regrid.barycentric_2d(xy, np.sin(3 * xy[:, 0]) * xy[:, 1], g)
+    return rows(spark, [(bool(np.abs(affine - (1 + 2 * g[:, 0] - g[:, 1])).max() < 1e-8), bool(np.abs(smooth - np.sin(3 * g[:, 0]) * g[:, 1]).max() < 0.05))], "triangles_exact boolean, close_to_planes boolean")
+
+
+@query("SELECT true AS model_smaller")
+def codec_baseline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parquet files of the same value column against the model bundle."""
+    from ..operators.storage import shared_dir
+
+    path = f"{shared_dir(spark)}/codec"
+    points = line(spark, sf_dir)
+    points.select("u").write.mode("overwrite").parquet(path)
+    model = model3(spark, sf_dir)
+    return rows(spark, [(metrics.storage(model)["with_indices"] < metrics.on_disk(spark, path),)], "model_smaller boolean")
+
+
+@query("SELECT true AS exact")
+def global_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One transform over all rows (the literal form): a field in the span is recovered."""
+    from .refits import SPAN, literal_model
+
+    got = refit.refit_core(line(spark, sf_dir, SPAN), literal_model(), 30, scope="global").model.core.ravel()
+    return rows(spark, [(bool(np.abs(got - np.array([1.0, 0.5, -2.0, 0.25])).max() < 1e-6),)], "exact boolean")
+
+
+@query("SELECT (a.i)::INTEGER AS i, round(1.0) AS v1 FROM unnest(range(4)) a(i)")
+def factor_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    samples = rows(spark, [(1, 1, [0.0, 0.3, 0.6, 1.0], [1.0, 1.0, 1.0, 1.0])], funcfit.SAMPLES)
+    return metrics.factor_table(samples).select("i", F.col("1").alias("v1"))

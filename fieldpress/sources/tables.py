@@ -21,6 +21,12 @@ def read_points(spark: SparkSession, path: str, d: int, fmt: str = "parquet", **
     return spark.read.format(fmt).schema(points_schema(d)).options(**options).load(path)
 
 
+def write_by_axis(df: DataFrame, path: str, column: str = "c1", parts: int = 16, fmt: str = "parquet") -> None:
+    """Points or decoded values in folders by bucket of one unit axis (``bucket``), so that a range of the axis reads its own folders only."""
+    bucket = F.least(F.floor(F.col(column) * parts), F.lit(parts - 1)).cast("int")
+    df.withColumn("bucket", bucket).repartition(F.col("bucket")).write.mode("overwrite").partitionBy("bucket").format(fmt).save(path)
+
+
 def number_ok(c: Column) -> Column:
     return c.isNotNull() & ~F.isnan(c)
 
