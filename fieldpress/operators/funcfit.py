@@ -9,6 +9,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -116,11 +117,10 @@ def richness_sweep(samples: DataFrame, specs: list[BasisSpec], solver: str = "ol
 
 def grouped_line_loo(df: DataFrame, key: str, y: str, z: str) -> DataFrame:
     """key, loo: leave-one-out error of a line for each group, as a grouped aggregate over Arrow. A group is one task's: use it for bounded groups (for whole tables the two-aggregate form needs no grouping)."""
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
 
+    @F.pandas_udf("double")
     def loo(a: pd.Series, b: pd.Series) -> float:
         x = a.to_numpy(float)
         return float(S.fast_loo(np.column_stack([np.ones(len(x)), x]), b.to_numpy(float)))
 
-    return df.groupBy(key).agg(pandas_udf(loo, "double", "grouped_agg")(F.col(y), F.col(z)).alias("loo"))
+    return df.groupBy(key).agg(loo(y, z).alias("loo"))
