@@ -60,6 +60,82 @@ def node_moments(points: DataFrame, axes: list[AxisSpec]) -> DataFrame:
     return corners(points, axes).groupBy(*indices(d)).agg(*sums, F.sum(F.col("w") * F.col("w")).alias("s2"))
 
 
+#: Nodes that a task holds before it passes partial sums on.
+HELD_NODES = 400_000
+
+
+def fused_moments(points: DataFrame, axes: list[AxisSpec], hold: int = HELD_NODES) -> DataFrame:
+    """The same sums without a row for each corner: every Arrow batch is summed by node in numpy, a task merges its batches (at most ``hold`` nodes at a time), and only those sums are shuffled."""
+    d = len(axes)
+    pairs = [(p, q) for p in range(d + 1) for q in range(p, d + 1)]
+    names = [*[f"m_{p}_{q}" for p, q in pairs], *[f"b_{p}" for p in range(d + 1)], "s2"]
+    nodes = [a.nodes for a in axes]
+
+    def by_node(ids: np.ndarray, values: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        kinds, inv = np.unique(ids, return_inverse=True)
+        return kinds, np.stack([np.bincount(inv, v, len(kinds)) for v in values], axis=1)
+
+    def of_batch(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
+        u = batch.column("u").to_numpy(zero_copy_only=False)
+        low, off = [], []
+        for k, a in enumerate(axes):
+            c = batch.column(f"c{k + 1}").to_numpy(zero_copy_only=False)
+            t = np.clip((c - a.lo) / (a.hi - a.lo), 0, 1) * (a.nodes - 1) if a.hi > a.lo else np.zeros(len(c))
+            b = np.minimum(np.floor(t), max(a.nodes - 2, 0)).astype(np.int64)
+            low.append(b)
+            off.append(t - b)
+        ids, ws, offs = [], [], [[] for _ in range(d)]
+        for e in range(2**d):
+            bits = [e >> k & 1 for k in range(d)]
+            if any(b and n < 2 for b, n in zip(bits, nodes)):
+                continue
+            w, node = np.ones(len(u)), np.zeros(len(u), np.int64)
+            for k, b in enumerate(bits):
+                w = w * (off[k] if b else 1 - off[k])
+                node = node * nodes[k] + low[k] + b
+            ids.append(node)
+            ws.append(w)
+            for k, b in enumerate(bits):
+                offs[k].append(off[k] - b)
+        node, w = np.concatenate(ids), np.concatenate(ws)
+        some = w > 0
+        node, w = node[some], w[some]
+        terms = [np.ones(len(w)), *[np.concatenate(o)[some] for o in offs]]
+        uu = np.tile(u, len(ids))[some]
+        wt = [w * t for t in terms]
+        return by_node(node, [*[wt[p] * terms[q] for p, q in pairs], *[x * uu for x in wt], w * w])
+
+    def out(node: np.ndarray, sums: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(node), *[pa.array(np.ascontiguousarray(sums[:, j])) for j in range(len(names))]], names=["node", *names])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple[np.ndarray, np.ndarray]] = []
+        size = 0
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            held.append(of_batch(batch))
+            size += len(held[-1][0])
+            if size > hold:
+                sums = np.concatenate([x[1] for x in held])
+                held = [by_node(np.concatenate([x[0] for x in held]), list(sums.T))]
+                size = len(held[0][0])
+                if size > hold // 2:
+                    yield out(*held[0])
+                    held, size = [], 0
+        if held:
+            sums = np.concatenate([x[1] for x in held])
+            yield out(*by_node(np.concatenate([x[0] for x in held]), list(sums.T)))
+
+    part = points.select(*coords(d), "u").mapInArrow(run, ", ".join(["node long", *[f"{n} double" for n in names]]))
+    total = part.groupBy("node").agg(*[F.sum(n).alias(n) for n in names])
+    cols, rest = [], F.col("node")
+    for k in reversed(range(d)):
+        cols.append(F.pmod(rest, F.lit(nodes[k])).cast("int").alias(f"i{k + 1}"))
+        rest = F.floor(rest / F.lit(nodes[k]))
+    return total.select(*reversed(cols), *names)
+
+
 def solve_planes(m: np.ndarray, b: np.ndarray, s2: np.ndarray, ridge: float, adaptive: bool) -> np.ndarray:
     """Node values of the weighted plane fits. The ridge acts on slopes only; it grows where the effective number of points is short of 3 (d + 1)."""
     n, p = b.shape
@@ -94,9 +170,10 @@ def from_moments(moments: DataFrame, d: int, ridge: float = 1e-9, adaptive: bool
     return moments.mapInArrow(run, tensor_schema(d).add("support", "double"))
 
 
-def local_linear(points: DataFrame, axes: list[AxisSpec], ridge: float = 1e-9, adaptive: bool = True) -> DataFrame:
-    """Weighted plane fit at every touched node; exact on affine fields where points are enough."""
-    return from_moments(node_moments(points, axes), len(axes), ridge, adaptive)
+def local_linear(points: DataFrame, axes: list[AxisSpec], ridge: float = 1e-9, adaptive: bool = True, kernel: str = "fused") -> DataFrame:
+    """Weighted plane fit at every touched node; exact on affine fields where points are enough. kernel: fused, or columns (a row for each corner, all in DataFrame functions)."""
+    moments = fused_moments(points, axes) if kernel == "fused" else node_moments(points, axes)
+    return from_moments(moments, len(axes), ridge, adaptive)
 
 
 def identity(df: DataFrame, axes: list[AxisSpec], value: str = "v") -> DataFrame:

@@ -72,6 +72,18 @@ def test_local_linear_reproduces_affine_fields(spark, d):
         assert r.v == pytest.approx(1 + w @ y, abs=1e-6)
 
 
+@pytest.mark.parametrize("held", [10, 400_000])
+def test_fused_moments_are_those_of_the_columns(spark, held):
+    for d in (1, 2, 3):
+        p = make_points(spark, lambda *x: sum(x) ** 2, 700, d).repartition(3)
+        axes = AX.unit_axes([4] * d) if d > 1 else AX.unit_axes([1])
+        a, b = ({tuple(r[i] for i in indices(d)): r for r in f(p, axes).collect()} for f in (lambda x, y: regrid.fused_moments(x, y, held), regrid.node_moments))
+        assert a.keys() == b.keys()
+        for k in a:
+            for n in a[k].asDict():
+                assert a[k][n] == pytest.approx(b[k][n], abs=1e-9)
+
+
 def test_points_on_the_right_boundary_and_duplicates(spark):
     p = spark.createDataFrame([("a", 1.0, 3.0), ("b", 1.0, 5.0), ("c", 0.0, 1.0)], points_schema(1))
     t = {r.i1: (r.v, r.support) for r in regrid.tent_average(p, AX.unit_axes([4])).collect()}
