@@ -27,6 +27,10 @@ def full_expansion_fit(points: DataFrame, axes: list[AxisSpec], bases: list[Basi
     return model.with_core(lstsq.full(points, model).core)
 
 
+#: Cell statistics are broadcast up to so many cells.
+BROADCAST_CELLS = 200_000
+
+
 @dataclass
 class DenseTucker:
     result: tucker.TuckerResult
@@ -47,7 +51,9 @@ def block_quantise(points: DataFrame, axes: list[AxisSpec], bits: int = 8) -> Da
     idx = [f"i{k + 1}" for k in range(len(axes))]
     cells = points.select(*cell_of(axes), "u")
     stats = cells.groupBy(*idx).agg(F.count(F.lit(1)).alias("n"), F.min("u").alias("lo"), F.max("u").alias("hi"), F.avg("u").alias("mean"))
-    both = cells.join(stats, idx)
+    # the grid is chosen, so its cells bound the broadcast; finer grids take a shuffled join
+    few = int(np.prod([max(a.nodes - 1, 1) for a in axes])) <= BROADCAST_CELLS
+    both = cells.join(F.broadcast(stats) if few else stats, idx)
     levels = float(2**bits - 1)
     width = (F.col("hi") - F.col("lo")) / levels
     code = F.when(width > 0, F.floor((F.col("u") - F.col("lo")) / width + 0.5)).otherwise(F.lit(0))

@@ -1,4 +1,4 @@
-"""Signs, blocks and block transforms of rows, all determined by hashes of the point key."""
+"""Signs, blocks and block transforms of rows, all determined by one hash of the point key: its parts give block, position, sign and bucket."""
 
 from __future__ import annotations
 
@@ -13,7 +13,7 @@ from .sampling import hash_int
 
 def sign_of(key: Column, seed: int | str = 0) -> Column:
     """+1 or -1 with probability one half, by hash parity."""
-    return (1 - 2 * F.pmod(hash_int(key, f"sign{seed}"), F.lit(2))).cast("int")
+    return (1 - 2 * F.pmod(hash_int(key, f"mix{seed}", 2), F.lit(2))).cast("int")
 
 
 def signs(points: DataFrame, seed: int | str = 0) -> DataFrame:
@@ -26,12 +26,12 @@ def blocks(points: DataFrame, b: int, seed: int | str = 0, scope: str = "block",
         place = F.monotonically_increasing_id()
         return points.withColumn("blk", F.floor(place / b).cast("long")).withColumn("h", place)
     if scope == "global":
-        return points.withColumn("blk", F.lit(0).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"pos{seed}"))
+        return points.withColumn("blk", F.lit(0).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"mix{seed}", 1))
     if scope != "block":
         raise ValueError(f"unknown scope {scope!r}")
     n = points.count() if total is None else total
     count = max(1, round(n / b))
-    return points.withColumn("blk", F.pmod(hash_int(F.col("pt_key"), f"blk{seed}"), F.lit(count)).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"pos{seed}"))
+    return points.withColumn("blk", F.pmod(hash_int(F.col("pt_key"), f"mix{seed}", 0), F.lit(count)).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"mix{seed}", 1))
 
 
 def positions(blocked: DataFrame) -> DataFrame:

@@ -173,7 +173,7 @@ def projected(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "s
         raise ValueError("the sketch is too large for one block")
     from .sampling import hash_int
 
-    src = points.select(*coords(d), "u", mixing.sign_of(F.col("pt_key"), seed).alias("sgn"), hash_int(F.col("pt_key"), f"bkt{seed}").alias("bkt"))
+    src = points.select(*coords(d), "u", mixing.sign_of(F.col("pt_key"), seed).alias("sgn"), hash_int(F.col("pt_key"), f"mix{seed}", 3).alias("bkt"))
 
     def make(batches):
         out = np.zeros((s, r + 1))

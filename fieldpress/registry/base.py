@@ -37,9 +37,9 @@ def qs(e: str, k: int = 6) -> str:
     return f"(floor(({e}) * 1e{k} + 0.5::DOUBLE)::BIGINT / 1e{k})"
 
 
-def hint(key: str, seed: int | str) -> str:
+def hint(key: str, seed: int | str, part: int = 0) -> str:
     """The 32-bit hash of ``sampling.hash_int`` in SQL."""
-    return f"('0x' || substr(md5({key} || '/{seed}'), 1, 8))::BIGINT"
+    return f"('0x' || substr(md5({key} || '/{seed}'), {1 + 8 * part}, 8))::BIGINT"
 
 
 def line(spark: SparkSession, sf_dir: str, value: str = tables.FRONT3) -> DataFrame:

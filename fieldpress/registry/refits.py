@@ -149,12 +149,12 @@ def product_leverage(spark: SparkSession, sf_dir: str) -> DataFrame:
 # -- signs, blocks, transforms -------------------------------------------------------------------------
 
 
-@query(f"WITH {points_sql()} SELECT pt_key, (1 - 2 * ({hint('pt_key', 'sign0')} % 2))::INTEGER AS sgn FROM p")
+@query(f"WITH {points_sql()} SELECT pt_key, (1 - 2 * ({hint('pt_key', 'mix0', 2)} % 2))::INTEGER AS sgn FROM p")
 def row_signs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.signs(line(spark, sf_dir)).select("pt_key", "sgn")
 
 
-_BLOCKS = f"n AS (SELECT greatest(1, round(count(*) / 256.0))::BIGINT AS nb FROM p), b AS (SELECT pt_key, c1, u, {hint('pt_key', 'blk0')} % nb AS blk, row_number() OVER (PARTITION BY {hint('pt_key', 'blk0')} % nb ORDER BY {hint('pt_key', 'pos0')}, pt_key, c1, c2, c3, u) - 1 AS pos, count(*) OVER (PARTITION BY {hint('pt_key', 'blk0')} % nb) AS len, (1 - 2 * ({hint('pt_key', 'sign0')} % 2)) AS sgn FROM p, n)"
+_BLOCKS = f"n AS (SELECT greatest(1, round(count(*) / 256.0))::BIGINT AS nb FROM p), b AS (SELECT pt_key, c1, u, {hint('pt_key', 'mix0', 0)} % nb AS blk, row_number() OVER (PARTITION BY {hint('pt_key', 'mix0', 0)} % nb ORDER BY {hint('pt_key', 'mix0', 1)}, pt_key, c1, c2, c3, u) - 1 AS pos, count(*) OVER (PARTITION BY {hint('pt_key', 'mix0', 0)} % nb) AS len, (1 - 2 * ({hint('pt_key', 'mix0', 2)} % 2)) AS sgn FROM p, n)"
 
 
 @query(f"WITH {points_sql()}, {_BLOCKS} SELECT pt_key, blk, pos::INTEGER AS pos FROM b")
@@ -240,7 +240,7 @@ def self_convergence_2param(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows(spark, got, "s1 int, s2 int, c double").select("s1", "s2", q("c", 6).alias("change"))
 
 
-@query(f"WITH {points_sql(_PRICE)}, b AS (SELECT {hint('pt_key', 'bkt0')} % 50 AS bkt, (1 - 2 * ({hint('pt_key', 'sign0')} % 2)) AS s, c1, u FROM p) SELECT bkt::INTEGER AS bkt, {qs('sum(s)', 5)} AS w0, {qs('sum(s * sqrt(3) * (2 * c1 - 1))', 5)} AS w1, {qs('sum(s * u)', 5)} AS u FROM b GROUP BY bkt")
+@query(f"WITH {points_sql(_PRICE)}, b AS (SELECT {hint('pt_key', 'mix0', 3)} % 50 AS bkt, (1 - 2 * ({hint('pt_key', 'mix0', 2)} % 2)) AS s, c1, u FROM p) SELECT bkt::INTEGER AS bkt, {qs('sum(s)', 5)} AS w0, {qs('sum(s * sqrt(3) * (2 * c1 - 1))', 5)} AS w1, {qs('sum(s * u)', 5)} AS u FROM b GROUP BY bkt")
 def sparse_sign_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
     a, b = sketch.projected(line(spark, sf_dir, _PRICE), line_model(), 50)
     return rows(spark, [(i, float(x[0]), float(x[1]), float(y)) for i, (x, y) in enumerate(zip(a, b))], "bkt int, w0 double, w1 double, u double").select("bkt", q("w0", 5).alias("w0"), q("w1", 5).alias("w1"), q("u", 5).alias("u"))
