@@ -31,7 +31,7 @@ from pyspark.sql import types as T
 
 from .common import map_batches
 
-CACHE_WORDS = 400_000
+CACHE_WORDS = 200_000
 LONG = 128
 
 

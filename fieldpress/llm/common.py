@@ -14,8 +14,8 @@ from pyspark.sql import types as T
 
 #: At most so many rows of a side are broadcast; beyond it operators use another way.
 BROADCAST_ROWS = 200_000
-#: Texts of one Arrow batch are handled in slices of at most so many characters.
-SLICE_CHARS = 8_000_000
+#: An Arrow batch is handled in slices of about so many bytes.
+SLICE_CHARS = 4_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
