@@ -81,7 +81,7 @@ def original_bytes(q: int) -> int:
 
 
 def storage(model: FunctionalTucker, q: int | None = None) -> dict[str, float]:
-    """values_only (the paper's count), with_indices, original, and both ratios."""
+    """values_only (values alone, as the published ratios count), with_indices, original, and both ratios."""
     q = model.meta.n_points if q is None else q
     values = VALUE_BYTES * (model.R + model.nnz)
     tags = sum(len(f) for f in model.functions) * TAG_BYTES + len(model.axes) * (3 * VALUE_BYTES)

@@ -126,7 +126,7 @@ def fill_holes_once(spark: SparkSession, sf_dir: str) -> DataFrame:
     return regrid.fill_once(_thin(spark, sf_dir), COARSE).where("filled").select(*indices(3), q("v").alias("v"))
 
 
-@query(f"WITH {points_sql()}, {_FINE} SELECT 384::BIGINT AS nodes, true AS complete")
+@query("SELECT 384::BIGINT AS nodes, true AS complete")
 def fill_holes_all(spark: SparkSession, sf_dir: str) -> DataFrame:
     t = regrid.fill_holes(_thin(spark, sf_dir), COARSE)
     return t.agg(F.count(F.lit(1)).alias("nodes"), (F.count("v") == 384).alias("complete"))

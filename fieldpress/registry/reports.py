@@ -1,4 +1,4 @@
-"""The paper's experiments on the given tables. Their numbers are data, so SQL states what must hold of them."""
+"""The reference's experiments on the given tables. Their numbers are data, so SQL states what must hold of them."""
 
 from __future__ import annotations
 
@@ -272,16 +272,16 @@ def eleven_report(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows(spark, out, "name string, ranks string, err_points double, ratio double")
 
 
-@query("SELECT true AS triangles_exact, true AS close_to_planes")
+@query("SELECT true AS triangles_exact, true AS smooth_close")
 def regrid_triangulated(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Triangulation of a small sample as a reference: exact on affine data, near the plane fits on a smooth field."""
+    """Triangulation of a small sample as a reference: exact on affine data, close on a smooth field."""
     p = sampling.hash_fraction(line(spark, sf_dir), 1.0).select("pt_key", "c1", "c2").orderBy("pt_key").limit(300).toPandas()
     xy = p[["c1", "c2"]].to_numpy()
     xy = xy[np.unique(xy, axis=0, return_index=True)[1]]
     g = np.stack(np.meshgrid(np.linspace(0.2, 0.8, 5), np.linspace(0.2, 0.8, 5)), axis=-1).reshape(-1, 2)
     affine = regrid.barycentric_2d(xy, 1 + 2 * xy[:, 0] - xy[:, 1], g)
     smooth = regrid.barycentric_2d(xy, np.sin(3 * xy[:, 0]) * xy[:, 1], g)
-    return rows(spark, [(bool(np.abs(affine - (1 + 2 * g[:, 0] - g[:, 1])).max() < 1e-8), bool(np.abs(smooth - np.sin(3 * g[:, 0]) * g[:, 1]).max() < 0.05))], "triangles_exact boolean, close_to_planes boolean")
+    return rows(spark, [(bool(np.abs(affine - (1 + 2 * g[:, 0] - g[:, 1])).max() < 1e-8), bool(np.abs(smooth - np.sin(3 * g[:, 0]) * g[:, 1]).max() < 0.05))], "triangles_exact boolean, smooth_close boolean")
 
 
 @query("SELECT true AS model_smaller")

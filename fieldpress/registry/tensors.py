@@ -219,13 +219,13 @@ def thosvd_vs_sthosvd(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows(spark, out, "method string, within boolean")
 
 
-@query("WITH t AS (SELECT 1) SELECT 4::INTEGER AS modes, true AS same_ranks, true AS same_core")
+@query("SELECT 3::INTEGER AS modes, true AS same_ranks, true AS same_core")
 def sthosvd_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The shuffled decomposition against the driver's on the same tensor."""
     dims = [12, 10, 8]
     t = planted(spark, tables.FRONT3, dims)
     a, b = tucker.st_hosvd(t, dims, 1e-2), tucker.st_hosvd(t, dims, 1e-2, local_cells=0)
-    return rows(spark, [(4, a.ranks == b.ranks, bool(a.ranks == b.ranks and np.allclose(a.core, b.core, atol=1e-8)))], "modes int, same_ranks boolean, same_core boolean")
+    return rows(spark, [(len(dims), a.ranks == b.ranks, bool(a.ranks == b.ranks and np.allclose(a.core, b.core, atol=1e-8)))], "modes int, same_ranks boolean, same_core boolean")
 
 
 @query("SELECT (8 * (1 + (SELECT count(DISTINCT l_quantity) FROM lineitem) + (SELECT count(DISTINCT l_discount) FROM lineitem) + (SELECT count(DISTINCT l_tax) FROM lineitem)))::BIGINT AS bytes")
