@@ -12,8 +12,8 @@ ranges only if few.
 
 Defined cases: null text stays null; fewer than three lines: no window, nothing removed; a
 text all of whose lines are covered becomes empty; rows with a null id are neither indexed
-nor changed; rows that share an id and a text are one document; windows of fewer than
-``min_chars`` characters (spaces at line ends not counted) never count as repeated; the
+nor changed; rows that share an id and a text are one document; every window with a
+non-empty line counts (``min_chars`` characters, spaces at line ends not counted); the
 first occurrence is that of the smallest id, then position.
 """
 
@@ -24,7 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import small, unused, written
 
-MIN_CHARS = 80
+#: A window of three empty lines is none; a higher floor is an option that no query sets.
+MIN_CHARS = 1
 #: Position 10^9 a document: ids and positions are packed in one decimal for the minimum.
 _POSITIONS = 1_000_000_000
 _CUT, _ESC = "\x01", "\x02"

@@ -184,6 +184,13 @@ def test_lines(spark, odd, none):
     assert lines.remove_repeats(none).count() == 0
 
 
+def test_short_lines_are_windows_too(spark):
+    verse = "".join(f"w{i} w{i + 1} w{i + 2} w{i + 3}\n" for i in range(0, 60, 4))  # 60 words in lines of 4
+    rows = [(1, verse), (2, "Own first.\n" + verse + "Own last."), (3, "\n\n\n\nend of three"), (4, "\n\n\n\nend of four")]
+    got = {r.doc_id: r.text for r in lines.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[1] == verse and got[2] == "Own first.\nOwn last." and got[3] == rows[2][1] and got[4] == rows[3][1]
+
+
 # -- op10 ------------------------------------------------------------------------------------
 
 
