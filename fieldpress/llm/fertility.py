@@ -2,10 +2,12 @@
 
 Each distinct word of a batch is encoded once by a public vocabulary; a document's
 characters per token, byte-fallback share and token entropy are weighted sums over its
-words. A document outside the band of its script (or language) is rejected. Word counts,
-repeated lines and repeated word windows are measured in the same pass.
+words. A document outside the band of its language and length (``judge_fitted``) or its
+script is rejected. Word counts, repeated lines and repeated word windows are measured in
+the same pass.
 
-Row by row, no shuffle; memory is bounded by a slice of texts and a vocabulary cache of
+Row by row; fitted bands take one small aggregation over the measured rows, written once
+without the texts. Memory is bounded by a slice of texts and a vocabulary cache of
 ``CACHE_WORDS`` words that is emptied when full.
 
 Defined cases: a null text counts as no words and fails the base rule; a text without
@@ -20,11 +22,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_batches
+from .common import map_batches, written
 
 CACHE_WORDS = 400_000
 SYMBOLS = "#*$%&|<>"
@@ -240,8 +242,21 @@ def judge(measured: DataFrame, bands: dict[str, Band] | None = None, key: str =
     return measured.withColumn("base_failed", base).withColumn("kept", ~base & ok)
 
 
-def fit_bands(measured: DataFrame, key: str = "lang", spread: float = 3.0) -> dict[str, Band]:
-    """Bands by language from quantiles of all documents: medians plus or minus so many times the distance to the 5 % and 95 % points. As many rows reach the driver as there are languages."""
-    q = lambda c: F.percentile_approx(c, [0.05, 0.5, 0.95], 1000)
-    rows = measured.filter((F.col("n_words") >= 20) & F.col(key).isNotNull()).groupBy(key).agg(q("chars_per_token").alias("c"), q("fallback_share").alias("f"), q("token_entropy").alias("e")).collect()
-    return {r[key]: Band((r.c[1] - spread * (r.c[1] - r.c[0]), r.c[1] + spread * (r.c[2] - r.c[1])), r.f[1] + spread * max(r.f[2] - r.f[1], 0.01), max(0.0, r.e[1] - spread * (r.e[1] - r.e[0]))) for r in rows}
+def length_class(n_tokens: Column) -> Column:
+    """Powers of four of the token count from 64 to 4096: the spread of characters per token and the entropy depend on it."""
+    return F.greatest(F.lit(3), F.least(F.lit(6), F.floor(F.log2(F.greatest(n_tokens, F.lit(1))) / 2))).cast("int")
+
+
+def fit_bands(measured: DataFrame, key: str = "lang", spread: float = 3.0, tail: float = 0.05, least: int = 1) -> dict[str, Band]:
+    """Bands by the values of ``key`` from quantiles of all documents: medians plus or minus so many times the distance to the ``tail`` points at either side. A value of fewer than ``least`` documents gets none. As many rows reach the driver as there are values."""
+    q = lambda c: F.percentile_approx(c, [tail, 0.5, 1 - tail], 1000)
+    entropy = F.when(F.col("n_tokens") >= Band.entropy_from, F.col("token_entropy"))
+    found = measured.filter((F.col("n_words") >= 20) & F.col(key).isNotNull()).groupBy(key).agg(q("chars_per_token").alias("c"), q("fallback_share").alias("f"), q(entropy).alias("e"), F.count(F.lit(1)).alias("n"))
+    rows = found.filter(F.col("n") >= least).collect()
+    return {r[key]: Band((r.c[1] - spread * (r.c[1] - r.c[0]), r.c[1] + spread * (r.c[2] - r.c[1])), r.f[1] + spread * max(r.f[2] - r.f[1], 0.01), max(0.0, r.e[1] - spread * (r.e[1] - r.e[0])) if r.e else 0.0) for r in rows}
+
+
+def judge_fitted(measured: DataFrame, spread: float = 4.0, least: int = 30) -> DataFrame:
+    """Judged by bands that all documents passing the base rule give, by language and length class. Quartiles carry the width: up to a quarter of bad documents at a side leave it as it is. Documents without such a band are judged by script. Measured rows must have ``lang``."""
+    rows = written(measured.withColumn("band", F.concat("lang", F.lit("/"), length_class(F.col("n_tokens")))), "fertility")
+    return judge(rows, fit_bands(judge(rows).filter(~F.col("base_failed")), "band", spread, 0.25, least), "band")

@@ -13,7 +13,7 @@ def op1_fertility(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     from . import fertility
 
-    got = fertility.judge(fertility.measure(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model")))
+    got = fertility.judge_fitted(fertility.measure(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), lang_col="lang"))
     return got.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_tokens", "chars_per_token", "fallback_share", "token_entropy", "script")
 
 

@@ -91,6 +91,16 @@ def test_bands_by_language(spark, docs):
     assert all(r.n_tokens > 0 for r in rank)
 
 
+def test_random_letters_fail_fitted_bands(spark, docs):
+    rng = np.random.default_rng(5)
+    junk = [(10**6 + i, " ".join("".join(rng.choice(list("abcdefghijklmnopqrstuvwxyz"), 7)) for _ in range(200)), "en") for i in range(5)]
+    m = fertility.measure(docs.select("doc_id", "text", "lang").union(spark.createDataFrame(junk, "doc_id long, text string, lang string")), PIECES, lang_col="lang")
+    rows = fertility.judge_fitted(m, least=10).collect()
+    assert not any(r.kept for r in rows if r.doc_id >= 10**6)
+    passed = [r for r in rows if r.doc_id < 10**6 and not r.base_failed]
+    assert sum(r.kept for r in passed) > 0.8 * len(passed)
+
+
 # -- op3 -------------------------------------------------------------------------------------
 
 
