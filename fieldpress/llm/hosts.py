@@ -3,8 +3,9 @@
 Page outcomes (1 bad, 0 good) are counted by host, registered domain and suffix. A beta-
 binomial prior shrinks each suffix to the overall rate, each domain to its suffix and each
 host to its domain; the priors' strengths are estimated by moments from the counts one
-level below. A host is blocked if the lower posterior bound of its bad share exceeds a
-threshold. Explicit rules go first.
+level below. A host is blocked if the lower posterior bound of its bad share exceeds
+``FACTOR`` times the overall share, or ``THRESHOLD`` where that is less. Explicit rules go
+first.
 
 DataFrame functions only. Counts are combined before the shuffle. Hosts of more than
 1/``HEAVY`` of all pages are at most ``HEAVY`` and are broadcast; the others are joined by a shuffle, in
@@ -24,6 +25,7 @@ from pyspark.sql import functions as F
 from .common import unused, written
 
 THRESHOLD = 0.5
+FACTOR = 1.5
 Z = 1.645
 HEAVY = 1000
 MAX_RULES = 500
@@ -105,9 +107,10 @@ def reputation(outcomes: DataFrame) -> tuple[DataFrame, float, dict[str, float]]
     return h.select("host", "n", "share", low.alias("low")), overall, k
 
 
-def judge(pages: DataFrame, outcomes: DataFrame, rules: list[tuple[str, str]], *, id_col: str = "page_id", url_col: str = "url", threshold: float = THRESHOLD) -> DataFrame:
+def judge(pages: DataFrame, outcomes: DataFrame, rules: list[tuple[str, str]], *, id_col: str = "page_id", url_col: str = "url", threshold: float = THRESHOLD, factor: float = FACTOR) -> DataFrame:
     """page_id, host, path, rule, verdict, share and low (of the host). outcomes: host, bad, n (counts of labelled pages)."""
-    rep, _, _ = reputation(outcomes)
+    rep, overall, _ = reputation(outcomes)
+    limit = min(threshold, factor * overall)
     rep = written(rep, "host-reputation")
     total = rep.agg(F.sum("n")).first()[0] or 0
     heavy = rep.filter(F.col("n") * HEAVY > total)  # fewer than HEAVY rows, whatever the data
@@ -120,7 +123,7 @@ def judge(pages: DataFrame, outcomes: DataFrame, rules: list[tuple[str, str]], *
     both = first.withColumn("key", key).join(light, F.col("key") == F.col("k"), "left")
     got = F.coalesce(name, "r")
     rule = rule_of(F.col("host"), F.col("path"), rules)
-    return both.select("page_id", "host", "path", rule["rule"].alias("rule"), F.coalesce(rule["verdict"], F.when(got["low"] > threshold, "block").otherwise("allow")).alias("verdict"), got["share"].alias("share"), got["low"].alias("low"))
+    return both.select("page_id", "host", "path", rule["rule"].alias("rule"), F.coalesce(rule["verdict"], F.when(got["low"] > limit, "block").otherwise("allow")).alias("verdict"), got["share"].alias("share"), got["low"].alias("low"))
 
 
 def count_outcomes(pages: DataFrame, *, url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -87,6 +87,14 @@ def test_shrinkage(spark):
         assert 0 <= r.share <= 1 and r.low <= r.share
 
 
+def test_hosts_far_over_the_overall_share_are_blocked(spark):
+    rows = [("bad.com", 120, 400), *((f"good{i}.com", i, 200) for i in range(12)), ("one.com", 1, 1)]
+    pages = spark.createDataFrame([(i, f"http://{h}/") for i, (h, *_) in enumerate(rows)], "page_id long, url string")
+    got = {r.host: r for r in hosts.judge(pages, spark.createDataFrame(rows, "host string, bad long, n long"), []).collect()}
+    assert got["bad.com"].verdict == "block" and got["bad.com"].low < 0.5
+    assert all(r.verdict == "allow" for h, r in got.items() if h != "bad.com")
+
+
 def test_domains(spark):
     from pyspark.sql import functions as F
 
