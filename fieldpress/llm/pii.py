@@ -104,10 +104,12 @@ def written_out(spans) -> str:
 # -- candidates --------------------------------------------------------------------------
 
 _SPELT = re.compile(r"\b[A-Za-z0-9._%+-]{1,64}\s?(?:\(at\)|\[at\]|\{at\}|\bat\b|@)\s?[A-Za-z0-9-]{1,63}(?:\s?(?:\(dot\)|\[dot\]|\{dot\}|\bdot\b|\.)\s?[A-Za-z0-9-]{2,63}){1,4}", re.I)
+#: What every match of _SPELT has in it, at most 65 characters behind its start.
+_AT = re.compile(r"\bat\b|@", re.I)
 _NATIONAL = re.compile(r"(?<![0-9+])(?:00[1-9][0-9]{0,2}[ .-])?\(?[0-9]{3}\)?[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9])")
 _IBAN = re.compile(r"\b[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?\b")
 _SSN = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])")
-_SECRET = re.compile(r"\b(?:token|password|passwd|pwd|secret|api[_-]?key|access[_-]?key)\b\s{0,3}[=:]\s{0,3}[\"']?([A-Za-z0-9+/_=.-]{8,128})", re.I)
+_SECRET = re.compile(r"\b(?:token|password|passwd|pwd|secret|api[_-]?key|access[_-]?key)\b\s{0,3}[=:]\s{0,3}[\"']?([A-Za-z0-9+/_=.-]{8,})", re.I)
 _CLOUD_KEY = re.compile(r"\b(?:AKIA|ASIA)[0-9A-Z]{16}\b")
 _PERSON = re.compile(r"\b(?:Mr|Mrs|Ms|Dr|Prof)\.?\s[A-Z][a-zà-ÿ]{1,30}(?:\s[A-Z][a-zà-ÿ]{1,30})?")
 _DIGIT = re.compile(r"[0-9]")
@@ -126,11 +128,21 @@ _TOP_DOMAINS = frozenset("com org net edu gov mil info biz io co uk de fr es it
 _COUNTRIES = frozenset("AT BE BG CH CY CZ DE DK EE ES FI FR GB GR HR HU IE IS IT LI LT LU LV MC MT NL NO PL PT RO SE SI SK".split())
 
 
+def spelt(text: str) -> list[tuple[int, int]]:
+    """The matches of _SPELT, looked for only around what each has in it: a match ends within 512 characters behind that."""
+    out, end = [], 0
+    for at in _AT.finditer(text):
+        if at.start() >= end:
+            m = _SPELT.search(text, max(end, at.start() - 66), at.end() + 512)
+            if m and m.start() < at.start():
+                end = m.end()
+                out.append(m.span())
+    return out
+
+
 def candidates(text: str) -> list[tuple[int, int, str]]:
     """Spans of the wider generators, in order, each once."""
-    found = []
-    if any(x in text for x in (" dot ", "(dot)", "[dot]", "{dot}", "(at)", "[at]", "{at}")):
-        found += [(*m.span(), "email") for m in _SPELT.finditer(text)]
+    found = [(s, e, "email") for s, e in spelt(text)]
     if _DIGIT.search(text):
         found += [(*m.span(), "phone") for m in _NATIONAL.finditer(text)]
         found += [(*m.span(), "iban") for m in _IBAN.finditer(text)]
@@ -176,7 +188,7 @@ def votes(text: str, start: int, end: int, kind: str) -> tuple[int, ...]:
     near = left + " " + right
     classes = len({"d" if c.isdigit() else "a" if c.isalpha() else "o" for c in span})
     shape = {"email": "dot" in span.lower() or "at)" in span.lower() or "at]" in span.lower(), "phone": span.count("-") + span.count(".") + span.count(" ") >= 2, "iban": len(span.replace(" ", "")) >= 15, "ssn": True, "secret": len(span) >= 12, "person": True}[kind]
-    variety = len(set(span.lower())) / max(1, len(span))
+    variety = len(set(span.lower())) / max(1, min(len(span), 128))
     outside = (text[start - 1 : start], text[end : end + 1])
     return (
         1 if shape else -1,

@@ -274,3 +274,16 @@ def test_weak_supervision_adds_and_separates(spark):
     found, _ = pii.train(pii.propose(df))
     assert set(found.prior) >= {"email", "phone", "secret", "ssn"}
     assert found.posterior("ssn", "1 -1 0 -1 0 0 1") < 0.5
+
+
+def test_candidates_need_no_gate_and_secrets_no_end():
+    for t in ("john (AT) example (DOT) com", "john AT example DOT com", "john at example.com", "john at example.com or else (at) noon"):
+        assert (0, len(t.split(" or ")[0]), "email") in pii.candidates(t)
+    t = "api_key=" + "k3Y" * 100
+    assert pii.candidates(t) == [(8, 308, "secret")]
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.sampled_from(["a", "at", "AT", " ", "(at)", "@", ".", "dot", " dot ", "com", "foo", ",", "b" * 40]), max_size=40).map("".join))
+def test_spelt_addresses_are_those_of_the_pattern(text):
+    assert pii.spelt(text) == [m.span() for m in pii._SPELT.finditer(text)]
