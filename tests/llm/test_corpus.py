@@ -44,6 +44,16 @@ def test_licences(spark, odd, none):
         licences.scan(odd, {str(i): "a b c" for i in range(501)})
 
 
+def test_paragraphs_of_licence_texts(spark):
+    rows = []
+    for i, kind in enumerate(("MIT", "ISC", "BSD")):
+        parts = [t for n, t in licences.TEMPLATES.items() if n in (f"{kind}-grant", f"{kind}-notice", f"{kind}-warranty", f"{kind}-intro", f"{kind}-disclaimer") or n.startswith(f"{kind}-clause-")]
+        wrapped = ["\n".join(" ".join(t.split()[j : j + 9]) for j in range(0, len(t.split()), 9)) for t in parts]
+        rows.append((i, "Copyright (c) somebody\n\n" + "\n\n".join(wrapped), len(parts)))
+    for r, (_, _, n), kind in zip(licences.scan(spark.createDataFrame(rows, "doc_id long, text string, n long")).orderBy("doc_id").collect(), rows, ("MIT", "ISC", "BSD")):
+        assert r.licence.startswith(kind) and r.dice == 1000 and r.n_units >= n >= 2
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.sampled_from(sorted(licences.TEMPLATES)), st.lists(st.integers(0, 60), max_size=6), st.integers(0, 10**6))
 def test_prefix_is_necessary(name, holes, seed):
