@@ -1,65 +1,66 @@
 """Line deduplication over overlapping three-line windows.
 
-A text is cut into lines (at line breaks and, with ``sentences``, after sentence ends, as
-passages often stand in one long line). Every window of three consecutive lines is hashed;
-windows found more than once are looked up globally, each later occurrence covers its
-three lines, and covered lines go. Text that stays is kept byte for byte.
+A text is cut into lines. Lines end at line breaks and, with ``prose`` (the default), also
+after sentences and inside long sentences, as passages often stand in one long line: after
+the fifth to twelfth word, where a word's last character is one of ``ENDS``, so that the
+cuts follow the words themselves and fall alike in every copy of a passage. Every window of
+three consecutive lines is hashed; windows found more than once are looked up globally,
+each later occurrence covers its three lines, and covered lines go. Text that stays is
+kept byte for byte.
 
 DataFrame functions only. Windows (two hashes, id, position) are written once; hashes are
 counted with partial aggregation, then joined with the repeated ones (a shuffled join whose
-hot keys AQE can split). A broadcast is used for the covered
-ranges only if few.
+hot keys AQE can split). The covered ranges are broadcast up to ``BROADCAST_BYTES``, else
+joined by a shuffle.
 
 Defined cases: null text stays null; fewer than three lines: no window, nothing removed; a
 text all of whose lines are covered becomes empty; rows with a null id are neither indexed
 nor changed; rows that share an id and a text are one document; every window with a
-non-empty line counts (``min_chars`` characters, spaces at line ends not counted); the
-first occurrence is that of the smallest id, then position.
+non-empty line counts, however short (spaces at line ends not counted); ids may be of any
+ordered type; the first occurrence is that of the smallest id, then position.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import small, unused, written
+from .common import unused, written
 
-#: A window of three empty lines is none; a higher floor is an option that no query sets.
-MIN_CHARS = 1
-#: Position 10^9 a document: ids and positions are packed in one decimal for the minimum.
+#: Largest broadcast of covered ranges, in bytes.
+BROADCAST_BYTES = 32_000_000
+#: Position 10^9 a document: integral ids and positions are packed in one decimal for the minimum.
 _POSITIONS = 1_000_000_000
-_CUT, _ESC = "\x01", "\x02"
+#: Last characters of a word after which a long sentence may be cut: those whose code is a multiple of 4.
+ENDS = "dhlptx,"
+#: A line: up to a line break or a sentence end within 4 words; else from 5 words on also up to a word that ends in one of ENDS; 12 words at most; the rest.
+PROSE = rf"(?:[^ \n]* ){{0,3}}?[^ \n]*(?:\n|[.!?] )|(?:[^ \n]* ){{4,11}}?[^ \n]*(?:\n|[.!?{ENDS}] )|(?:[^ \n]* ){{12}}|[^\n]+"
+PLAIN = r"[^\n]*\n|[^\n]+"
 
 
-def lines_of(text: Column, sentences: bool = True) -> Column:
-    """The lines with their separators (and with two control characters escaped)."""
-    t = F.replace(F.replace(text, F.lit(_ESC), F.lit(_ESC + "b")), F.lit(_CUT), F.lit(_ESC + "a"))
-    for end in ("\n", ". ", "! ", "? ") if sentences else ("\n",):
-        t = F.replace(t, F.lit(end), F.lit(end + _CUT))
-    return F.split(t, _CUT, -1)
+def lines_of(text: Column, prose: bool = True) -> Column:
+    """The lines with their separators; joined they are the text."""
+    return F.regexp_extract_all(text, F.lit(PROSE if prose else PLAIN), F.lit(0))
 
 
-def joined(lines: Column) -> Column:
-    return F.replace(F.replace(F.array_join(lines, ""), F.lit(_ESC + "a"), F.lit(_CUT)), F.lit(_ESC + "b"), F.lit(_ESC))
-
-
-def windows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sentences: bool = True, min_chars: int = MIN_CHARS) -> DataFrame:
+def windows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", prose: bool = True) -> DataFrame:
     """id, tid (hash of the text), pos, and two hashes of each window of three lines."""
-    bare = lambda x: F.btrim(x, F.lit(" \n"))
-    src = docs.filter(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.hash(text_col).alias("tid"), F.transform(lines_of(F.col(text_col), sentences), lambda x: F.struct(F.xxhash64(bare(x)).alias("h"), F.length(bare(x)).alias("c"))).alias("a"))
-    src = src.filter(F.size("a") >= 3)
-    rest = lambda k: F.slice(F.col("a"), F.lit(k), F.size("a"))
-    out = src.select("id", "tid", F.posexplode(F.arrays_zip(F.col("a").alias("x"), rest(2).alias("y"), rest(3).alias("z"))).alias("pos", "w"))
-    out = out.filter(F.col("w.z").isNotNull() & (F.col("w.x.c") + F.col("w.y.c") + F.col("w.z.c") >= min_chars))
-    hashes = [F.col("w.x.h"), F.col("w.y.h"), F.col("w.z.h")]
-    return out.select("id", "tid", "pos", F.xxhash64(*hashes).alias("k1"), F.hash(*hashes).alias("k2"))
+    hashed = F.transform(lines_of(F.col(text_col), prose), lambda x: F.xxhash64(F.btrim(x, F.lit(" \n"))))
+    src = docs.filter(F.col(id_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.hash(text_col).alias("tid"), hashed.alias("a"))
+    out = src.filter(F.size("a") >= 3).select("id", "tid", "a", F.explode(F.sequence(F.lit(0), F.size("a") - 3)).alias("pos"))
+    out = out.select("id", "tid", "pos", *[F.col("a")[F.col("pos") + i].alias(f"h{i}") for i in range(3)])
+    empty = F.xxhash64(F.lit(""))
+    full = out.filter((F.col("h0") != empty) | (F.col("h1") != empty) | (F.col("h2") != empty))
+    return full.select("id", "tid", "pos", F.xxhash64("h0", "h1", "h2").alias("k1"), F.hash("h0", "h1", "h2").alias("k2"))
 
 
 def covered(docs: DataFrame, **kw) -> DataFrame:
     """id, tid, covered (merged ranges of lines to remove)."""
     found = written(windows(docs, **kw), "line-windows")
-    place = F.col("id").cast("decimal(19,0)") * F.lit(_POSITIONS).cast("decimal(10,0)") + F.col("pos").cast("decimal(10,0)")
-    place = place.cast("decimal(31,0)")
+    place: Column = F.struct("id", "pos")
+    if isinstance(found.schema["id"].dataType, T.IntegralType):  # a number can be combined in place, before the shuffle
+        place = (F.col("id").cast("decimal(19,0)") * F.lit(_POSITIONS).cast("decimal(10,0)") + F.col("pos").cast("decimal(10,0)")).cast("decimal(31,0)")
     repeated = found.groupBy("k1", "k2").agg(F.count(F.lit(1)).alias("n"), F.min(place).alias("first")).filter(F.col("n") > 1).select("k1", "k2", "first")
     repeated = written(repeated, "repeated-windows")
     later = found.join(repeated, ["k1", "k2"]).filter(place > F.col("first"))
@@ -74,21 +75,25 @@ def merged(s: Column) -> Column:
     return F.zip_with(first, last, lambda a, z: F.struct(a.alias("a"), (z + 3).alias("b")))
 
 
-def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sentences: bool = True, min_chars: int = MIN_CHARS, counts: tuple[str, str] | None = None) -> DataFrame:
+def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", prose: bool = True, counts: tuple[str, str] | None = None, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """docs with the later occurrences of repeated windows cut from the text; every row stays. ``counts`` names two more columns: lines and removed lines."""
-    gone = covered(docs, id_col=id_col, text_col=text_col, sentences=sentences, min_chars=min_chars)
+    gone = covered(docs, id_col=id_col, text_col=text_col, prose=prose)
     tid, key, ids, cov = unused(docs, "tid", "gone_tid", "gone_id", "covered")
     gone = gone.select(F.col("id").alias(ids), F.col("tid").alias(key), F.col("covered").alias(cov))
-    few = small(gone) and (gone.agg(F.sum(F.size(cov))).first()[0] or 0) < 4_000_000
-    both = docs.withColumn(tid, F.hash(text_col)).join(F.broadcast(gone) if few else gone, (F.col(id_col) == F.col(ids)) & (F.col(tid) == F.col(key)), "left")
-    lines = lines_of(F.col(text_col), sentences)
-    n = F.size(lines)
+    # a row in memory: two numbers and a header, and 32 bytes for each range
+    size = gone.agg(F.sum(F.lit(64) + F.coalesce(F.octet_length(F.col(ids).cast("string")), F.lit(0)) + 32 * F.size(cov))).first()[0] or 0
+    both = docs.withColumn(tid, F.hash(text_col)).join(F.broadcast(gone) if size <= broadcast_bytes else gone.hint("merge"), (F.col(id_col) == F.col(ids)) & (F.col(tid) == F.col(key)), "left")
+    lines = lines_of(F.col(text_col), prose)
     # bound once by the outer lambda; within a lambda other expressions are evaluated for each element
-    bound = F.array(F.struct(lines.alias("a"), _marks(F.col(cov), n).alias("gone")))
-    kept = joined(F.element_at(F.transform(bound, lambda s: F.filter(s["a"], lambda x, i: ~F.element_at(s["gone"], i + 1))), 1))
+    bound = F.transform(F.array(lines), lambda a: F.struct(a.alias("a"), _marks(F.col(cov), F.size(a)).alias("gone")))
+    kept = F.array_join(F.element_at(F.transform(bound, lambda s: F.filter(s["a"], lambda x, i: ~F.element_at(s["gone"], i + 1))), 1), "")
     text = F.when(F.col(cov).isNull(), F.col(text_col)).otherwise(kept)
-    out = both.withColumn(text_col, text) if counts is None else both.withColumns({counts[0]: F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(n).cast("long"), counts[1]: F.coalesce(F.aggregate(cov, F.lit(0), lambda n, r: n + r["b"] - r["a"]), F.lit(0)).cast("long"), text_col: text})
-    return out.select(*docs.columns, *(counts or ()))
+    if counts is None:
+        return both.withColumn(text_col, text).select(*docs.columns)
+    n_lines = F.coalesce(F.size(lines), F.lit(0)) if prose else F.regexp_count(text_col, F.lit(PLAIN))
+    n_gone = F.coalesce(F.aggregate(cov, F.lit(0), lambda n, r: n + r["b"] - r["a"]), F.lit(0))
+    out = both.withColumns({counts[0]: F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(n_lines).cast("long"), counts[1]: n_gone.cast("long"), text_col: text})
+    return out.select(*docs.columns, *counts)
 
 
 def _marks(ranges: Column, n: Column) -> Column:
@@ -98,11 +103,12 @@ def _marks(ranges: Column, n: Column) -> Column:
     return F.flatten(F.zip_with(ends, all_, lambda p, r: F.concat(F.array_repeat(F.lit(False), r["a"] - p), F.array_repeat(F.lit(True), r["b"] - r["a"]))))
 
 
-def sql(min_chars: int = MIN_CHARS) -> str:
+def sql(prose: bool = True) -> str:
     """The same result in DuckDB: lines and windows as strings, for one row per id."""
-    return f"""
+    pattern = (PROSE if prose else PLAIN).replace("'", "''")
+    return rf"""
 WITH cut AS (
-  SELECT doc_id, text, string_split(regexp_replace(text, '(\\n|[.!?] )', '\\1' || chr(1), 'g'), chr(1)) AS a FROM documents
+  SELECT doc_id, text, regexp_extract_all(text, '{pattern}') AS a FROM documents
 ), line AS (
   SELECT doc_id, unnest(a) AS s, unnest(range(len(a)))::BIGINT AS pos FROM cut
 ), win AS (
@@ -111,7 +117,7 @@ WITH cut AS (
   FROM line WINDOW w AS (PARTITION BY doc_id ORDER BY pos)
 ), seen AS (
   SELECT doc_id, pos, row_number() OVER (PARTITION BY x, y, z ORDER BY doc_id, pos) AS r
-  FROM win WHERE z IS NOT NULL AND length(x) + length(y) + length(z) >= {min_chars}
+  FROM win WHERE z IS NOT NULL AND (x <> '' OR y <> '' OR z <> '')
 ), gone AS (
   SELECT DISTINCT doc_id, pos + o.k AS pos FROM seen, (SELECT unnest([0, 1, 2]) AS k) o WHERE r > 1
 ), kept AS (
@@ -120,5 +126,5 @@ WITH cut AS (
   FROM line l LEFT JOIN gone g ON l.doc_id = g.doc_id AND l.pos = g.pos GROUP BY l.doc_id
 )
 SELECT d.doc_id, coalesce(k.n_lines, 0)::BIGINT AS n_lines, coalesce(k.n_removed, 0)::BIGINT AS n_removed,
-  sha256(k.t) AS text_sha256 FROM documents d LEFT JOIN kept k ON d.doc_id = k.doc_id
+  CASE WHEN d.text IS NOT NULL THEN sha256(coalesce(k.t, '')) END AS text_sha256 FROM documents d LEFT JOIN kept k ON d.doc_id = k.doc_id
 """
