@@ -97,7 +97,7 @@ def crc_bucket(doc_id: Any, n: int) -> Any:
     return F.crc32(F.col(doc_id).cast("string").cast("binary") if isinstance(doc_id, str) else doc_id.cast("string").cast("binary")) % n
 
 
-def without(docs: DataFrame, ids: DataFrame, id_col: str) -> DataFrame:
-    """docs without the rows of these ids. The ids are broadcast if they are few, else both sides are shuffled."""
+def without(docs: DataFrame, ids: DataFrame, id_col: str | list[str]) -> DataFrame:
+    """docs without the rows of these ids. The ids are broadcast if they are few (some 10 MB), else both sides are shuffled."""
     gone = written(ids.distinct(), "gone")
     return docs.join(F.broadcast(gone) if small(gone) else gone, id_col, "left_anti")

@@ -7,23 +7,32 @@ candidates; bounds on length and position prune them, and the window's words are
 with the document's exactly.
 
 DataFrame functions only. The corpus is read twice (counts of benchmark words, then the
-join); windows are broadcast in blocks of at most ``BLOCK_ROWS`` distinct windows, one more pass a
-block beyond that. Only matches and one row a document are shuffled, by document.
+join). Tables that come from the benchmark are broadcast up to ``BROADCAST_BYTES``; a larger
+one is joined by a shuffle of the document words that are some window's prefix, each with
+its neighbourhood, in the same one pass. Only matches and one row a document are shuffled
+otherwise, by document.
+
+Rows are told apart by their place in the scan of ``docs``, which must be a table (files
+are read in the same splits each time, also when a task is repeated).
 
 Defined cases: null text has no words; an item without words has no window; equal items
-count each; equal rarity is ordered by word; rows that share an id and a text are one
-document's repeats and each has the result; an empty benchmark gives no hits.
+count each; equal rarity is ordered by word; repeated rows and rows with a null id are
+judged each and each has its result; an empty benchmark gives no hits; ids may be of any type.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, written
+from .common import unused, written
 
 WINDOW = 13
-BLOCK_ROWS = BROADCAST_ROWS
+#: Broadcast up to so many bytes (of words and arrays as they stand in memory, estimated).
+BROADCAST_BYTES = 64_000_000
+WORD_BYTES = 48
+#: Buckets that tell which document words can be a prefix of a window; as longs some 16 MB in a broadcast.
+_BUCKETS = 1 << 20
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _GAPS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
@@ -41,70 +50,74 @@ def item_windows(items: DataFrame, *, item_col: str = "item_id", text_col: str =
     return src.select("item", "words", at.alias("i")).select("item", F.slice("words", F.col("i"), size).alias("w")).groupBy("w").agg(F.collect_set("item").alias("items"))
 
 
-def rarity(docs: DataFrame, vocabulary: DataFrame, *, text_col: str = "text") -> DataFrame:
+def rarity(docs: DataFrame, vocabulary: DataFrame, few: bool, *, text_col: str = "text") -> DataFrame:
     """word, n: how often each word of the vocabulary (column word) occurs in all documents."""
     words = docs.select(F.explode(words_of(F.col(text_col))).alias("word"))
-    return vocabulary.join(words.join(F.broadcast(vocabulary), "word", "left_semi").groupBy("word").agg(F.count(F.lit(1)).alias("n")), "word", "left").select("word", F.coalesce("n", F.lit(0)).alias("n"))
+    found = words.join(F.broadcast(vocabulary) if few else vocabulary, "word", "left_semi").groupBy("word").agg(F.count(F.lit(1)).alias("n"))
+    return vocabulary.join(F.broadcast(found) if few else found, "word", "left").select("word", F.coalesce("n", F.lit(0)).alias("n"))
 
 
-def prefixes(windows: DataFrame, counts: DataFrame) -> DataFrame:
-    """token (the rarest word), off (its first place in the window), w, len, items."""
-    place = windows.withColumn("id", F.xxhash64("w")).select("id", "w", "items", F.posexplode("w").alias("off", "word")).join(counts, "word")
-    first = Window.partitionBy("w").orderBy("n", "word", "off")
-    return place.withColumn("r", F.row_number().over(first)).filter(F.col("r") == 1).select(F.col("word").alias("token"), "off", "w", F.size("w").alias("len"), "items", F.xxhash64("w").alias("wid"))
+def prefixes(windows: DataFrame, counts: DataFrame, few: bool) -> DataFrame:
+    """token (the rarest word), off (its first place in the window), w, len, items. Common words stand in many windows: their counts are broadcast if few, else AQE splits the join."""
+    place = windows.select("w", "items", F.posexplode("w").alias("off", "word")).join(F.broadcast(counts) if few else counts, "word")
+    first = place.groupBy("w").agg(F.first("items").alias("items"), F.min(F.struct("n", "word", "off")).alias("p"))
+    return first.select(F.col("p.word").alias("token"), F.col("p.off").alias("off"), "w", F.size("w").alias("len"), "items")
 
 
-def occurrences(docs: DataFrame, block: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, tid, n_words, start, len, items for each exact occurrence, and one row without start for each document. block: prefixes, at most ``BLOCK_ROWS``."""
-    marker = docs.sparkSession.range(1).select(F.lit("").alias("token"), F.lit(0).alias("off"), F.lit(None).cast("array<string>").alias("w"), F.lit(0).alias("len"), F.lit(None).cast("array<string>").alias("items"))
-    table = block.select("token", "off", "w", "len", "items").union(marker)
-    src = docs.select(F.col(id_col).alias("id"), F.hash(text_col).alias("tid"), words_of(F.col(text_col)).alias("words"))
-    src = src.select("id", "tid", "words", F.size("words").alias("n_words"))
-    spread = src.select("id", "tid", "words", "n_words", F.posexplode(F.concat(F.array(F.lit("")), F.col("words"))).alias("p", "token"))
+def occurrences(docs: DataFrame, table: DataFrame, few: bool, *, text_col: str = "text", size: int = WINDOW) -> DataFrame:
+    """rid, n_words, start, len, items for each exact occurrence, and one row without start for each row of docs (``id`` goes through)."""
+    src = docs.select("rid", "id", words_of(F.col(text_col)).alias("words"))
+    src = src.select("rid", "id", "words", F.size("words").cast("long").alias("n_words"))
     start = F.col("p") - F.col("off")
     inside = (start >= 1) & (start + F.col("len") - 1 <= F.col("n_words"))
-    same = F.slice("words", F.when(inside, start).otherwise(F.lit(1)), F.col("len")) == F.col("w")
-    hit = spread.join(F.broadcast(table), "token").filter(F.col("w").isNull() | (inside & same))
-    return hit.select("id", "tid", F.col("n_words").cast("long").alias("n_words"), F.when(F.col("w").isNotNull(), start).alias("start"), "len", "items")
-
-
-def _blocks(windows: DataFrame, rows: int) -> list[DataFrame]:
-    n = windows.count()
-    parts = max(1, -(-n // rows))
-    if parts == 1:
-        return [windows]
-    parts = -(-parts * 5 // 4)  # blocks are dealt by hash and so are uneven
-    return [windows.filter(F.pmod(F.col("wid"), F.lit(parts)) == i) for i in range(parts)]
-
-
-def contaminated(docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", size: int = WINDOW, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """doc_id, tid (hash of the text), n_words, n_hit, n_items, items (sorted ids as strings), contaminated; one row for each distinct (doc_id, text)."""
+    none = F.lit(None)
+    if few:
+        marker = docs.sparkSession.range(1).select(F.lit("").alias("token"), F.lit(0).alias("off"), none.cast("array<string>").alias("w"), F.lit(0).alias("len"), none.cast("array<string>").alias("items"))
+        spread = src.select("*", F.posexplode(F.concat(F.array(F.lit("")), F.col("words"))).alias("p", "token"))
+        same = F.slice("words", F.when(inside, start).otherwise(F.lit(1)), F.col("len")) == F.col("w")
+        hit = spread.join(F.broadcast(table.select("token", "off", "w", "len", "items").union(marker)), "token").filter(F.col("w").isNull() | (inside & same))
+        return hit.select("rid", "id", "n_words", F.when(F.col("w").isNotNull(), start).alias("start"), "len", "items")
+    # words that may be a prefix only (told by a bounded table of hash buckets), each with the words around it
+    bucket = lambda c: F.pmod(F.xxhash64(c), F.lit(_BUCKETS)).alias("bucket")
+    first = F.greatest(F.col("p") - (size - 1), F.lit(1))
+    spread = src.select("rid", "id", "n_words", "words", F.posexplode("words").alias("p0", "token")).select("rid", "id", "n_words", "words", (F.col("p0") + 1).alias("p"), "token", bucket("token"))
+    spread = spread.join(F.broadcast(table.select(bucket("token")).distinct()), "bucket", "left_semi")
+    spread = spread.select("rid", "id", "n_words", "p", "token", F.slice("words", first, F.lit(2 * size - 1)).alias("near"), first.alias("from"))
+    same = F.slice("near", F.when(inside, start - F.col("from") + 1).otherwise(F.lit(1)), F.col("len")) == F.col("w")
+    hit = spread.join(table, "token").filter(inside & same).select("rid", "id", "n_words", start.alias("start"), "len", "items")
+    return hit.union(src.select("rid", "id", "n_words", none.cast("int"), F.lit(0), none.cast("array<string>")))
+
+
+def contaminated(docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", size: int = WINDOW, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """doc_id, n_words, n_hit, n_items, items (sorted ids as strings), contaminated, and t1, t2 (hashes of the text); one row for each row of docs."""
     windows = written(item_windows(items, item_col=item_col, text_col=item_text_col, size=size), "item-windows")
     vocabulary = written(windows.select(F.explode("w").alias("word")).distinct(), "item-words")
-    counts = None
-    words = vocabulary.withColumn("wid", F.xxhash64("word"))
-    for part in _blocks(words, block_rows):
-        got = rarity(docs, part.select("word"), text_col=text_col)
-        counts = got if counts is None else counts.union(got)
-    ranked = written(prefixes(windows, counts), "item-prefixes")
-    hits = None
-    for part in _blocks(ranked, block_rows):
-        got = occurrences(docs, part, id_col=id_col, text_col=text_col)
-        hits = got if hits is None else hits.union(got)
+    few_words = vocabulary.count() * 2 * WORD_BYTES <= broadcast_bytes
+    few_windows = windows.count() * (size + 4) * WORD_BYTES <= broadcast_bytes
+    counts = written(rarity(docs, vocabulary, few_words, text_col=text_col), "word-counts")
+    ranked = written(prefixes(windows, counts, few_words), "item-prefixes")
+    src = docs.select(F.monotonically_increasing_id().alias("rid"), F.struct(F.col(id_col).alias("doc_id"), *_keys(text_col)).alias("id"), F.col(text_col).alias("text"))
+    hits = occurrences(src, ranked, few_windows, size=size)
     # an occurrence becomes the positions it covers and its items; sets are combined before the shuffle
     span = F.struct("start", "len")
-    one = hits.groupBy("id", "tid").agg(F.max("n_words").alias("n_words"), F.collect_set(F.when(F.col("start").isNotNull(), span)).alias("spans"), F.collect_set("items").alias("items"))
+    one = hits.groupBy("rid").agg(F.first("id").alias("id"), F.max("n_words").alias("n_words"), F.collect_set(F.when(F.col("start").isNotNull(), span)).alias("spans"), F.collect_set("items").alias("items"))
     covered = F.size(F.array_distinct(F.flatten(F.transform("spans", lambda s: F.sequence(s["start"], s["start"] + s["len"] - 1)))))
-    out = one.select(F.col("id").alias("doc_id"), "tid", "n_words", F.when(F.size("spans") > 0, covered).otherwise(F.lit(0)).cast("long").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten("items"))).alias("items"))
-    return out.select("doc_id", "tid", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), "items", ((F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words"))).alias("contaminated"))
+    out = one.select("id.*", "n_words", F.when(F.size("spans") > 0, covered).otherwise(F.lit(0)).cast("long").alias("n_hit"), F.array_sort(F.array_distinct(F.flatten("items"))).alias("items"))
+    return out.select("doc_id", "t1", "t2", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), "items", ((F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words"))).alias("contaminated"))
+
+
+def _keys(text_col: str, names: tuple[str, str] = ("t1", "t2")) -> list[Column]:
+    return [F.xxhash64(text_col).alias(names[0]), F.hash(text_col).alias(names[1])]
 
 
-def drop_contaminated(docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id", **kw) -> DataFrame:
-    """docs without the contaminated documents."""
+def drop_contaminated(docs: DataFrame, items: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **kw) -> DataFrame:
+    """docs without the contaminated rows, told by their text (96 bits of hashes): other rows of the same id stay, rows with a null id are judged like any."""
     from .common import without
 
-    found = contaminated(docs, items, id_col=id_col, **kw)
-    return without(docs, found.filter("contaminated").select(F.col("doc_id").alias(id_col)), id_col)
+    t1, t2 = unused(docs, "t1", "t2")
+    found = contaminated(docs, items, id_col=id_col, text_col=text_col, **kw)
+    gone = found.filter("contaminated").select(F.col("t1").alias(t1), F.col("t2").alias(t2))
+    return without(docs.select("*", *_keys(text_col, (t1, t2))), gone, [t1, t2]).drop(t1, t2)
 
 
 SQL = f"""
