@@ -1,30 +1,36 @@
 """Licence scans: normalised text compared to licence templates by Dice coefficient.
 
-The units of a document are its lines and its blocks of lines between blank lines. A
-unit's and a template's sets of word bigrams are compared if their sizes allow the
-threshold t: |A| within [t/(2-t), (2-t)/t] of |B|. Before that, a unit must hold a word of
-the template's necessary prefix: of its bigrams, all but (least overlap - 1) of the most
-common, one at least has to be shared.
+The units of a document are its sentences and runs of up to ``RUN`` of them, its lines, its
+blocks between blank lines and runs of up to ``RUN`` of those, and the whole text. A unit's
+and a template's sets of word bigrams are compared if their sizes allow the threshold t:
+|A| within [t/(2-t), (2-t)/t] of |B|. Before that, a unit must hold a word of the
+template's necessary prefix: of its bigrams, all but (least overlap - 1) of the most
+common, one at least has to be shared. A document without any such word makes no units.
 
-DataFrame functions only; no shuffle but one small aggregation of the found units by
-document. Templates are literals, at most ``MAX_TEMPLATES``.
+DataFrame functions only, no shuffle. Templates are one literal in the plan (a chosen list;
+several hundred licence texts are a few megabytes).
 
 Defined cases: null and empty texts have no match (null licence, dice 0); ties go to the
-template that stands first in alphabetical order; repeated rows give repeated results;
-units of fewer than two words have no bigrams and never match.
+larger template, then to the first in alphabetical order; repeated rows give repeated results;
+units of fewer than two words have no bigrams and never match; no templates: no match.
 """
 
 from __future__ import annotations
 
+import json
 import re
+from collections.abc import Callable
 from math import ceil
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 THRESHOLD = 0.8
-MAX_TEMPLATES = 500
+#: Longest run of sentences or blocks that is one unit.
+RUN = 6
 _GAPS = r"[^\p{L}\p{N}]+"
+#: Blank lines, also those of comment signs alone.
+_BLANK = r"\n[ \t\r*#/;]*\n"
 
 # Customary short notices of public licences; paragraphs of the short licence texts.
 TEMPLATES = {
@@ -55,6 +61,17 @@ TEMPLATES = {
 }
 
 
+#: Whole licence texts, from their paragraphs above.
+_WHOLE = {
+    "BSD-2-Clause-text": ("BSD-intro", "BSD-clause-1", "BSD-clause-2", "BSD-disclaimer"),
+    "BSD-3-Clause-text": ("BSD-intro", "BSD-clause-1", "BSD-clause-2", "BSD-clause-3", "BSD-disclaimer"),
+    "GPL-3.0-notice": ("GPL-3.0-header", "GPL-3.0-warranty"),
+    "ISC-text": ("ISC-grant", "ISC-warranty"),
+    "MIT-text": ("MIT-grant", "MIT-notice", "MIT-warranty"),
+}
+TEMPLATES |= {name: "\n\n".join(TEMPLATES[x] for x in parts) for name, parts in _WHOLE.items()}
+
+
 def template_bigrams(text: str) -> list[str]:
     words = [w for w in re.split(r"[\W_]+", text.lower()) if w]
     return sorted({f"{a} {b}" for a, b in zip(words, words[1:])})
@@ -68,17 +85,25 @@ def prefix_words(bigrams: list[str], threshold: float) -> set[str]:
     return {max(g.split(), key=lambda w: (len(w), w)) for g in order[: b - least + 1]}
 
 
-def units(text: Column) -> Column:
-    """Lines, and blocks of more than one line."""
-    blocks = F.filter(F.split(text, r"\n[ \t\r]*\n", -1), lambda x: F.instr(F.btrim(x, F.lit(" \t\r\n")), "\n") > 0)
-    return F.concat(F.split(text, "\n", -1), blocks)
+def words_of(text: Column) -> Column:
+    return F.filter(F.split(F.lower(text), _GAPS, -1), lambda w: w != "")
+
+
+def runs(pieces: Column, near: Column, lengths: range, judge: Callable[[Column], Column]) -> Column:
+    """judge(words) of each run of k pieces (arrays of words) that holds a word of ``near``, for each k; no run outlives its judgement."""
+    # bound by a lambda: other expressions within one are evaluated for each element
+    bound = F.array(F.struct(pieces.alias("p"), F.transform(pieces, lambda w: F.arrays_overlap(w, near)).alias("has")))
+
+    def of(s: Column, k: int) -> Column:
+        at = F.when(F.size(s["p"]) >= k, F.filter(F.sequence(F.lit(1), F.size(s["p"]) - k + 1), lambda i: F.exists(F.slice(s["has"], i, k), lambda x: x))).otherwise(F.array().cast("array<int>"))
+        return F.filter(F.transform(at, lambda i: judge(F.flatten(F.slice(s["p"], i, k)))), lambda x: x.isNotNull())
+
+    return F.transform(bound, lambda s: F.concat(*[of(s, k) for k in lengths]))[0]
 
 
 def scan(docs: DataFrame, templates: dict[str, str] | None = None, *, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, licence (of the best unit, else null), dice (in thousandths, rounded down), n_units (matching units)."""
     templates = TEMPLATES if templates is None else templates
-    if len(templates) > MAX_TEMPLATES:
-        raise ValueError(f"{len(templates)} templates; at most {MAX_TEMPLATES} are held as literals")
     num, den = round(threshold * 1000), 1000
     made = [(name, grams) for name, text in sorted(templates.items()) if (grams := template_bigrams(text))]
     words = sorted(set().union(*(prefix_words(g, threshold) for _, g in made))) if made else []
@@ -87,41 +112,60 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, *, id_col: st
     least = min((-(-len(g) * num // (2 * den - num)) for _, g in made), default=1)
 
     src = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
-    split_ = lambda u: F.filter(F.split(F.lower(u), _GAPS, -1), lambda w: w != "")
-    literal = F.array(*[F.lit(w) for w in words]) if words else F.array().cast("array<string>")
-    cut = F.transform(F.coalesce(units(F.col("text")), F.array().cast("array<string>")), split_)
-    near = F.filter(cut, lambda w: (F.size(w) >= least + 1) & F.arrays_overlap(w, literal))
-    grams = F.transform(near, lambda w: F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(w) - 2), lambda i: F.concat(w[i], F.lit(" "), w[i + 1]))))
-    grams = F.filter(grams, lambda g: F.size(g).between(least, largest))
-    table = F.array(*[F.struct(F.lit(n).alias("name"), F.array(*map(F.lit, g)).alias("g")) for n, g in made]).cast("array<struct<name:string,g:array<string>>>")
+    near = F.array(*[F.lit(w) for w in words]) if words else F.array().cast("array<string>")
+    cut = lambda x, by: F.transform(F.split(x, by, -1), words_of)
+    parts = F.struct(
+        cut(F.regexp_replace("text", r"([.!?])[ \t\r]+", "$1\n"), "\n").alias("sentences"),
+        cut(F.col("text"), "\n").alias("lines"),
+        cut(F.col("text"), _BLANK).alias("blocks"),
+    )
+    all_words = words_of(F.col("text"))
+    table = F.from_json(F.lit(json.dumps([{"name": n, "g": g} for n, g in made])), "array<struct<name:string,g:array<string>>>")
 
     def scored(g: Column) -> Column:
         fit = F.filter(table, lambda t: num * (F.size(g) + F.size(t["g"])) <= 2 * den * F.least(F.size(g), F.size(t["g"])))
-        both = F.transform(fit, lambda t: F.struct((-F.floor(2000 * F.size(F.array_intersect(g, t["g"])) / (F.size(g) + F.size(t["g"])) + 1e-9)).cast("long").alias("d"), t["name"].alias("name")))
-        return F.array_min(both)
-
-    best = F.filter(F.transform(grams, scored), lambda s: s.isNotNull() & (s["d"] <= -num))
-    found = src.select("doc_id", best.alias("best"))
+        both = F.transform(fit, lambda t: F.struct((-F.floor(2000 * F.size(F.array_intersect(g, t["g"])) / (F.size(g) + F.size(t["g"])) + 1e-9)).cast("long").alias("d"), (-F.size(t["g"])).alias("n"), t["name"].alias("name")))
+        return F.array_min(F.filter(both, lambda x: x["d"] <= -num))
+
+    def judged(words: Column) -> Column:
+        grams = lambda w: F.array_distinct(F.transform(F.sequence(F.lit(0), F.size(w) - 2), lambda i: F.concat(w[i], F.lit(" "), w[i + 1])))
+        some = F.filter(F.array(words), lambda w: F.size(w) >= least + 1)  # bound: its size is asked before its bigrams are made
+        return F.array_min(F.transform(F.filter(F.transform(some, grams), lambda g: F.size(g).between(least, largest)), scored))
+
+    # the parts are bound once by a lambda, and made only for documents that hold a prefix word
+    units = F.transform(
+        F.array(parts),
+        lambda p: F.concat(runs(p["sentences"], near, range(1, RUN + 1), judged), runs(p["lines"], near, range(1, 2), judged), runs(p["blocks"], near, range(1, RUN + 1), judged), F.filter(F.array(judged(F.flatten(p["lines"]))), lambda x: x.isNotNull())),
+    )[0]
+    best = F.when(F.arrays_overlap(all_words, near), units)
+    found = src.select("doc_id", F.coalesce(best, F.array().cast("array<struct<d:bigint,n:int,name:string>>")).alias("best"))
     top = F.array_min("best")
     return found.select("doc_id", top["name"].alias("licence"), F.coalesce(-top["d"], F.lit(0)).cast("long").alias("dice"), F.size("best").cast("long").alias("n_units"))
 
 
 def sql(templates: dict[str, str] | None = None, threshold: float = THRESHOLD) -> str:
+    """The same in DuckDB, without the prefix words: the bigrams that every unit shares with every template of a size that fits."""
     templates = TEMPLATES if templates is None else templates
     rows = ", ".join("('" + n.replace("'", "''") + "', '" + t.replace("'", "''") + "')" for n, t in sorted(templates.items()))
     grams = lambda w: f"list_distinct(list_transform(range(1, len({w})), lambda i: {w}[i] || ' ' || {w}[i + 1]))"
     words = lambda t: f"list_filter(regexp_split_to_array(lower({t}), '[^\\p{{L}}\\p{{N}}]+'), lambda x: x <> '')"
+    cut = lambda x: f"list_transform({x}, lambda u: {words('u')})"
+    run = lambda x, k: f"list_transform(range(1, len({x}) - {k - 2}), lambda i: flatten({x}[i : i + {k - 1}]))"
+    each = ", ".join([run("s", k) for k in range(1, RUN + 1)] + ["l"] + [run("b", k) for k in range(1, RUN + 1)] + ["[flatten(l)]"])
+    t = round(threshold * 1000)
     return f"""
 WITH tpl AS (SELECT name, {grams("w")} AS g FROM (SELECT name, {words("body")} AS w FROM (VALUES {rows}) v(name, body))),
-unit AS (
-  SELECT doc_id, unnest(list_concat(string_split(text, chr(10)), list_filter(regexp_split_to_array(text, '\\n[ \\t\\r]*\\n'), lambda x: instr(trim(x, ' ' || chr(9) || chr(10) || chr(13)), chr(10)) > 0))) AS u FROM documents
-), ug AS (SELECT doc_id, {grams("w")} AS g FROM (SELECT doc_id, {words("u")} AS w FROM unit) WHERE len(w) >= 2),
+part AS (
+  SELECT doc_id, {cut("string_split(regexp_replace(text, '([.!?])[ \\t\\r]+', '\\1' || chr(10), 'g'), chr(10))")} AS s, {cut("string_split(text, chr(10))")} AS l, {cut("regexp_split_to_array(text, '\\n[ \\t\\r*#/;]*\\n')")} AS b
+  FROM documents
+), unit AS (SELECT doc_id, unnest(list_concat({each})) AS w FROM part
+), ug AS (SELECT doc_id, i, n, unnest(g) AS g FROM (SELECT doc_id, i, g, len(g) AS n FROM (SELECT doc_id, row_number() OVER () AS i, {grams("w")} AS g FROM unit WHERE len(w) >= 2))),
+tg AS (SELECT name, n, unnest(g) AS g FROM (SELECT name, g, len(g) AS n FROM tpl)),
 pair AS (
-  SELECT doc_id, g, name, 2000 * len(list_intersect(g, tg)) // (len(g) + len(tg)) AS d
-  FROM (SELECT ug.doc_id, ug.g, tpl.name, tpl.g AS tg FROM ug, tpl WHERE len(ug.g) <= 3 * len(tpl.g) AND len(tpl.g) <= 3 * len(ug.g))
-), numbered AS (SELECT doc_id, g, name, d FROM pair WHERE d >= {round(threshold * 1000)}),
-best AS (SELECT doc_id, arg_min(name, (-d, name)) AS licence, max(d) AS dice FROM numbered GROUP BY doc_id),
-cnt AS (SELECT doc_id, count(*) AS n FROM ug WHERE EXISTS (SELECT 1 FROM tpl WHERE 2000 * len(list_intersect(ug.g, tpl.g)) // (len(ug.g) + len(tpl.g)) >= {round(threshold * 1000)}) GROUP BY doc_id)
+  SELECT doc_id, i, name, max(tg.n) AS tn, 2000 * count(*) // (max(ug.n) + max(tg.n)) AS d
+  FROM ug JOIN tg ON ug.g = tg.g WHERE {t} * (ug.n + tg.n) <= 2000 * least(ug.n, tg.n) GROUP BY doc_id, i, name
+), near AS (SELECT * FROM pair WHERE d >= {t}),
+best AS (SELECT doc_id, arg_min(name, (-d, -tn, name)) AS licence, max(d) AS dice, count(DISTINCT i) AS n FROM near GROUP BY doc_id)
 SELECT d.doc_id, licence, coalesce(dice, 0)::BIGINT AS dice, coalesce(n, 0)::BIGINT AS n_units
-FROM documents d LEFT JOIN best b ON d.doc_id = b.doc_id LEFT JOIN cnt c ON d.doc_id = c.doc_id
+FROM documents d LEFT JOIN best b ON d.doc_id = b.doc_id
 """
