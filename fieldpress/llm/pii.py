@@ -260,6 +260,24 @@ def fit_classifier(rows: list[list[int]], target: np.ndarray, epochs: int = 20,
     return w
 
 
+def free(cands: list[tuple[int, int, str]], spans: list[tuple[int, int, str]]) -> list[tuple[int, int, str]]:
+    """The candidates (by start, then length downwards) that overlap no span and none chosen before; one sweep over both."""
+    out: list[tuple[int, int, str]] = []
+    starts = sorted((s, e) for s, e, _ in spans)
+    i, reach, end = 0, -1, -1  # reach: the furthest end of the spans that start before the candidate's end
+    for s, e, kind in cands:
+        j, far = i, reach
+        while j < len(starts) and starts[j][0] < e:
+            far = max(far, starts[j][1])
+            j += 1
+            if starts[j - 1][0] <= s:  # starts only grow: such a span counts for all later candidates
+                i, reach = j, far
+        if far <= s and s >= end:
+            out.append((s, e, kind))
+            end = e
+    return out
+
+
 # -- plans -------------------------------------------------------------------------------
 
 _CAND = "array<struct<s:int,e:int,kind:string,votes:string,feats:array<int>>>"
@@ -299,27 +317,24 @@ def train(proposed: DataFrame, sample: int = SAMPLE) -> tuple[Reliability, np.nd
 
 
 def find(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, n_email, n_ip, n_card, n_phone (base spans), base_spans, base_sha256, spans (all), n_added."""
+    """doc_id, n_email, n_ip, n_card, n_phone (base spans), base_sha256, spans (all, written out), n_added, n_spans."""
     proposed = written(propose(docs, id_col=id_col, text_col=text_col), "candidates")
     _, weights = train(proposed)
-    schema = T.StructType([proposed.schema["doc_id"], *T._parse_datatype_string("n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long").fields])
+    schema = T.StructType([proposed.schema["doc_id"], *T._parse_datatype_string("n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long, n_spans long").fields])
 
     def work():
         def act(batch: pa.RecordBatch) -> dict:
             out: dict[str, list] = {f.name: [] for f in schema.fields[1:]}
             for base, cands in zip(batch.column("base").to_pylist(), batch.column("cands").to_pylist()):
                 spans = [(x["s"], x["e"], x["kind"]) for x in base]
-                taken = sorted((s, e) for s, e, _ in spans)
-                added = []
-                for c in cands:
-                    margin = weights[c["feats"]].sum() + weights[-1]
-                    if margin >= math.log(ACCEPT / (1 - ACCEPT)) and not any(s < c["e"] and c["s"] < e for s, e in taken) and not (added and c["s"] < added[-1][1]):
-                        added.append((c["s"], c["e"], c["kind"]))
+                accepted = [(c["s"], c["e"], c["kind"]) for c in cands if weights[c["feats"]].sum() + weights[-1] >= math.log(ACCEPT / (1 - ACCEPT))]
+                added = free(accepted, spans)
                 for k in BASE:
                     out[f"n_{k}"].append(sum(x[2] == k for x in spans))
                 out["base_sha256"].append(hashlib.sha256(written_out(spans).encode()).hexdigest())
                 out["spans"].append(written_out(sorted(spans + added, key=lambda x: (x[0], _ORDER[x[2]]))))
                 out["n_added"].append(len(added))
+                out["n_spans"].append(len(spans) + len(added))
             return {"doc_id": batch.column("doc_id"), **out}
 
         return act
