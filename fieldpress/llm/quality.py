@@ -5,8 +5,9 @@ structure (shares of symbols, capitals, repeats, ...; cut into steps), and bucke
 metadata. The score is sigmoid(w0 + w.x + sum of pairwise interactions), the interactions
 of rank ``RANK`` by the sum-of-squares identity, so linear in the features.
 
-Training takes about ``SAMPLE`` labelled rows at most, the share whose id hashes lowest;
-their features are made on the executors and fitted on the driver (bounded). Scoring is row
+Training takes about ``SAMPLE`` labelled rows at most, the share whose id (and, where ids
+repeat, text) hashes lowest; their features are made on the executors and fitted on the
+driver (bounded). Scoring is row
 by row.
 
 Defined cases: a null or empty text has the structure features of an empty text and is
@@ -151,6 +152,10 @@ def learn(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_co
     picked = usable.filter(F.pmod(F.xxhash64(F.col("k").cast("string")), F.lit(1 << 30)) / float(1 << 30) < share)
     src = docs.select(F.col(id_col).alias("k"), F.col(text_col).alias("text"), *[F.col(m).cast("double").alias(f"m{i}") for i, m in enumerate(metadata)])
     joined = src.join(F.broadcast(picked), "k")
+    # ids may repeat in docs: the rows are counted (ids alone are read) and thinned by their texts' hashes
+    rows = docs.select(F.col(id_col).alias("k")).join(F.broadcast(picked), "k").count()
+    if rows > 2 * sample:
+        joined = joined.filter(F.pmod(F.xxhash64("text"), F.lit(1 << 30)) / float(1 << 30) < sample / rows).dropDuplicates(["k", "text"])
     schema = T._parse_datatype_string("y int, h long, idx binary, val binary")
 
     def work():

@@ -33,17 +33,21 @@ def op4_rank_order_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(docs, profiles).select("doc_id", (crc_bucket("doc_id", 5) == 0).alias("held_out"), "lang_pred", "score")
 
 
+#: Metadata that the quality score may use.
+METADATA = ("n_chars",)
+
+
 def quality_machine(spark: SparkSession, docs: DataFrame, sf_dir: str):
     from . import quality
 
-    return quality.learn(docs, table(spark, sf_dir, "labels").filter(crc_bucket("doc_id", 4) != 2))
+    return quality.learn(docs, table(spark, sf_dir, "labels").filter(crc_bucket("doc_id", 4) != 2), metadata=METADATA)
 
 
 def op6_factorisation_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import quality
 
     docs = table(spark, sf_dir, "documents")
-    got = quality.score(docs, quality_machine(spark, docs, sf_dir))
+    got = quality.score(docs, quality_machine(spark, docs, sf_dir), metadata=METADATA)
     return got.select("doc_id", (crc_bucket("doc_id", 4) == 2).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
 
 
@@ -61,7 +65,9 @@ def op5_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
     from . import hosts
 
     pages = table(spark, sf_dir, "pages")
-    return hosts.judge(pages, hosts.count_outcomes(pages), URL_RULES)
+    got = hosts.judge(pages, hosts.count_outcomes(pages), URL_RULES)
+    six = lambda c: F.floor(F.col(c) * 1e6 + 0.5) / 1e6
+    return got.withColumns({"share": six("share"), "tail": six("tail")})
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -96,9 +102,9 @@ QUERIES = {f.__name__: f for f in _ALL}
 
 
 def _sql() -> dict[str, str]:
-    from . import contamination, licences, lines
+    from . import contamination, hosts, licences, lines
 
-    return {"op2_licence_dice": licences.sql(), "op9_line_windows": lines.sql(), "op10_prefix_decontamination": contamination.SQL}
+    return {"op2_licence_dice": licences.sql(), "op5_host_reputation": hosts.sql(URL_RULES), "op9_line_windows": lines.sql(), "op10_prefix_decontamination": contamination.SQL}
 
 
 SQL: dict[str, str] = _sql()
