@@ -1,5 +1,7 @@
 """Operators over the whole corpus: licences, hosts, near-duplicates, lines, decontamination, pipeline."""
 
+import re
+
 import numpy as np
 import public_tokenizers as P
 import pytest
@@ -35,13 +37,49 @@ def test_licences(spark, odd, none):
         (5, None),
     ]
     got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert got[1].licence == "MIT" and got[1].dice == 1000 and got[1].n_units == 1
+    assert got[1].licence == "MIT" and got[1].dice == 1000
     assert got[2].licence is None and got[5].licence is None and got[5].dice == 0
     assert got[3].licence == "GPL-3.0-header" and got[4].licence == "Apache-2.0"
     assert licences.scan(odd).count() == odd.count() and licences.scan(none).count() == 0
     assert licences.scan(odd, {}).where("licence IS NOT NULL").count() == 0
-    with pytest.raises(ValueError):
-        licences.scan(odd, {str(i): "a b c" for i in range(501)})
+    many = {str(i): f"alpha{i} beta{i} gamma{i}" for i in range(1200)}
+    got = licences.scan(spark.createDataFrame([(1, "so alpha777 beta777 gamma777"), (2, "alpha3 beta4 gamma5")], "doc_id long, text string"), many).collect()
+    assert {r.doc_id: r.licence for r in got} == {1: "777", 2: None}
+
+
+def dice(a, b):
+    a, b = set(licences.template_bigrams(a)), set(licences.template_bigrams(b))
+    return 2 * len(a & b) / (len(a) + len(b)) if a or b else 0.0
+
+
+def test_whole_texts_comments_and_notices_inside_lines(spark):
+    t = licences.TEMPLATES
+    bsd = "/*\n * " + t["BSD-3-Clause-text"].replace("\n\n", "\n *\n * ") + "\n */\nint main() {}"
+    rows = [
+        (1, "MIT License\n\nCopyright (c) 2020 somebody\n\n" + t["MIT-text"].replace(", ", ",\n") + "\n\nThen code."),
+        (2, bsd),
+        (3, "Words come first. " + t["GPL-3.0-header"] + " Words come after it, all in one line."),
+        (4, "word " * 40 + "\n" + t["ISC-text"] + "\n" + "word " * 40),
+    ]
+    got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert [got[i].licence for i in (1, 2, 3, 4)] == ["MIT-text", "BSD-3-Clause-text", "GPL-3.0-header", "ISC-text"]
+    assert all(got[i].dice == 1000 for i in (1, 2, 3, 4))
+
+
+def test_dice_is_that_of_the_brute_force(spark):
+    """A unit that is the whole text: the best template by comparing with all."""
+    rng = np.random.default_rng(5)
+    rows = []
+    for i, (name, text) in enumerate(sorted(licences.TEMPLATES.items())):
+        words = [w for w in text.replace("\n", " ").split() if rng.random() > 0.04]
+        rows.append((i, " ".join(w.strip(".!?") for w in words)))
+    got = {r.doc_id: r for r in licences.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i, text in rows:
+        best = min((-int(1000 * dice(text, t) + 1e-9), -len(licences.template_bigrams(t)), n) for n, t in licences.TEMPLATES.items())
+        if -best[0] >= 800:
+            assert (got[i].licence, got[i].dice) == (best[2], -best[0])
+        else:
+            assert got[i].licence is None
 
 
 def test_paragraphs_of_licence_texts(spark):
@@ -87,24 +125,65 @@ def test_hosts_and_rules(spark):
 
 def test_shrinkage(spark):
     rows = [("a.big.com", 90, 100), ("b.big.com", 1, 1), ("c.big.com", 0, 1), ("x.good.com", 0, 200), ("y.good.com", 2, 100), ("z.other.org", 1, 50), ("w.fourth.org", 3, 60)]
-    rep, overall, k = hosts.reputation(spark.createDataFrame(rows, "host string, bad long, n long"))
-    got = {r.host: r for r in rep.collect()}
-    assert 0 < overall < 1 and all(v > 0 for v in k.values())
-    assert got["a.big.com"].low > 0.5 > got["x.good.com"].share
-    # one bad page does not damn a host, and a host borrows from its domain
+    pages = spark.createDataFrame([("new.big.com",), ("new.good.com",), ("new.org",)], "host string")
+    got = {r.host: r for r in hosts.reputation(spark.createDataFrame(rows, "host string, bad long, n long"), pages).collect()}
+    assert got["a.big.com"].blocked and got["a.big.com"].tail < 0.001 and not got["x.good.com"].blocked
+    # one bad page does not damn a host, and a host borrows from its domain, also without a page of its own
     assert got["c.big.com"].share > got["x.good.com"].share and got["b.big.com"].share < 1
-    for r in got.values():
-        assert 0 <= r.share <= 1 and r.low <= r.share
+    assert got["new.big.com"].share > got["new.good.com"].share and len(got) == 10
+    assert all(0 <= r.share <= 1 and 0 <= r.tail <= 1 and r.blocked == (r.tail < hosts.RISK) for r in got.values())
 
 
 def test_hosts_far_over_the_overall_share_are_blocked(spark):
     rows = [("bad.com", 120, 400), *((f"good{i}.com", i, 200) for i in range(12)), ("one.com", 1, 1)]
     pages = spark.createDataFrame([(i, f"http://{h}/") for i, (h, *_) in enumerate(rows)], "page_id long, url string")
     got = {r.host: r for r in hosts.judge(pages, spark.createDataFrame(rows, "host string, bad long, n long"), []).collect()}
-    assert got["bad.com"].verdict == "block" and got["bad.com"].low < 0.5
+    assert got["bad.com"].verdict == "block" and got["bad.com"].share < 0.5
     assert all(r.verdict == "allow" for h, r in got.items() if h != "bad.com")
 
 
+def test_beta_tail_is_the_integral(spark):
+    """Against the trapezoid rule over the density (in a variable that removes its poles) and exact binomial sums."""
+    from math import comb
+
+    from pyspark.sql import functions as F
+
+    cases = [(x, a, b) for x in (0.05, 0.2, 0.7) for a, b in ((0.3, 2.5), (1.0, 1.0), (3.4, 17.0), (40.5, 200.0), (900.0, 9000.0))]
+    for x in (0.05, 0.2, 0.7):
+        some = [(a, b) for y, a, b in cases if y == x]
+        got = [r.t for r in spark.createDataFrame(some, "a double, b double").coalesce(1).select(hosts.beta_tail(x, F.col("a"), F.col("b")).alias("t")).collect()]
+        for (a, b), t in zip(some, got):
+            z = np.linspace(0, 1, 2_000_001)[1:-1]
+            s = z**2 * (3 - 2 * z)  # flat at both ends
+            f = np.exp((a - 1) * np.log(s) + (b - 1) * np.log1p(-s) - (a * np.log(a / (a + b)) + b * np.log(b / (a + b)))) * 6 * z * (1 - z)
+            assert abs(t - f[s <= x].sum() / f.sum()) < 2e-4, (x, a, b)
+    n, k = 30, 4  # whole numbers: the tail is a binomial sum
+    got = spark.range(1).select(hosts.beta_tail(0.2, F.lit(float(k)), F.lit(float(n - k + 1))).alias("t")).first().t
+    assert abs(got - sum(comb(n, i) * 0.2**i * 0.8 ** (n - i) for i in range(k, n + 1))) < 1e-11
+
+
+def test_the_method_blocks_and_odd_pages(spark):
+    text = "<p>" + "plain words of a page " * 5 + "</p>"
+    rows = [(i, f"https://www.casino-win.example.net/p{i}", text) for i in range(30)]
+    rows += [(100 + i, f"https://site{i % 9}.example.net/p{i}?q=1", text) for i in range(200)]
+    rows += [(900, None, None), (901, "no scheme", text), (902, "https://site1.example.net/", None), (902, "https://site1.example.net/", None)]
+    pages = spark.createDataFrame([(*r, 1.0, "x", "y") for r in rows], "page_id long, url string, html string, share double, host string, k string")
+    got = hosts.judge(pages, hosts.count_outcomes(pages), []).collect()
+    assert len(got) == len(rows)
+    assert {r.verdict for r in got if r.host == "www.casino-win.example.net"} == {"block"}
+    assert {r.verdict for r in got if r.host != "www.casino-win.example.net"} == {"allow"}
+    assert sum(r.page_id == 902 for r in got) == 2 and {r.host for r in got if r.page_id in (900, 901)} == {""}
+
+
+def test_many_rules_are_joined(spark):
+    rules = [("block", f"h{i}.com/") for i in range(40)] + [("allow", "h3.com/en/"), ("allow", "com/"), ("block", "com/x")]
+    urls = ["http://a.h3.com/en/x", "http://h3.com/fr", "http://h50.com/y", "http://h50.com/xyz", "http://org/", None]
+    pages = spark.createDataFrame([(i, u) for i, u in enumerate(urls)], "page_id long, url string")
+    none = spark.createDataFrame([], "host string, bad long, n long")
+    few, many = (sorted((r.page_id, r.rule, r.verdict) for r in hosts.judge(pages, none, rules, literal_rules=n).collect()) for n in (500, 1))
+    assert few == many == [(0, "h3.com/en/", "allow"), (1, "h3.com/", "block"), (2, "com/", "allow"), (3, "com/x", "block"), (4, None, "allow"), (5, None, "allow")]
+
+
 def test_domains(spark):
     from pyspark.sql import functions as F
 
@@ -197,8 +276,9 @@ def test_lines(spark, odd, none):
     back = {r.doc_id: r for r in out.collect()}
     texts = {r.doc_id: r.text for r in odd.collect()}
     assert back[7].text == texts[7] and back[1].text is None and back[None].text == texts[None]
-    assert back[9].text == "same line here and there and everywhere in this text\n"  # all but the first are later windows' lines
-    assert back[4].text == PROSE and back[5].text == ""  # doc 4 repeats its own two sentences, doc 5 is its copy
+    six = texts[9].split("\n")
+    assert back[9].text and len(back[9].text.split("\n")) < len(six)  # its own lines repeat
+    assert back[4].text and PROSE.startswith(back[4].text.rstrip()[:60]) and len(back[4].text) < len(texts[4]) and back[5].text == ""  # doc 4 repeats its own sentences, doc 5 is its copy
     assert lines.remove_repeats(none).count() == 0
 
 
@@ -209,6 +289,70 @@ def test_short_lines_are_windows_too(spark):
     assert got[1] == verse and got[2] == "Own first.\nOwn last." and got[3] == rows[2][1] and got[4] == rows[3][1]
 
 
+def slow_lines(text, prose=True):
+    """The cutting rule word by word."""
+    out, line, n = [], "", 0
+    for piece in re.findall(r"[^ \n]*(?: |\n|$)", text):
+        line, n = line + piece, n + 1
+        word = piece[:-1]
+        end = piece.endswith("\n")
+        if prose and piece.endswith(" "):
+            end = word[-1:] in tuple(".!?") and word != "" or n >= 5 and word[-1:] in tuple(lines.ENDS) and word != "" or n == 12
+        if end:
+            out.append(line)
+            line, n = "", 0
+    return out + ([line] if line else [])
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.text(alphabet="ad.,! \n", max_size=120), st.booleans())
+def test_lines_are_those_of_the_rule(text, prose):
+    pattern = re.compile(lines.PROSE if prose else lines.PLAIN)
+    got = pattern.findall(text)
+    assert "".join(got) == text and got == slow_lines(text, prose)
+
+
+def slow_removal(rows, prose=True):
+    """rows: (id, text), one an id. Texts after removal, by a dictionary of windows."""
+    seen, out = set(), {}
+    for i, text in sorted(rows):
+        cut = slow_lines(text, prose)
+        bare = [x.strip(" \n") for x in cut]
+        gone = set()
+        for p in range(len(cut) - 2):
+            w = tuple(bare[p : p + 3])
+            if any(w):
+                if w in seen:
+                    gone |= {p, p + 1, p + 2}
+                seen.add(w)
+        out[i] = "".join(x for p, x in enumerate(cut) if p not in gone)
+    return out
+
+
+@pytest.mark.parametrize("key", ["long", "string"])
+def test_removal_is_that_of_the_brute_force(spark, docs, key):
+    rows = [(r.doc_id, r.text) for r in docs.select("doc_id", "text").collect()]
+    if key == "string":
+        rows = [(f"d{i:05d}", t) for i, t in rows]
+    got = {r.doc_id: r.text for r in lines.remove_repeats(spark.createDataFrame(rows, f"doc_id {key}, text string"), broadcast_bytes=0 if key == "string" else 10**7).collect()}
+    assert got == slow_removal(rows)
+
+
+def test_passages_in_long_lines_go(spark):
+    """60 words without a sentence end, glued to other text at both ends, in one line."""
+    rng = np.random.default_rng(3)
+    word = lambda: "".join(rng.choice(list("abcdefghijklmnoprstuvwy"), rng.integers(2, 9)))
+    passage = " ".join(word() for _ in range(60))
+    rows = [(i, " ".join([*(word() for _ in range(int(rng.integers(5, 30)))), passage, *(word() for _ in range(int(rng.integers(5, 30))))])) for i in range(40)]
+    got = {r.doc_id: r.text for r in lines.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    left = passage.split()
+    assert got[0] == rows[0][1]
+    for i in range(1, 40):
+        runs = sum(" ".join(left[j : j + 50]) in got[i] for j in range(11))
+        assert runs == 0
+        assert len(got[i].split()) >= len(rows[i][1].split()) - 60
+
+
 # -- op10 ------------------------------------------------------------------------------------
 
 
@@ -221,12 +365,20 @@ def test_contamination(spark, odd, none):
     assert (got[2].n_hit, got[2].items) == (13, ["1", "4"])
     assert (got[3].n_hit, got[3].n_words, got[3].contaminated) == (2, 53, False)
     assert got[4].n_hit == 0 and got[5].n_words == 0 and not got[5].contaminated and got[6].n_hit == 0
-    blocks = {r.doc_id: r for r in contamination.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), items, block_rows=2).collect()}
-    assert blocks == got
+    far = contamination.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), items, broadcast_bytes=0)
+    assert sorted(map(str, far.collect())) == sorted(map(str, contamination.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), items).collect())) and far.count() == len(rows)
     assert contamination.contaminated(none, items).count() == 0
     assert contamination.contaminated(odd, items.where("false")).where("n_hit > 0").count() == 0
-    kept = contamination.drop_contaminated(odd.unionByName(odd.limit(1).selectExpr("99L doc_id", f"'{item}' text", "lang", "score", "fp", "tid", "k1", "covered", "quality_score", "words")), items)
-    assert kept.columns == odd.columns and kept.where("doc_id = 99").count() == 0 and kept.count() == odd.count()
+    more = [("99L", item), ("99L", item), ("99L", "clean words of the same id"), ("CAST(NULL AS BIGINT)", item), ("4L", item)]
+    both = odd
+    for i, text in more:
+        both = both.unionByName(odd.limit(1).selectExpr(f"{i} doc_id", f"'{text}' text", "lang", "score", "fp", "tid", "k1", "covered", "quality_score", "words"))
+    kept = contamination.drop_contaminated(both, items)
+    assert kept.columns == odd.columns and kept.count() == odd.count() + 1
+    assert [r.text for r in kept.where("doc_id = 99").collect()] == ["clean words of the same id"] and kept.where("doc_id = 4").count() == 1 and kept.where("doc_id IS NULL").count() == 1
+    assert contamination.contaminated(both, items).count() == both.count()
+    named = spark.createDataFrame([("a", item), ("a", item), (None, "x")], "doc_id string, text string")
+    assert sorted((str(r.doc_id), r.contaminated) for r in contamination.contaminated(named, items).collect()) == [("None", False), ("a", True), ("a", True)]
 
 
 # -- pipeline --------------------------------------------------------------------------------
