@@ -15,7 +15,7 @@ from fieldpress.llm.common import table, written
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality classifier does not reject (score of 0.7 or more)."""
-    return quality.keep_good(docs, queries.quality_machine(spark, docs, sf_dir), 0.7)
+    return quality.keep_good(docs, queries.quality_machine(spark, docs, sf_dir), 0.7, metadata=queries.METADATA)
 
 
 def unrepeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
