@@ -1,8 +1,10 @@
-"""Least squares for the core: full (Gram sums or a tree of QR factors) and small dense solves.
+"""Least squares for the core: full (Gram sums or a tree of QR factors), iterative for cores of any size, and small dense solves.
 
-Each task reduces its rows to one block of R x (R + 1) numbers; blocks are added (or
-factored again) in a second level of about the square root of the tasks before the few
-results reach the driver.
+Tasks are as many as the cores, however many splits the input has: each reduces its rows
+to one block. Blocks that add up are cut into panels and every panel is summed by one task
+of a single shuffle; QR factors are merged in levels of ``FAN`` blocks. Only the finished
+block reaches the driver, panel by panel. Where R x R numbers are too many for a driver,
+``lsqr`` needs vectors of R numbers only.
 """
 
 from __future__ import annotations
@@ -19,8 +21,12 @@ from ..plans.model import FunctionalTucker
 from ..schema import coords
 from .design import columns, slices
 
-#: Largest R for which R x R blocks are solved on the driver.
+#: Largest R for which R x R blocks are solved on the driver; beyond it cores are found by ``lsqr``.
 MAX_R = 5000
+#: Numbers in a panel of a block.
+PANEL = 1_000_000
+#: Blocks of a level that one task merges.
+FAN = 4
 
 
 @dataclass
@@ -31,37 +37,89 @@ class Solution:
     condition: float
     rows: int
     underdetermined: bool = False
+    rounds: int = 0
+    converged: bool = True
 
     @property
     def relative_residual(self) -> float:
         return float(np.sqrt(max(self.residual2, 0.0) / self.total2)) if self.total2 > 0 else 0.0
 
 
-def tree_blocks(rows: DataFrame, make: Callable[[Iterator[pa.RecordBatch]], np.ndarray | None], join: Callable[[np.ndarray, np.ndarray], np.ndarray], width: int) -> np.ndarray | None:
-    """make() turns a task's batches into one block (any rows x width); join() merges two blocks; two levels on the executors, then the driver."""
-    schema = "part int, block binary"
+def _tasks(rows: DataFrame) -> DataFrame:
+    """rows in at most as many partitions as the cluster has cores (no shuffle): a block a core, not a block a split."""
+    return rows.coalesce(max(1, rows.sparkSession.sparkContext.defaultParallelism))
 
-    def first(batches):
+
+Maker = Callable[[Iterator[pa.RecordBatch]], np.ndarray | None]
+
+
+def panels(rows: DataFrame, make: Maker) -> DataFrame:
+    """panel, block: make() turns a task's batches into one array (None: nothing); its panels."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block = make(batches)
+        if block is not None:
+            flat = np.ascontiguousarray(block, float).ravel()
+            for i in range(0, flat.size, PANEL):
+                yield pa.RecordBatch.from_arrays([pa.array([i // PANEL], pa.int64()), pa.array([flat[i : i + PANEL].tobytes()], pa.binary())], names=["panel", "block"])
+
+    return _tasks(rows).mapInArrow(run, "panel long, block binary")
+
+
+def sum_blocks(rows: DataFrame, make: Maker, shape: tuple[int, ...]) -> np.ndarray | None:
+    """The sum of all tasks' arrays (of this shape), or None without any. One shuffle by panel; a task holds one sum a panel."""
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for k, x in zip(batch.column("panel").to_pylist(), batch.column("block")):
+                part = np.frombuffer(x.as_buffer())
+                if k in total:
+                    total[k] += part
+                else:
+                    total[k] = part.copy()
+        for k, x in total.items():
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int64()), pa.array([x.tobytes()], pa.binary())], names=["panel", "block"])
+
+    count = -(-int(np.prod(shape)) // PANEL)
+    few = max(1, min(count, rows.sparkSession.sparkContext.defaultParallelism))
+    out = None
+    for r in panels(rows, make).repartition(few, "panel").mapInArrow(add, "panel long, block binary").toLocalIterator():
+        out = np.zeros(int(np.prod(shape))) if out is None else out
+        at = r["panel"] * PANEL
+        part = np.frombuffer(r["block"])
+        out[at : at + len(part)] = part
+    return None if out is None else out.reshape(shape)
+
+
+def merge_blocks(rows: DataFrame, make: Maker, join: Callable[[np.ndarray, np.ndarray], np.ndarray], width: int) -> np.ndarray | None:
+    """One block (any rows x width) from all tasks', joined in levels of ``FAN`` until one is left."""
+    schema = "part long, block binary"
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         block = make(batches)
         if block is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int32()), pa.array([block.tobytes()], pa.binary())], names=["part", "block"])
+            yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int64()), pa.array([block.tobytes()], pa.binary())], names=["part", "block"])
 
-    def second(batches):
-        total = None
+    def level(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[int, np.ndarray] = {}
         for batch in batches:
-            for b in batch.column("block").to_pylist():
-                x = np.frombuffer(b).reshape(-1, width)
-                total = x if total is None else join(total, x)
-        if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([total.tobytes()], pa.binary())], names=["part", "block"])
-
-    blocks = rows.mapInArrow(first, schema)
-    groups = max(1, int(np.ceil(np.sqrt(rows.sparkSession.sparkContext.defaultParallelism))))
-    merged = blocks.repartition(groups, F.col("part")).mapInArrow(second, schema)
+            for k, x in zip(batch.column("part").to_pylist(), batch.column("block")):
+                part = np.frombuffer(x.as_buffer()).reshape(-1, width)
+                total[k // FAN] = join(total[k // FAN], part) if k // FAN in total else part
+        for k, x in total.items():
+            yield pa.RecordBatch.from_arrays([pa.array([k], pa.int64()), pa.array([np.ascontiguousarray(x).tobytes()], pa.binary())], names=["part", "block"])
+
+    src = _tasks(rows)
+    left = max(1, rows.sparkSession.sparkContext.defaultParallelism)
+    blocks = src.mapInArrow(first, schema)
+    while left > 1:
+        left = -(-left // FAN)
+        blocks = blocks.repartition(left, F.floor(F.col("part") / FAN)).mapInArrow(level, schema)
     total = None
-    for r in merged.collect():
+    for r in blocks.toLocalIterator():  # one block, or few where an input has more partitions than cores
         x = np.frombuffer(r["block"]).reshape(-1, width)
         total = x if total is None else join(total, x)
     return total
@@ -71,7 +129,7 @@ def moments(points: DataFrame, model: FunctionalTucker) -> tuple[np.ndarray, np.
     """Gram matrix, right side, sum of squares and number of rows over all points; one scan."""
     d, r = model.d, model.R
     if r > MAX_R:
-        raise ValueError(f"a core of {r} entries: use refit_core (sketch), refit_top or lsqr")
+        raise ValueError(f"a core of {r} entries: use lsqr, refit_core or refit_top")
 
     def make(batches):
         total = np.zeros((r + 1, r + 2))
@@ -82,7 +140,7 @@ def moments(points: DataFrame, model: FunctionalTucker) -> tuple[np.ndarray, np.
                 total[r, r + 1] += len(w)
         return total
 
-    block = tree_blocks(points.select(*coords(d), "u"), make, lambda a, b: a + b, r + 2)
+    block = sum_blocks(points.select(*coords(d), "u"), make, (r + 1, r + 2))
     if block is None:
         block = np.zeros((r + 1, r + 2))
     return block[:r, :r], block[:r, r], float(block[r, r]), int(block[r, r + 1])
@@ -97,8 +155,10 @@ def solve_gram(g: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, float]:
     return x, float(np.sqrt(top / w[keep][0])) if keep.any() else 1.0
 
 
-def full(points: DataFrame, model: FunctionalTucker, method: str = "gram") -> Solution:
-    """All points. gram: sums, residual without another scan; tsqr: triangular factors, for ill-conditioned rows."""
+def full(points: DataFrame, model: FunctionalTucker, method: str = "gram", max_r: int | None = None) -> Solution:
+    """All points. gram: sums, residual without another scan; tsqr: triangular factors, for ill-conditioned rows. A core of over ``MAX_R`` entries is found by ``lsqr``."""
+    if model.R > (MAX_R if max_r is None else max_r):
+        return lsqr(points, model)
     if method == "gram":
         g, b, uu, n = moments(points, model)
         x, cond = solve_gram(g, b)
@@ -127,7 +187,7 @@ def full(points: DataFrame, model: FunctionalTucker, method: str = "gram") -> So
         out[0, r + 1] = a[:, r + 1].sum() + b[:, r + 1].sum()
         return out
 
-    block = tree_blocks(points.select(*coords(d), "u"), make, join, r + 2)
+    block = merge_blocks(points.select(*coords(d), "u"), make, join, r + 2)
     if block is None:
         return Solution(np.zeros(r), 0.0, 0.0, 1.0, 0, True)
     n = int(block[:, r + 1].sum())
@@ -143,43 +203,122 @@ def solve_small(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.linalg.lstsq(a, b, rcond=None)[0]
 
 
-def lsqr(points: DataFrame, model: FunctionalTucker, rounds: int = 30, tol: float = 1e-10, precondition: np.ndarray | None = None) -> Solution:
-    """Conjugate gradients on the normal equations without any R x R block: one scan a round, vectors of R numbers only. precondition: a triangular factor (of a sketch)."""
+def axis_grams(points: DataFrame, model: FunctionalTucker) -> list[np.ndarray]:
+    """Mean Gram matrix of each axis's functions at the points: r_k x r_k numbers an axis, one scan."""
+    sizes = [r * r for r in model.ranks]
+
+    def make(batches):
+        out = np.zeros(sum(sizes) + 1)
+        for batch in batches:
+            parts = [(w := model.mode_values(k, c)).T @ w for k, c in enumerate(columns(batch, model.d))]
+            out += np.concatenate([*[p.ravel() for p in parts], [float(batch.num_rows)]])
+        return out
+
+    got = sum_blocks(points.select(*coords(model.d)), make, (sum(sizes) + 1,))
+    got = np.zeros(sum(sizes) + 1) if got is None else got / max(got[-1], 1.0)
+    cuts = np.split(got[:-1], np.cumsum(sizes)[:-1])
+    return [c.reshape(r, r) for c, r in zip(cuts, model.ranks)]
+
+
+class Kronecker:
+    """x -> (product over axes of inverse square roots of their Gram matrices) x: the rows' columns become nearly orthonormal where the axes are nearly independent. Symmetric. Only r_k x r_k matrices."""
+
+    def __init__(self, grams: list[np.ndarray]):
+        self.roots = []
+        for g in grams:
+            w, v = np.linalg.eigh(g)
+            keep = np.maximum(w, max(w[-1], 1e-300) * 1e-10)
+            self.roots.append((v / np.sqrt(keep)) @ v.T)
+
+    def __call__(self, x: np.ndarray) -> np.ndarray:
+        t = x.reshape([len(r) for r in self.roots])
+        for k, r in enumerate(self.roots):
+            t = np.moveaxis(np.tensordot(r, np.moveaxis(t, k, 0), axes=1), 0, k)
+        return t.ravel()
+
+
+def transposed_product(model: FunctionalTucker, cols: list[np.ndarray], y: np.ndarray) -> np.ndarray:
+    """Design rows' transpose times y without the rows: the largest mode is contracted by a matrix product."""
+    lead = int(np.argmax(model.ranks))
+    rest = y[:, None]
+    for k, c in enumerate(cols):
+        if k != lead:
+            rest = (rest[:, :, None] * model.mode_values(k, c)[:, None, :]).reshape(len(y), -1)
+    got = (model.mode_values(lead, cols[lead]).T @ rest).reshape(model.ranks[lead], *[r for k, r in enumerate(model.ranks) if k != lead])
+    return np.moveaxis(got, 0, lead).ravel()
+
+
+Scan = Callable[[np.ndarray | None], tuple[np.ndarray, float, int]]
+
+
+def conjugate(scan: Scan, r: int, precondition: Callable[[np.ndarray], np.ndarray] | None = None, tol: float = 1e-10, rounds: int = 500) -> Solution:
+    """Conjugate gradients on the normal equations. scan(None): (W'u, u'u, rows); scan(x): W'Wx first. ``converged`` tells whether the residual of the (preconditioned) equations fell to tol before the rounds were used up."""
+    pre = precondition or (lambda v: v)
+    b, uu, n = scan(None)
+    rhs = pre(b)
+    z, res = np.zeros(r), rhs.copy()
+    p, rr = res.copy(), float(res @ res)
+    goal, done = tol * max(float(np.linalg.norm(rhs)), 1e-300), 0
+    while np.sqrt(rr) > goal and done < rounds:
+        ap = pre(scan(pre(p))[0])
+        size = float(p @ ap)
+        if size <= 0:  # the rest of the residual lies where the rows have no weight
+            break
+        step = rr / size
+        z, res = z + step * p, res - step * ap
+        new = float(res @ res)
+        p, rr, done = res + new / rr * p, new, done + 1
+    x = pre(z)
+    # u'u - 2 b'x + x'W'Wx with W'Wx from the residual: pre(W'Wx) = rhs - res
+    residual2 = uu - 2 * float(b @ x) + float(z @ (rhs - res))
+    return Solution(x, max(residual2, 0.0), uu, float("nan"), n, n < r, done, bool(np.sqrt(rr) <= goal))
+
+
+def lsqr(points: DataFrame, model: FunctionalTucker, rounds: int = 500, tol: float = 1e-8, precondition: bool = True) -> Solution:
+    """All points, for a core of any size: one scan a round, vectors of R numbers only, no design rows of length R (modes are contracted one after the other)."""
     d, r = model.d, model.R
+    src = points.select(*coords(d), "u")
+    narrow = max(r // max(model.ranks), 1) * 2
+
+    def scan(x: np.ndarray | None) -> tuple[np.ndarray, float, int]:
+        now = None if x is None else model.with_core(x)
 
-    def scan(x: np.ndarray | None) -> np.ndarray:
         def make(batches):
             out = np.zeros(r + 2)
             for batch in batches:
-                for part in slices(batch, r):
-                    w = model.design(columns(part, d))
-                    u = part.column("u").to_numpy(zero_copy_only=False)
-                    y = u if x is None else w @ x
-                    out[:r] += w.T @ y
+                for part in slices(batch, narrow):
+                    cols = columns(part, d)
+                    u = part.column("u").to_numpy(zero_copy_only=False) if now is None else now.evaluate(cols)
+                    out[:r] += transposed_product(model, cols, u)
                     out[r] += u @ u
+                    out[r + 1] += len(u)
+            return out
+
+        got = sum_blocks(src, make, (r + 2,))
+        got = np.zeros(r + 2) if got is None else got
+        return got[:r], float(got[r]), int(got[r + 1])
+
+    return conjugate(scan, r, Kronecker(axis_grams(points, model)) if precondition else None, tol, rounds)
+
+
+def lsqr_rows(rows: DataFrame, r: int, precondition: Callable[[np.ndarray], np.ndarray] | None = None, rounds: int = 500, tol: float = 1e-10) -> Solution:
+    """The same over stored rows (column ``row``: R entries and the right side), which stay where they are: for sketches too large for the driver."""
+    src = rows.select("row")
+
+    def scan(x: np.ndarray | None) -> tuple[np.ndarray, float, int]:
+        def make(batches):
+            out = np.zeros(r + 2)
+            for batch in batches:
+                for part in slices(batch, r):
+                    w = part.column("row").flatten().to_numpy().reshape(-1, r + 1)
+                    y = w[:, r] if x is None else w[:, :r] @ x
+                    out[:r] += w[:, :r].T @ y
+                    out[r] += y @ y
                     out[r + 1] += len(w)
-            return out[None, :]
-
-        got = tree_blocks(points.select(*coords(d), "u"), make, lambda a, b: a + b, r + 2)
-        return np.zeros(r + 2) if got is None else got[0]
-
-    def pre(v):
-        if precondition is None:
-            return v
-        return np.linalg.solve(precondition, np.linalg.solve(precondition.T, v))
-
-    start = scan(None)
-    b, uu, n = start[:r], float(start[r]), int(start[r + 1])
-    x, res = np.zeros(r), b.copy()
-    z = pre(res)
-    p, rz = z.copy(), float(res @ z)
-    for _ in range(rounds):
-        if np.linalg.norm(res) <= tol * max(np.linalg.norm(b), 1e-300):
-            break
-        ap = scan(p)[:r]
-        alpha = rz / float(p @ ap)
-        x, res = x + alpha * p, res - alpha * ap
-        z = pre(res)
-        new = float(res @ z)
-        p, rz = z + new / rz * p, new
-    return Solution(x, max(uu - float(b @ x) - float(res @ x), 0.0), uu, float("nan"), n, n < r)
+            return out
+
+        got = sum_blocks(src, make, (r + 2,))
+        got = np.zeros(r + 2) if got is None else got
+        return got[:r], float(got[r]), int(got[r + 1])
+
+    return conjugate(scan, r, precondition, tol, rounds)

@@ -20,20 +20,25 @@ def signs(points: DataFrame, seed: int | str = 0) -> DataFrame:
     return points.withColumn("sgn", sign_of(F.col("pt_key"), seed))
 
 
-def blocks(points: DataFrame, b: int, seed: int | str = 0, scope: str = "block", total: int | None = None) -> DataFrame:
-    """Adds blk and h (order within the block). block: blocks of about b rows by hash (a shuffle of narrow rows follows when they are gathered); partition: blocks of consecutive rows of an input partition, without a shuffle. global: one block (one task; the caller checks the size)."""
-    if scope == "partition":
-        place = F.monotonically_increasing_id()
-        return points.withColumn("blk", F.floor(place / b).cast("long")).withColumn("h", place)
-    if scope == "global":
-        return points.withColumn("blk", F.lit(0).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"mix{seed}", 1))
-    if scope != "block":
-        raise ValueError(f"unknown scope {scope!r}")
+def blocks(points: DataFrame, b: int, seed: int | str = 0, total: int | None = None) -> DataFrame:
+    """Adds blk and h (order within the block): blocks of about b rows by hash. A shuffle of narrow rows follows when they are gathered."""
     n = points.count() if total is None else total
     count = max(1, round(n / b))
     return points.withColumn("blk", F.pmod(hash_int(F.col("pt_key"), f"mix{seed}", 0), F.lit(count)).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"mix{seed}", 1))
 
 
+def numbered(points: DataFrame, seed: int | str = 0) -> DataFrame:
+    """Adds q: the place of each row (from 0) in the order of the hash of its key, ties by key, coordinates and value. One shuffle by ranges; a count a partition reaches the driver."""
+    from .storage import cut
+
+    ties = ["pt_key", *[c for c in points.columns if c == "u" or c[0] == "c" and c[1:].isdigit()]]
+    hashed = points.withColumn("h", hash_int(F.col("pt_key"), f"mix{seed}", 1))
+    ranged = cut(hashed.repartitionByRange("h").sortWithinPartitions("h", *ties).withColumn("part", F.spark_partition_id()).withColumn("at", F.monotonically_increasing_id() - F.shiftleft(F.spark_partition_id().cast("long"), 33)), "numbered")
+    sizes = {r["part"]: r["count"] for r in ranged.groupBy("part").count().collect()}
+    before = np.concatenate([[0], np.cumsum([sizes.get(i, 0) for i in range(max(sizes, default=-1) + 1)])]).tolist()
+    return ranged.withColumn("q", F.element_at(F.array(*[F.lit(int(x)) for x in before]), F.col("part") + 1) + F.col("at")).drop("part", "at", "h")
+
+
 def positions(blocked: DataFrame) -> DataFrame:
     """Adds pos, the place in the block (from 0). Rows of equal keys are ordered by their coordinates and value."""
     ties = [c for c in blocked.columns if c == "u" or c[0] == "c" and c[1:].isdigit()]
@@ -53,7 +58,7 @@ def mix_values(rows: DataFrame, kind: str, value: str = "x") -> DataFrame:
 
 
 def factored_dft(rows: DataFrame, q1: int, q2: int, freqs: list[int], value: str = "x", index: str = "q") -> DataFrame:
-    """f, re, im: one unitary DFT over all q1 * q2 rows for the wanted frequencies, in two steps: within each residue class (shuffle), then over classes (an aggregate)."""
+    """f, re, im: one unitary DFT over q1 * q2 rows (missing ones are 0) for the wanted frequencies, in two steps: within each residue class (shuffle), then over classes (an aggregate)."""
     wanted = np.array(sorted(freqs))
 
     def run(table: pa.Table) -> pa.Table:

@@ -2,7 +2,9 @@
 
 Order of work: signs and blocks are columns of narrow rows (key, coordinates, value); the
 one shuffle moves those; design rows are made inside the block's task, transformed, and
-only the sampled outputs leave it - about S rows of R + 1 numbers in all.
+only the sampled outputs leave it - about S rows of R + 1 numbers in all. A sketch of up
+to ``MAX_SKETCH`` bytes is solved on the driver; a larger one stays a table and is solved
+by ``lstsq.lsqr_rows``.
 """
 
 from __future__ import annotations
@@ -19,9 +21,10 @@ from ..functions import mixers
 from ..plans.model import FunctionalTucker
 from ..schema import coords
 from . import mixing
-from .design import columns, slices
-from .lstsq import moments
-from .sampling import hash01
+from .design import SLICE, columns, slices
+from .lstsq import Kronecker, Solution, axis_grams, lsqr_rows, moments, solve_small, sum_blocks
+from .sampling import hash01, hash_int
+from .storage import cut, discard
 
 #: Largest sketch, in bytes, that is brought to the driver.
 MAX_SKETCH = 1_000_000_000
@@ -32,34 +35,138 @@ def draw(blk: int, n: int, seed: int | str) -> np.ndarray:
     return np.array([int(hashlib.md5(f"{blk}-{i}/{seed}".encode()).hexdigest()[:8], 16) for i in range(n)]) / 4294967296.0
 
 
+def _transformed(model: FunctionalTucker, kind: str, cols: list[np.ndarray], u: np.ndarray, sgn: np.ndarray, size: int, kept: np.ndarray) -> np.ndarray:
+    """The kept outputs of a block's signed design rows. Rows of a block too wide for memory are made and summed slice by slice."""
+    n, r = len(u), model.R
+    step = max(1, SLICE // (r + 1))
+
+    def signed(i: int, j: int) -> np.ndarray:
+        return np.concatenate([model.design([c[i:j] for c in cols]), u[i:j, None]], axis=1) * sgn[i:j, None]
+
+    if kind == "none" or len(kept) <= np.log2(size + 1) or n > step:
+        t = mixers.rows_of(kind, size, kept)
+        return sum((t[:, i : min(i + step, n)] @ signed(i, min(i + step, n)) for i in range(0, n, step)), np.zeros((len(kept), r + 1)))
+    w = signed(0, n)
+    if size > n:
+        w = np.concatenate([w, np.zeros((size - n, r + 1))])
+    return mixers.mix(w, kind)[kept]
+
+
+def _block_outputs(model: FunctionalTucker, kind: str, share: float, seed: int | str, blk: int, cols: list[np.ndarray], u: np.ndarray, sgn: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
+    """(draws, outputs, rows) of a block, or None if no output is drawn."""
+    n = size = len(u)
+    if kind == "wht":
+        size = 1 << max(0, n - 1).bit_length()
+    h = draw(blk, size, seed)
+    kept = np.flatnonzero(h < share * n / size)
+    if not len(kept):
+        return None
+    return h[kept] * (size / n), kept, _transformed(model, kind, cols, u, sgn, size, kept)
+
+
 def mixed_rows(points: DataFrame, model: FunctionalTucker, share: float, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None) -> DataFrame:
-    """h, blk, out, row (R + 1 numbers): the mixed rows whose draw h is below ``share``; smaller shares are subsets."""
+    """h, blk, out, row (R + 1 numbers): the mixed rows whose draw h is below ``share``; smaller shares are subsets.
+
+    scope block: blocks by the hash of the key, gathered by one shuffle of narrow rows; the
+    same rows for any partitioning. partition: blocks of b consecutive rows of a task, no
+    shuffle; which rows meet depends on the partitioning. (global: see ``global_rows``.)
+    """
     d, r = model.d, model.R
+    src = mixing.signs(points.select("pt_key", *coords(d), "u"), seed)
+
+    def record(blk: int, got) -> tuple[pa.Array, ...]:
+        h, kept, out = got
+        flat = pa.ListArray.from_arrays(pa.array(np.arange(len(kept) + 1) * (r + 1), pa.int32()), pa.array(out.ravel()))
+        return pa.array(h), pa.array(np.full(len(kept), blk), pa.int64()), pa.array(kept, pa.int32()), flat
+
+    if scope == "partition":
+
+        def stream(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            from pyspark import TaskContext
+
+            first, held, blk = TaskContext.get().partitionId() << 32, [], 0
+            size = 0
+
+            def flush(table: pa.Table):
+                got = _block_outputs(model, kind, share, seed, first + blk, [table.column(c).to_numpy() for c in coords(d)], table.column("u").to_numpy(), table.column("sgn").to_numpy())
+                return None if got is None else pa.RecordBatch.from_arrays(list(record(first + blk, got)), schema=_ROWS)
+
+            for batch in batches:
+                held.append(batch)
+                size += batch.num_rows
+                while size >= b:
+                    table = pa.Table.from_batches(held)
+                    out = flush(table.slice(0, b))
+                    held, size, blk = table.slice(b).to_batches(), size - b, blk + 1
+                    if out is not None:
+                        yield out
+            if size:
+                out = flush(pa.Table.from_batches(held))
+                if out is not None:
+                    yield out
+
+        return src.mapInArrow(stream, "h double, blk long, out int, row array<double>")
+    if scope != "block":
+        raise ValueError(f"unknown scope {scope!r}")
 
     def run(table: pa.Table) -> pa.Table:
         t = table.sort_by([(c, "ascending") for c in ("h", "pt_key", *coords(d), "u")])
-        n, blk = t.num_rows, int(t.column("blk")[0].as_py())
-        h = draw(blk, n, seed)
-        kept = np.flatnonzero(h < share)
-        if not len(kept):
-            return _ROWS.empty_table()
-        size = n
-        if kind == "wht":
-            size = 1 << max(0, n - 1).bit_length()
-            h = draw(blk, size, seed)
-            kept = np.flatnonzero(h < share * n / size)
-        batch = t.combine_chunks()
-        w = np.concatenate([model.design([batch.column(c).to_numpy() for c in coords(d)]), batch.column("u").to_numpy()[:, None]], axis=1)
-        w = w * batch.column("sgn").to_numpy()[:, None]
-        if size > n:
-            w = np.concatenate([w, np.zeros((size - n, r + 1))])
-        out = mixers.rows_of(kind, size, kept) @ w if kind == "none" or len(kept) <= np.log2(size + 1) else mixers.mix(w, kind)[kept]
-        order = h[kept] * (size / n if kind == "wht" else 1.0)
-        flat = pa.ListArray.from_arrays(pa.array(np.arange(len(kept) + 1) * (r + 1), pa.int32()), pa.array(out.ravel()))
-        return pa.table({"h": pa.array(order), "blk": pa.array(np.full(len(kept), blk), pa.int64()), "out": pa.array(kept, pa.int32()), "row": flat})
+        blk = int(t.column("blk")[0].as_py())
+        got = _block_outputs(model, kind, share, seed, blk, [t.column(c).to_numpy() for c in coords(d)], t.column("u").to_numpy(), t.column("sgn").to_numpy())
+        return _ROWS.empty_table() if got is None else pa.Table.from_arrays(list(record(blk, got)), schema=_ROWS)
+
+    return mixing.blocks(src, b, seed, total).groupBy("blk").applyInArrow(run, "h double, blk long, out int, row array<double>")
+
+
+def global_outputs(points: DataFrame, q: int, s: int, seed: int = 0) -> list[int]:
+    """The s of q outputs whose draws are smallest, in order of the draws."""
+    spark = points.sparkSession
+    drawn = spark.range(q).select("id", hash_int(F.concat(F.lit("0-"), F.col("id").cast("string")), seed).alias("h"))
+    return [r["id"] for r in drawn.orderBy("h", "id").limit(s).collect()]
+
 
-    signed = mixing.blocks(mixing.signs(points.select("pt_key", *coords(d), "u"), seed), b, seed, scope, total)
-    return signed.groupBy("blk").applyInArrow(run, "h double, blk long, out int, row array<double>")
+def global_rows(points: DataFrame, model: FunctionalTucker, s: int, seed: int = 0, total: int | None = None, length: int = 1024) -> tuple[np.ndarray, np.ndarray]:
+    """s rows of one Fourier transform over all points, in two steps: points are dealt to residue classes of about ``length`` rows (a shuffle of narrow rows), each class is transformed, turned and added to its task's s x (R + 1) block. Rows of no point (the last of a class) are zero."""
+    d, r = model.d, model.R
+    n = points.count() if total is None else total
+    if not n:
+        return np.zeros((0, r)), np.zeros(0)
+    q2 = max(1, -(-n // length))  # classes
+    q1 = -(-n // q2)
+    q = q1 * q2
+    outputs = np.array(global_outputs(points, q, min(s, q), seed))
+    freq = (outputs + 1) // 2
+    edge = (outputs == 0) | ((q % 2 == 0) & (outputs == q - 1))
+    real = (outputs % 2 == 1) | edge
+    scale = np.where(edge, 1.0, np.sqrt(2.0)) / np.sqrt(q)
+    rows = mixing.numbered(mixing.signs(points.select("pt_key", *coords(d), "u"), seed), seed).withColumn("cls", F.pmod("q", F.lit(q2)))
+    dealt = rows.repartition("cls").sortWithinPartitions("cls", "q")
+
+    def make(batches):
+        out, held = None, None
+
+        def add(t: pa.Table) -> None:
+            cls = int(t.column("cls")[0].as_py())
+            w = np.zeros((q1, r + 1))
+            at = t.column("q").to_numpy() // q2
+            w[at] = np.concatenate([model.design([t.column(c).to_numpy() for c in coords(d)]), t.column("u").to_numpy()[:, None]], axis=1) * t.column("sgn").to_numpy()[:, None]
+            part = np.fft.fft(w, axis=0)[freq % q1] * np.exp(-2j * np.pi * ((cls * freq) % q) / q)[:, None]
+            out[...] += scale[:, None] * np.where(real[:, None], part.real, part.imag)
+
+        for batch in batches:
+            out = np.zeros((len(outputs), r + 1)) if out is None else out
+            t = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
+            cls = t.column("cls").to_numpy()
+            ends = np.flatnonzero(np.diff(cls)) + 1
+            for i, j in zip(np.concatenate([[0], ends[:-1]]) if len(ends) else [], ends):
+                add(t.slice(int(i), int(j - i)))
+            held = t.slice(int(ends[-1]) if len(ends) else 0)
+        if held is not None and held.num_rows:
+            add(held)
+        return out
+
+    got = sum_blocks(dealt, make, (len(outputs), r + 1))
+    return got[:, :r], got[:, r]
 
 
 _ROWS = pa.schema([("h", pa.float64()), ("blk", pa.int64()), ("out", pa.int32()), ("row", pa.list_(pa.float64()))])
@@ -80,12 +187,35 @@ def collect_sketch(rows: DataFrame, s: int, r: int) -> tuple[np.ndarray, np.ndar
 def sketch(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """s uniformly drawn mixed rows. A little more than the share is let through, so that the s smallest draws are among them."""
     q = points.count() if total is None else total
-    if scope == "global" and q * (model.R + 1) * 8 > MAX_SKETCH:
-        raise ValueError(f"one transform over {q} x {model.R + 1} numbers does not fit a task: use scope='block'")
+    if scope == "global":
+        if kind != "dft":
+            raise ValueError("one transform over all rows is the Fourier transform")
+        if s * (model.R + 1) * 8 > MAX_SKETCH:
+            raise ValueError(f"a sketch of {s} x {model.R + 1} numbers is more than {MAX_SKETCH} bytes: use scope='block'")
+        return global_rows(points, model, s, seed, q)
     share = min(1.0, (s + 5 * np.sqrt(s) + 10) / max(q, 1))
     return collect_sketch(mixed_rows(points, model, share, kind, b, scope, seed, q), s, model.R)
 
 
+def solve_sketch(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None, max_bytes: int | None = None) -> Solution:
+    """The core from s mixed rows. A sketch of over ``MAX_SKETCH`` bytes is written to the shared folder (about s rows: all whose draw is below the share) and solved there."""
+    r = model.R
+    if s * (r + 1) * 8 <= (MAX_SKETCH if max_bytes is None else max_bytes):
+        a, rhs = sketch(points, model, s, kind, b, scope, seed, total)
+        x = solve_small(a, rhs) if len(rhs) else model.core.ravel()
+        res = rhs - a @ x if len(rhs) else rhs
+        return Solution(x, float(res @ res), float(rhs @ rhs), float("nan"), len(rhs), len(rhs) < r)
+    if scope == "global":
+        raise ValueError(f"a sketch of {s} x {r + 1} numbers is more than {MAX_SKETCH} bytes: use scope='block'")
+    q = points.count() if total is None else total
+    rows = cut(mixed_rows(points, model, min(1.0, s / max(q, 1)), kind, b, scope, seed, q).select("row"), "sketch")
+    got = lsqr_rows(rows, r, Kronecker(axis_grams(points, model)))
+    discard(rows)
+    if not got.converged:
+        raise RuntimeError(f"the sketched core did not settle in {got.rounds} rounds: take more rows than {got.rows}")
+    return got
+
+
 # -- leverage ---------------------------------------------------------------------------------
 
 
@@ -166,13 +296,9 @@ def leverage_ls(points: DataFrame, model: FunctionalTucker, s: int, seed: int =
 
 def projected(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "sparse_sign", seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """sparse_sign: every row goes with a sign to one of s buckets, which are summed. gauss: s Gaussian combinations of all rows. Each task adds into one s x (R + 1) block."""
-    from .lstsq import tree_blocks
-
     d, r = model.d, model.R
     if s * (r + 1) * 8 > MAX_SKETCH:
         raise ValueError("the sketch is too large for one block")
-    from .sampling import hash_int
-
     src = points.select(*coords(d), "u", mixing.sign_of(F.col("pt_key"), seed).alias("sgn"), hash_int(F.col("pt_key"), f"mix{seed}", 3).alias("bkt"))
 
     def make(batches):
@@ -190,6 +316,6 @@ def projected(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "s
                     raise ValueError(f"unknown projection {kind!r}")
         return out
 
-    block = tree_blocks(src, make, lambda a, b: a + b, r + 1)
+    block = sum_blocks(src, make, (s, r + 1))
     block = np.zeros((s, r + 1)) if block is None else block
     return block[:, :r], block[:, r]

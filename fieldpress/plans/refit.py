@@ -23,21 +23,25 @@ class Refit:
     sketch_residual: float
 
 
-def refit_core(points: DataFrame, model: FunctionalTucker, s: int | None = None, oversample: float = 2.5, mix: str = "dft", scope: str = "block", seed: int = 0, b: int = 1024, total: int | None = None) -> Refit:
-    """The core from s mixed rows (oversample x R by default). Mixers: dft, dct, wht, none; projections: gauss, sparse_sign."""
+def refit_core(points: DataFrame, model: FunctionalTucker, s: int | None = None, oversample: float = 2.5, mix: str = "dft", scope: str = "block", seed: int = 0, b: int = 1024, total: int | None = None, max_bytes: int | None = None) -> Refit:
+    """The core from s mixed rows (oversample x R by default), of any R. Mixers: dft, dct, wht, none; projections: gauss, sparse_sign. Scopes: block, partition, global (dft)."""
     s = max(1, int(round(oversample * model.R))) if s is None else s
     if mix in ("gauss", "sparse_sign"):
         a, rhs = sketch.projected(points, model, s, mix, seed)
+        core = lstsq.solve_small(a, rhs) if len(rhs) else model.core.ravel()
+        res = rhs - a @ core
+        got = lstsq.Solution(core, float(res @ res), float(rhs @ rhs), float("nan"), len(rhs), len(rhs) < model.R)
     else:
-        a, rhs = sketch.sketch(points, model, s, mix, b, scope, seed, total)
-    core = lstsq.solve_small(a, rhs) if len(rhs) else model.core.ravel()
-    res = rhs - a @ core if len(rhs) else rhs
-    size = float(rhs @ rhs)
-    return Refit(model.with_core(core, seed=seed), len(rhs), len(rhs) / model.R, len(rhs) < model.R, float(np.sqrt(res @ res / size)) if size else 0.0)
+        got = sketch.solve_sketch(points, model, s, mix, b, scope, seed, total, max_bytes)
+    return Refit(model.with_core(got.core, seed=seed), got.rows, got.rows / model.R, got.rows < model.R, got.relative_residual)
 
 
 def refit_full(points: DataFrame, model: FunctionalTucker, method: str = "gram") -> FunctionalTucker:
-    return model.with_core(lstsq.full(points, model, method).core)
+    """All points. A core that does not settle (only cores of over ``lstsq.MAX_R`` are iterated) is an error."""
+    got = lstsq.full(points, model, method)
+    if not got.converged:
+        raise RuntimeError(f"the core did not settle in {got.rounds} rounds")
+    return model.with_core(got.core)
 
 
 def refit_top(points: DataFrame, model: FunctionalTucker, top: int) -> FunctionalTucker:
@@ -57,7 +61,7 @@ def refit_top(points: DataFrame, model: FunctionalTucker, top: int) -> Functiona
                 out[:, top] += w[:, at].T @ u
         return out
 
-    block = lstsq.tree_blocks(points.select(*coords(d), "u"), make, lambda a, b: a + b, top + 1)
+    block = lstsq.sum_blocks(points.select(*coords(d), "u"), make, (top, top + 1))
     if block is not None:
         flat[at] = lstsq.solve_gram(block[:, :top], block[:, top])[0]
     return model.with_core(flat)
@@ -91,7 +95,7 @@ def refit_axis(points: DataFrame, model: FunctionalTucker, k: int) -> Functional
                 out[:, n] += phi.T @ part.column("u").to_numpy(zero_copy_only=False)
         return out
 
-    block = lstsq.tree_blocks(points.select(*coords(d), "u"), make, lambda a, b: a + b, n + 1)
+    block = lstsq.sum_blocks(points.select(*coords(d), "u"), make, (n, n + 1))
     if block is None:
         return model
     x, _ = lstsq.solve_gram(block[:, :n], block[:, n])
