@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,6 +19,16 @@ def fit_axes(points: DataFrame, nodes: list[int], bounds: list[tuple[float, floa
     return [AxisSpec(n, float(lo), float(hi), m if hi > lo else 1, k) for n, (lo, hi), m, k in zip(names, bounds, nodes, kinds)]
 
 
+#: Points of the regridded share for each node.
+SUPPORT = 12
+
+
+def nodes_for(q: int, weights: list[int], rate: float = 1.0, support: float = SUPPORT, least: int = 4) -> list[int]:
+    """Nodes of each axis, in proportion to the weights, so that q * rate points give about ``support`` a node."""
+    m = (max(q * rate, 1.0) / support / float(np.prod(weights))) ** (1 / len(weights))
+    return [max(least, round(w * m)) for w in weights]
+
+
 def unit_axes(nodes: list[int]) -> list[AxisSpec]:
     return [AxisSpec(c, 0.0, 1.0, m) for c, m in zip(coords(len(nodes)), nodes)]
 

@@ -34,15 +34,14 @@ def vector_samples(spark: SparkSession, factors: list[np.ndarray], axes: list[Ax
 
 
 def solve(y: np.ndarray, z: np.ndarray, spec: BasisSpec, solver: str = "lars_loo") -> S.SparseFit:
-    """One fit. ols: all functions; lars_loo: Lasso path, leave-one-out choice, least squares on the chosen functions; lasso_loo: the path's own values."""
+    """One fit. ols: all functions; lars_loo: Lasso path, leave-one-out choice, least squares on the chosen functions; lasso_loo: the path's own values; lars_or_ols: all functions if their leave-one-out error is below half of the path's."""
     phi = B.evaluate_matrix(y, spec)
     if solver == "ols":
         coef = S.ols(phi, z)
         size = float(np.var(z)) or float(np.mean(z**2)) or 1.0
         return S.SparseFit(coef, 0.0, S.fast_loo(phi, z) / size, S.relative_error(phi, z, coef))
-    fit = S.fit_lars_loo(phi, z, "ols" if solver == "lars_loo" else "lasso")
-    if solver == "lars_loo" and spec.size < len(z):
-        # the full space may predict better than any set on the path
+    fit = S.fit_lars_loo(phi, z, "lasso" if solver == "lasso_loo" else "ols")
+    if solver == "lars_or_ols" and spec.size < len(z):
         full = solve(y, z, spec, "ols")
         if full.loo < 0.5 * fit.loo:
             return full

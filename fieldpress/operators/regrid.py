@@ -213,8 +213,8 @@ def fill_once(tensor: DataFrame, axes: list[AxisSpec]) -> DataFrame:
     return have.unionByName(new)
 
 
-def fill_holes(tensor: DataFrame, axes: list[AxisSpec], method: str = "neighbours", max_rounds: int = 50) -> DataFrame:
-    """The tensor with all nodes. neighbours: rounds of ``fill_once`` with the lineage cut each round; mean: the overall mean."""
+def fill_holes(tensor: DataFrame, axes: list[AxisSpec], method: str = "neighbours", rounds: int = 4) -> DataFrame:
+    """The tensor with all nodes (an empty one stays empty). neighbours: up to so many rounds of ``fill_once``; what is left takes the mean of the smallest block of 2, 4, 8, ... nodes a side that holds a covered node, the whole grid at last. mean: the overall mean. Each round is written once."""
     total = int(np.prod([a.nodes for a in axes]))
     idx = indices(len(axes))
     have = tensor if "filled" in tensor.columns else tensor.withColumn("filled", F.lit(False))
@@ -222,19 +222,28 @@ def fill_holes(tensor: DataFrame, axes: list[AxisSpec], method: str = "neighbour
         mean = tensor.agg(F.avg("v")).first()[0] or 0.0
         new = holes(have, axes).select(*idx, F.lit(mean).alias("v"), F.lit(0.0).alias("support"), F.lit(True).alias("filled"))
         return have.unionByName(new)
-    from .storage import cut
+    from .storage import cut, discard
 
     have = cut(have)
     n = have.count()
-    for _ in range(max_rounds):
+    for _ in range(rounds):
         if n >= total or n == 0:
             return have
-        have = cut(fill_once(have, axes))
-        grown = have.count()
-        if grown == n:
-            break
-        n = grown
-    return have
+        before, have = have, cut(fill_once(have, axes))
+        discard(before)
+        n = have.count()
+    if n >= total:
+        return have
+    open_ = holes(have, axes)
+    for level in range(1, max(a.nodes for a in axes).bit_length() + 1):
+        block = lambda df, level=level: [F.shiftright(F.col(i), level).alias(f"b{level}_{i}") for i in idx]
+        means = have.groupBy(*block(have)).agg(F.avg("v").alias(f"v{level}"))
+        open_ = open_.withColumns({f"b{level}_{i}": F.shiftright(F.col(i), level) for i in idx}).join(means, [f"b{level}_{i}" for i in idx], "left")
+    levels = [f"v{k}" for k in range(1, max(a.nodes for a in axes).bit_length() + 1)]
+    new = open_.select(*idx, F.coalesce(*levels).alias("v"), F.lit(0.0).alias("support"), F.lit(True).alias("filled"))
+    done = cut(have.unionByName(new))
+    discard(have)
+    return done
 
 
 def coverage(tensor: DataFrame, axes: list[AxisSpec]) -> DataFrame:

@@ -11,7 +11,8 @@ from ..operators.storage import cut
 from ..schema import AxisSpec, BasisSpec, indices, legendre, multiwavelet
 from .model import FunctionalTucker, Meta
 
-DEFAULT_SPACES = [legendre(14), multiwavelet(2, 3)]
+#: Candidates on any axis: those with fewer functions than the axis has nodes are tried, polynomials of a degree that fits.
+DEFAULT_SPACES = [legendre(40), multiwavelet(5, 3), multiwavelet(3, 3), multiwavelet(2, 3), multiwavelet(1, 3)]
 
 
 def grid_tensor(points: DataFrame, axes: list[AxisSpec], rate: float = 1.0, regridder: str = "local_linear", seed: int = 0, **kw) -> DataFrame:
