@@ -120,6 +120,16 @@ class FunctionalTucker:
         for name, df in self.tables(spark).items():
             df.coalesce(1).write.mode("overwrite").parquet(f"{path}/{name}")
 
+    def to_json(self) -> str:
+        functions = [[{"basis": f.basis.row(), "coef": {str(i): c for i, c in f.coef.items()}, "errors": [f.fit_err, f.loo_err]} for f in fs] for fs in self.functions]
+        return json.dumps({"axes": [[a.name, a.lo, a.hi, a.nodes, a.kind] for a in self.axes], "ranks": list(self.ranks), "core": self.core.ravel().tolist(), "functions": functions})
+
+    @staticmethod
+    def from_json(text: str) -> "FunctionalTucker":
+        x = json.loads(text)
+        functions = [[ModeFunction(BasisSpec(f["basis"]["family"], f["basis"]["degree"], f["basis"]["resolution"]), {int(i): c for i, c in f["coef"].items()}, *f["errors"]) for f in fs] for fs in x["functions"]]
+        return FunctionalTucker([AxisSpec(*a) for a in x["axes"]], np.array(x["core"]).reshape(x["ranks"]), functions)
+
     @staticmethod
     def load(spark: SparkSession, path: str) -> "FunctionalTucker":
         read = {n: spark.read.parquet(f"{path}/{n}").collect() for n in ("axes", "mode_functions", "core", "meta")}

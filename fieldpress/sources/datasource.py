@@ -24,7 +24,7 @@ from ..schema import coords
 
 
 def load_local(path: str) -> FunctionalTucker:
-    """A bundle from a path that the driver can open; for other stores load the model with Spark (``FunctionalTucker.load``) and use ``decode``."""
+    """A bundle from a path that the driver can open; for other stores use ``read``."""
     path = path.removeprefix("file://").removeprefix("file:")
 
     def rows(name: str) -> list[dict]:
@@ -50,7 +50,7 @@ class ModelSource(DataSource):
         return "fieldpress"
 
     def _model(self) -> FunctionalTucker:
-        return load_local(self.options["path"])
+        return FunctionalTucker.from_json(self.options["model"]) if "model" in self.options else load_local(self.options["path"])
 
     def schema(self) -> str:
         return ", ".join(f"{c} double" for c in (*coords(self._model().d), "u_hat"))
@@ -105,7 +105,8 @@ def register(spark: SparkSession) -> None:
 
 
 def read(spark: SparkSession, path: str, **options: str):
-    """The bundle as a DataFrame, with pushdown if the session allows it."""
+    """The bundle, in any store that Spark reads, as a DataFrame, with pushdown if the session allows it: the model (as small as it is) travels in an option."""
     register(spark)
+    options = {"model": FunctionalTucker.load(spark, path).to_json(), **options}
     on = spark.conf.get("spark.sql.python.filterPushdown.enabled", "false")
     return spark.read.format("fieldpress").options(pushdown=on, **options).load(path)

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..operators import lstsq, regrid
+from ..operators.storage import remove
 from ..plans.model import FunctionalTucker
 from ..schema import AxisSpec, coords
 
@@ -90,16 +91,32 @@ def solve_blocks(blocks: DataFrame, model: FunctionalTucker) -> FunctionalTucker
     return model.with_core(lstsq.solve_gram(total[:r, :r], total[:r, r])[0])
 
 
-def refresh_each_batch(stream_points: DataFrame, model: FunctionalTucker, sink, checkpoint: str):
-    """The same by foreachBatch: partial Gram blocks of each micro-batch come from many tasks (no single key), sums are kept by the caller. sink(model, n) is called after each batch."""
-    total: dict = {"g": None, "b": None, "n": 0}
+def refresh_each_batch(stream_points: DataFrame, model: FunctionalTucker, sink, checkpoint: str, sums: str):
+    """The same by foreachBatch: Gram sums of each micro-batch come from many tasks (no single key). The sums up to each batch are a file in the folder ``sums``, written before sink(model, n) is called: a restarted stream goes on from the batch before, a repeated batch writes its file anew. The last two files stay."""
+    spark = stream_points.sparkSession
+    r = model.R
 
-    def one(batch: DataFrame, _: int) -> None:
-        g, b, _, n = lstsq.moments(batch, model)
-        total["g"] = g if total["g"] is None else total["g"] + g
-        total["b"] = b if total["b"] is None else total["b"] + b
-        total["n"] += n
-        if total["n"]:
-            sink(model.with_core(lstsq.solve_gram(total["g"], total["b"])[0]), total["n"])
+    def one(batch: DataFrame, i: int) -> None:
+        g, b, uu, n = lstsq.moments(batch, model)
+        total = np.zeros((r + 1, r + 1))
+        total[:r, :r], total[:r, r], total[r, r] = g, b, uu
+        done = _sums_before(spark, sums, i)
+        if done is not None:
+            total, n = total + np.frombuffer(done["block"]).reshape(r + 1, r + 1), n + done["n"]
+        spark.createDataFrame([(i, n, total.tobytes())], _SUMS).coalesce(1).write.mode("overwrite").parquet(f"{sums}/upto={i}")
+        remove(spark, f"{sums}/upto={i - 2}")
+        if n:
+            sink(model.with_core(lstsq.solve_gram(total[:r, :r], total[:r, r])[0]), n)
 
     return stream_points.writeStream.foreachBatch(one).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+
+
+_SUMS = "id long, n long, block binary"
+
+
+def _sums_before(spark, sums: str, i: int):
+    """The sums up to the last batch before i, or None."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(sums)
+    if not path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path):
+        return None
+    return spark.read.schema(_SUMS).parquet(sums).where(F.col("id") < i).orderBy(F.desc("id")).first()
