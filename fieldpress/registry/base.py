@@ -7,10 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.axes import unit_axes
+from ..operators.axes import nodes_for, unit_axes
 from ..plans.compress import compress
 from ..plans.model import FunctionalTucker
-from ..schema import legendre, multiwavelet
+from ..schema import AxisSpec
 from ..sources import tables
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -50,26 +50,26 @@ def points_sql(value: str = tables.FRONT3) -> str:
     return f"p AS (SELECT pt_key, c1, c2, c3, {value} AS u FROM ({tables.POINTS_SQL}))"
 
 
-def scale_of(sf_dir: str) -> str:
-    """Which parameters fit the table sizes, by the folder's name."""
-    name = sf_dir.rstrip("/").rsplit("/", 1)[-1]
-    return {"sf0.001": "small", "sf0.01": "middle"}.get(name, "large")
+#: One set of parameters for tables of any size: the grids follow the number of points (``axes.nodes_for``).
+EPS = 1e-2
+RATE = 0.1
+WEIGHTS3, WEIGHTS4 = [2, 2, 1], [1, 1, 1, 1]
 
 
-NODES3 = {"small": [10, 8, 6], "middle": [24, 24, 12], "large": [40, 40, 20]}
-NODES4 = {"small": [6, 6, 4, 6], "middle": [12, 12, 8, 12], "large": [16, 16, 10, 16]}
-EPS = {"small": 5e-2, "middle": 1e-2, "large": 1e-2}
-SPACES = {"small": [legendre(7), multiwavelet(1, 3)], "middle": [legendre(14), multiwavelet(2, 3)], "large": [legendre(20), multiwavelet(3, 3)]}
+def grid3(q: int, rate: float = 1.0) -> list[AxisSpec]:
+    return unit_axes(nodes_for(q, WEIGHTS3, rate))
 
 
-def model3(spark: SparkSession, sf_dir: str, eps: float | None = None, value: str = tables.FRONT3, **kw) -> FunctionalTucker:
-    s = scale_of(sf_dir)
-    return compress(line(spark, sf_dir, value), unit_axes(NODES3[s]), EPS[s] if eps is None else eps, kw.pop("rate", 1.0), candidates=kw.pop("candidates", SPACES[s]), **kw)
+def model3(spark: SparkSession, sf_dir: str, eps: float | None = EPS, value: str = tables.FRONT3, rate: float = 1.0, **kw) -> FunctionalTucker:
+    points = line(spark, sf_dir, value)
+    q = points.count()
+    return compress(points, grid3(q, rate), eps, rate, n_points=q, **kw)
 
 
-def model4(spark: SparkSession, sf_dir: str, eps: float | None = None, **kw) -> FunctionalTucker:
-    s = scale_of(sf_dir)
-    return compress(tables.order_points(spark, sf_dir), unit_axes(NODES4[s]), (3 * EPS[s]) if eps is None else eps, candidates=SPACES[s], **kw)
+def model4(spark: SparkSession, sf_dir: str, eps: float | None = EPS, rate: float = 1.0, **kw) -> FunctionalTucker:
+    points = tables.order_points(spark, sf_dir)
+    q = points.count()
+    return compress(points, unit_axes(nodes_for(q, WEIGHTS4, rate)), eps, rate, n_points=q, **kw)
 
 
 def rows(spark: SparkSession, data: list[tuple], schema: str) -> DataFrame:

@@ -163,21 +163,19 @@ def row_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def event_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All events in blocks of 32 by number (the last one is shorter)."""
     e = tables.table(spark, sf_dir, "events").select("event_id", "value")
-    # whole blocks of 32 events only: the length of a transform
-    b = e.select(F.floor(F.col("event_id") / 32).cast("long").alias("blk"), F.pmod("event_id", F.lit(32)).cast("int").alias("pos"), F.col("value").alias("x"))
-    whole = b.groupBy("blk").count().where("count = 32").select("blk")
-    return b.join(whole, "blk")
+    return e.select(F.floor(F.col("event_id") / 32).cast("long").alias("blk"), F.pmod("event_id", F.lit(32)).cast("int").alias("pos"), F.col("value").alias("x"))
 
 
-_EV = "e AS (SELECT event_id // 32 AS blk, (event_id % 32)::INTEGER AS pos, value AS x, count(*) OVER (PARTITION BY event_id // 32) AS len FROM events), w AS (SELECT * FROM e WHERE len = 32), o AS (SELECT unnest(range(32))::INTEGER AS out)"
-_DFT = "CASE WHEN out = 0 OR out = 31 THEN cos(2 * pi() * ((out + 1) // 2) * pos / 32) / sqrt(32) WHEN out % 2 = 1 THEN sqrt(2) * cos(2 * pi() * ((out + 1) // 2) * pos / 32) / sqrt(32) ELSE -sqrt(2) * sin(2 * pi() * (out // 2) * pos / 32) / sqrt(32) END"
-_DCT = "CASE WHEN out = 0 THEN sqrt(1 / 32.0::DOUBLE) ELSE sqrt(2 / 32.0::DOUBLE) * cos(pi() * out * (2 * pos + 1) / 64.0::DOUBLE) END"
-_WHT = "(1 - 2 * (bit_count(out & pos) % 2)) / sqrt(32)"
+_EV = "w AS (SELECT event_id // 32 AS blk, (event_id % 32)::INTEGER AS pos, value AS x, count(*) OVER (PARTITION BY event_id // 32) AS len FROM events), o AS (SELECT unnest(range(32))::INTEGER AS out)"
+_DFT = "CASE WHEN out = 0 OR (len % 2 = 0 AND out = len - 1) THEN cos(2 * pi() * ((out + 1) // 2) * pos / len) / sqrt(len) WHEN out % 2 = 1 THEN sqrt(2) * cos(2 * pi() * ((out + 1) // 2) * pos / len) / sqrt(len) ELSE -sqrt(2) * sin(2 * pi() * (out // 2) * pos / len) / sqrt(len) END"
+_DCT = "CASE WHEN out = 0 THEN sqrt(1.0::DOUBLE / len) ELSE sqrt(2.0::DOUBLE / len) * cos(pi() * out * (2 * pos + 1) / (2.0::DOUBLE * len)) END"
+_WHT = "(1 - 2 * (bit_count(out & pos) % 2)) / sqrt(len)"
 
 
 def _mixed_sql(weight: str) -> str:
-    return f"WITH {_EV} SELECT blk, out, {qs(f'sum(x * {weight})', 5)} AS y FROM w, o GROUP BY blk, out"
+    return f"WITH {_EV} SELECT blk, out, {qs(f'sum(x * {weight})', 5)} AS y FROM w, o WHERE out < len GROUP BY blk, out"
 
 
 @query(_mixed_sql(_DFT))
@@ -204,11 +202,20 @@ def mix_energy_preserved(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-@query(f"WITH x AS (SELECT event_id AS q, value AS x FROM events WHERE event_id < 960), f AS (SELECT unnest([0, 1, 5, 100, 479]) AS f) SELECT f::BIGINT AS f, {qs('sum(x * cos(2 * pi() * f * q / 960)) / sqrt(960)', 5)} AS re, {qs('-sum(x * sin(2 * pi() * f * q / 960)) / sqrt(960)', 5)} AS im FROM x, f GROUP BY f")
+@query(f"WITH x AS (SELECT event_id AS q, value AS x FROM events), n AS (SELECT (ceil(count(*) / 30.0) * 30)::BIGINT AS n FROM x), f AS (SELECT unnest([0, 1, 5, 100, 479]) AS f) SELECT f::BIGINT AS f, {qs('sum(x * cos(2 * pi() * f * q / n)) / sqrt(max(n))', 5)} AS re, {qs('-sum(x * sin(2 * pi() * f * q / n)) / sqrt(max(n))', 5)} AS im FROM x, f, n GROUP BY f")
 def factored_global_dft(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One transform over the first 960 events as 32 x 30, the length that the transform is given."""
-    e = tables.table(spark, sf_dir, "events").where("event_id < 960").select(F.col("event_id").alias("q"), F.col("value").alias("x"))
-    return mixing.factored_dft(e, 32, 30, [0, 1, 5, 100, 479]).select("f", q("re", 5).alias("re"), q("im", 5).alias("im"))
+    """One transform over all events in 30 residue classes; the length is rounded up to whole classes."""
+    e = tables.table(spark, sf_dir, "events").select(F.col("event_id").alias("q"), F.col("value").alias("x"))
+    return mixing.factored_dft(e, -(-e.count() // 30), 30, [0, 1, 5, 100, 479]).select("f", q("re", 5).alias("re"), q("im", 5).alias("im"))
+
+
+@query("SELECT way, j, v FROM (SELECT unnest(['full', 'sketch']) AS way), (SELECT unnest([1, 2, 3, 4]) AS j, unnest([1.0::DOUBLE, 0.5, -2.0, 0.25]) AS v)")
+def large_core_ways(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ways for cores beyond the driver (limits set to nothing): all points by conjugate gradients, and a stored sketch."""
+    points = line(spark, sf_dir, SPAN)
+    full = lstsq.full(points, literal_model(), max_r=0)
+    part = refit.refit_core(points, literal_model(), 40, b=256, max_bytes=0)
+    return _core(spark, full.core).select(F.lit("full").alias("way"), "*").union(_core(spark, part.model.core).select(F.lit("sketch").alias("way"), "*"))
 
 
 _DRAW = "('0x' || substr(md5(blk || '-' || out || '/0'), 1, 8))::BIGINT / 4294967296.0::DOUBLE"

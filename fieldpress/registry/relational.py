@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -11,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators import baselines, decode, metrics, regrid, sampling, sql_surface
 from ..operators.axes import unit_axes
+from ..operators.storage import folder
 from ..plans.model import FunctionalTucker, ModeFunction, canonical_terms, rank_one
 from ..schema import coords, legendre, multiwavelet
 from ..sources import datasource, tables
@@ -57,8 +56,8 @@ def decode_slice_udtf(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"WITH {_GRID} SELECT {qs('c1', 4)} AS c1, {qs('c2', 4)} AS c2, {qs('c3', 4)} AS c3, {qs(_VALUE)} AS u_hat FROM g WHERE c1 >= 0.25 AND c2 < 0.55")
 def model_source_filtered(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The bundle as a table through the Python data source, with a slice option and filters."""
-    path = tempfile.mkdtemp(prefix="fieldpress-model-")
-    literal_model().save(spark, "file://" + path)
+    path = folder(spark, "model")
+    literal_model().save(spark, path)
     df = datasource.read(spark, path, nodes="11,11,11", fix="c3=0.4")
     return _rounded(df.where("c1 >= 0.25 AND c2 < 0.55"))
 
@@ -76,7 +75,7 @@ def decode_box_mean(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("SELECT true AS same, true AS small_files")
 def model_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     model = model3(spark, sf_dir)
-    path = tempfile.mkdtemp(prefix="fieldpress-model-")
+    path = folder(spark, "model")
     model.save(spark, path)
     back = FunctionalTucker.load(spark, path)
     x = [np.linspace(0, 1, 50)] * 3
@@ -175,10 +174,10 @@ def full_expansion_fit_2d(spark: SparkSession, sf_dir: str) -> DataFrame:
 _CELL = "least(floor(c1 * 7), 6)::INTEGER AS i1, least(floor(c2 * 7), 6)::INTEGER AS i2, least(floor(c3 * 5), 4)::INTEGER AS i3"
 
 
-@query(f"WITH {points_sql()}, c AS (SELECT {_CELL}, u FROM p), s AS (SELECT i1, i2, i3, count(*) AS n, min(u) AS lo, max(u) AS hi, avg(u) AS mean FROM c GROUP BY i1, i2, i3) SELECT i1, i2, i3, n::BIGINT AS n, {qs('lo')} AS lo, {qs('hi')} AS hi, {qs('mean')} AS mean, (16 + n)::DOUBLE AS bytes FROM s")
+@query(f"WITH {points_sql()}, c AS (SELECT {_CELL}, u FROM p), s AS (SELECT i1, i2, i3, count(*) AS n, min(u) AS lo, max(u) AS hi, avg(u) AS mean FROM c GROUP BY i1, i2, i3), e AS (SELECT c.i1, c.i2, c.i3, sum(CASE WHEN hi > lo THEN pow(u - lo - floor((u - lo) / ((hi - lo) / 255) + 0.5) * ((hi - lo) / 255), 2) ELSE 0 END) AS err2, sum(u * u) AS sum2 FROM c JOIN s ON c.i1 = s.i1 AND c.i2 = s.i2 AND c.i3 = s.i3 GROUP BY c.i1, c.i2, c.i3) SELECT s.i1, s.i2, s.i3, n::BIGINT AS n, {qs('lo')} AS lo, {qs('hi')} AS hi, {qs('mean')} AS mean, (16 + n)::DOUBLE AS bytes, {qs('err2', 7)} AS err2, {qs('sum2', 5)} AS sum2 FROM s JOIN e ON s.i1 = e.i1 AND s.i2 = e.i2 AND s.i3 = e.i3")
 def block_quantise(spark: SparkSession, sf_dir: str) -> DataFrame:
     b = baselines.block_quantise(line(spark, sf_dir), COARSE, 8)
-    return b.select("i1", "i2", "i3", "n", q("lo").alias("lo"), q("hi").alias("hi"), q("mean").alias("mean"), "bytes")
+    return b.select("i1", "i2", "i3", "n", q("lo").alias("lo"), q("hi").alias("hi"), q("mean").alias("mean"), "bytes", q("err2", 7).alias("err2"), q("sum2", 5).alias("sum2"))
 
 
 @query("SELECT true AS small_error, true AS low_ratio")
@@ -294,44 +293,40 @@ def events_session(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def event_stream(spark: SparkSession, sf_dir: str, files: int = 4) -> DataFrame:
     """events as a stream of files in event order; files are written to a folder of the session's shared storage."""
-    from ..operators.storage import shared_dir
-
-    path = f"{shared_dir(spark)}/events-{os.urandom(6).hex()}"
+    path = folder(spark, "events")
     e = tables.table(spark, sf_dir, "events")
     e.repartitionByRange(files, "event_id").write.parquet(path)
     return spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(path)
 
 
-def _drain(stream: DataFrame, name: str, mode: str, confs: dict[str, str] | None = None) -> DataFrame:
-    spark = stream.sparkSession
-    from ..operators.storage import shared_dir
+def _drain(stream: DataFrame, mode: str) -> DataFrame:
+    """All that the stream gives, as files of the shared folder: a folder a batch (a repeated batch overwrites its own), or the last state in complete mode."""
+    path = folder(stream.sparkSession, "drained")
+
+    def keep(batch: DataFrame, i: int) -> None:
+        batch.write.mode("overwrite").parquet(path if mode == "complete" else f"{path}/batch={i}")
 
-    where = f"{shared_dir(spark)}/stream-{os.urandom(6).hex()}"
-    for k, v in (confs or {}).items():
-        spark.conf.set(k, v)
-    query_ = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start()
+    query_ = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", folder(stream.sparkSession, "stream")).trigger(availableNow=True).start()
     query_.awaitTermination()
-    return spark.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(path)
 
 
 @query(f"SELECT event_type, count(*)::BIGINT AS n, {qs('sum(value)', 4)} AS total FROM events GROUP BY event_type")
 def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Windowed sums of the stream, added up over windows, are those of the table: nothing is late in event order."""
     s = refresh.windowed(event_stream(spark, sf_dir), delay="2 days")
-    got = _drain(s, f"w{os.urandom(4).hex()}", "complete")
+    got = _drain(s, "complete")
     return got.groupBy("event_type").agg(F.sum("n").alias("n"), q(F.sum("total"), 4).alias("total"))
 
 
 @query("SELECT unnest([1, 2, 3, 4]) AS j, unnest([1.0::DOUBLE, 0.5, -2.0, 0.25]) AS v")
 def stream_core_refit(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A planted core refitted from micro-batches."""
-    from ..operators.storage import shared_dir
-
     e = event_stream(spark, sf_dir)
     unit = lambda s: F.pmod(F.xxhash64("event_id", F.lit(s)), F.lit(1000)) / F.lit(1000.0)
     points = e.select(F.col("event_id").cast("string").alias("pt_key"), unit(1).alias("c1"), unit(2).alias("c2"), unit(3).alias("c3")).withColumn("u", F.expr(_VALUE))
     last: list[FunctionalTucker] = []
-    run = refresh.refresh_each_batch(points, literal_model(), lambda m, n: last.append(m), f"{shared_dir(spark)}/refit-{os.urandom(6).hex()}")
+    run = refresh.refresh_each_batch(points, literal_model(), lambda m, n: last.append(m), folder(spark, "refit"), folder(spark, "sums"))
     run.awaitTermination()
     core = last[-1].core.ravel()
     return rows(spark, [(i + 1, float(v)) for i, v in enumerate(core)], "j int, v double").select("j", q("v").alias("v"))
@@ -341,7 +336,7 @@ def stream_core_refit(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stream_deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every event twice in the stream, once in the result."""
     s = event_stream(spark, sf_dir)
-    got = _drain(refresh.deduplicated(s.union(s), "40 days"), f"d{os.urandom(4).hex()}", "append")
+    got = _drain(refresh.deduplicated(s.union(s), "40 days"), "append")
     return got.agg(F.count(F.lit(1)).alias("n"))
 
 
@@ -352,16 +347,14 @@ def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     d = index_axis(tables.table(spark, sf_dir, "events"), "event_type")
     j = refresh.with_dictionary(event_stream(spark, sf_dir).select("event_id", "event_type"), d, "event_type")
-    got = _drain(j, f"j{os.urandom(4).hex()}", "append")
+    got = _drain(j, "append")
     return got.groupBy("event_type", F.col("event_type_id").alias("id")).agg(F.count(F.lit(1)).alias("n"))
 
 
 @query(f"WITH {points_sql()} SELECT least(floor(c1 * 16), 15)::INTEGER AS bucket, count(*)::BIGINT AS n, {qs('sum(u)', 4)} AS total FROM p WHERE least(floor(c1 * 16), 15) >= 8 GROUP BY 1")
 def partitioned_sink(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Points written by bucket of an axis and read back for half of it: only those folders are scanned."""
-    from ..operators.storage import shared_dir
-
-    path = f"{shared_dir(spark)}/by-axis-{os.urandom(6).hex()}"
+    path = folder(spark, "by-axis")
     tables.write_by_axis(line(spark, sf_dir), path)
     return spark.read.parquet(path).where("bucket >= 8").groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), q(F.sum("u"), 4).alias("total"))
 
@@ -369,12 +362,25 @@ def partitioned_sink(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(f"WITH {points_sql()} SELECT f AS format, count(*)::BIGINT AS n, {qs('sum(u)', 4)} AS total FROM p, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) t(f) GROUP BY f")
 def point_formats(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Points through CSV, JSON, ORC and Parquet with the explicit schema."""
-    from ..operators.storage import shared_dir
-
     out = None
     for fmt in ("csv", "json", "orc", "parquet"):
-        path = f"{shared_dir(spark)}/{fmt}-{os.urandom(6).hex()}"
+        path = folder(spark, fmt)
         line(spark, sf_dir).write.format(fmt).save(path)
         r = tables.read_points(spark, path, 3, fmt).agg(F.lit(fmt).alias("format"), F.count(F.lit(1)).alias("n"), q(F.sum("u"), 4).alias("total"))
         out = r if out is None else out.union(r)
     return out
+
+
+@query(f"SELECT event_id, {qs('avg(value) OVER (PARTITION BY user_id ORDER BY epoch(ts) RANGE BETWEEN 21600 PRECEDING AND CURRENT ROW)', 5)} AS mean6h FROM events")
+def moving_mean_range(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean of a user's values over the six hours before each event: a window frame by range."""
+    e = tables.table(spark, sf_dir, "events").withColumn("s", F.expr("timestampdiff(SECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', ts)"))
+    w = Window.partitionBy("user_id").orderBy("s").rangeBetween(-21600, 0)
+    return e.select("event_id", q(F.avg("value").over(w), 5).alias("mean6h"))
+
+
+@query(f"WITH {points_sql()} SELECT {qs('corr(c1, c2)', 8)} AS corr12, {qs('corr(c2, c3)', 8)} AS corr23, {qs('kurtosis_pop(u)', 6)} AS kurtosis_u, {qs('stddev_samp(u)', 8)} AS stddev_u, {qs('regr_slope(u, c1)', 7)} AS slope, count(DISTINCT c3)::BIGINT AS levels3 FROM p")
+def axis_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether the axes are independent, and the shape of the values."""
+    p = line(spark, sf_dir)
+    return p.agg(q(F.corr("c1", "c2"), 8).alias("corr12"), q(F.corr("c2", "c3"), 8).alias("corr23"), q(F.kurtosis("u"), 6).alias("kurtosis_u"), q(F.stddev("u"), 8).alias("stddev_u"), q(F.regr_slope("u", "c1"), 7).alias("slope"), F.count_distinct("c3").alias("levels3"))

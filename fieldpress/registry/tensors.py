@@ -258,22 +258,23 @@ def core_decay(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.core_decay(df).where("abs_core > 1e-6").select("rank", q("abs_core").alias("abs_core"), q("cum_energy", 9).alias("cum_energy"))
 
 
-@query("SELECT true AS full_rank")
+@query("SELECT count(DISTINCT l_quantity)::INTEGER AS r1, count(DISTINCT floor(l_discount * 100 + 0.5))::INTEGER AS r2, count(DISTINCT least(floor((p_retailprice - 900) / 5), 19))::INTEGER AS r3 FROM lineitem JOIN part ON l_partkey = p_partkey")
 def noise_control(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean raw price by quantity, discount and retail bucket does not compress: a rank is at its grid size."""
+    """Mean raw price by quantity, discount and retail bucket does not compress: every rank is the number of levels."""
     part = tables.table(spark, sf_dir, "part").select("p_partkey", "p_retailprice")
     j = tables.table(spark, sf_dir, "lineitem").select("l_partkey", "l_quantity", "l_discount", "l_extendedprice").join(part, F.col("l_partkey") == F.col("p_partkey"))
     cells = j.select((F.col("l_quantity") - 1).cast("int").alias("i1"), F.floor(F.col("l_discount") * 100 + 0.5).cast("int").alias("i2"), F.least(F.floor((F.col("p_retailprice") - 900) / 5), F.lit(19)).cast("int").alias("i3"), "l_extendedprice")
     t = cells.groupBy(*indices(3)).agg(F.avg("l_extendedprice").alias("v"))
-    r = tucker.st_hosvd(t, [50, 11, 20], eps=1e-2).ranks
-    return rows(spark, [(any(x >= n for x, n in zip(r, (50, 11, 20))),)], "full_rank boolean")
+    r = tucker.st_hosvd(t, [50, 11, 20], eps=1e-4).ranks
+    return rows(spark, [tuple(map(int, r))], "r1 int, r2 int, r3 int")
 
 
 @query(f"WITH {REVENUE}, t AS (SELECT i2, sum(v) AS v FROM cells GROUP BY i2), r AS (SELECT row_number() OVER (ORDER BY v DESC, i2) AS rank, i2, v FROM t) SELECT rank::INTEGER AS rank, i2, {qs('v', 2)} AS v FROM r WHERE rank <= 10")
 def topk_core(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The ten largest entries of a one-axis marginal tensor: a limit by design."""
     t = revenue_cells(spark, sf_dir).groupBy("i2").agg(F.sum("v").alias("v"))
-    return t.select(F.row_number().over(Window.orderBy(F.desc("v"), "i2")).alias("rank"), "i2", q("v", 2).alias("v")).where("rank <= 10")
+    top = t.orderBy(F.desc("v"), "i2").limit(10)
+    return top.select(F.row_number().over(Window.orderBy(F.desc("v"), "i2")).alias("rank"), "i2", q("v", 2).alias("v"))
 
 
 @query(f"WITH {COUNTS} SELECT rank::INTEGER AS rank, {qs('e', 9)} AS energy FROM (SELECT row_number() OVER (ORDER BY v DESC, i1, i2, i3) AS rank, sum(v * v) OVER (ORDER BY v DESC, i1, i2, i3 ROWS UNBOUNDED PRECEDING) / sum(v * v) OVER () AS e FROM t)")
