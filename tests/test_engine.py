@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from fieldpress.functions import basis as B
+from fieldpress.functions import mixers
 from fieldpress.operators import axes as AX
 from fieldpress.operators import baselines, decode, design, funcfit, lstsq, metrics, mixing, regrid, sampling, sketch, tucker
 from fieldpress.operators import tensor_ops as ops
@@ -192,12 +193,89 @@ def test_leverage_sums_to_rank_before_and_after_mixing(spark):
         assert m.agg(F.sum("lev")).first()[0] == pytest.approx(4)
 
 
-def test_blocks_without_a_shuffle(spark):
+def test_partition_blocks_need_no_shuffle(spark):
     p = make_points(spark, field, 300, 2).repartition(3)
-    b = mixing.blocks(p, 50, scope="partition")
-    assert b.groupBy("blk").count().agg(F.max("count")).first()[0] <= 50
+    rows = sketch.mixed_rows(p, two_by_two(), float("inf"), "dct", 50, scope="partition")
+    assert rows.groupBy("blk").count().agg(F.max("count")).first()[0] <= 50 and rows.count() == 300
+    plan = sketch.mixed_rows(spark.read.parquet("/root/testdata/sf0.001/lineitem.parquet").selectExpr("cast(l_orderkey as string) pt_key", "l_tax c1", "l_discount c2", "l_quantity u"), two_by_two(), 0.5, scope="partition")._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan
     with pytest.raises(ValueError):
-        mixing.blocks(p, 50, scope="other")
+        sketch.mixed_rows(p, two_by_two(), 0.5, scope="other")
+
+
+def test_a_block_a_core_and_panels_add_up(spark, monkeypatch):
+    monkeypatch.setattr(lstsq, "PANEL", 7)
+    df = spark.range(0, 2000, 1, 200)
+    make = lambda batches: sum((np.full((5, 3), float(b.num_rows)) for b in batches), np.zeros((5, 3)))
+    cores = spark.sparkContext.defaultParallelism
+    assert lstsq.panels(df, make).count() <= cores * 3  # 15 numbers are three panels
+    assert (lstsq.sum_blocks(df, make, (5, 3)) == 2000).all()
+    assert lstsq.sum_blocks(df, lambda batches: None, (5, 3)) is None
+    stacked = lstsq.merge_blocks(df, lambda batches: np.array([[float(sum(b.num_rows for b in batches))]]), lambda a, b: a + b, 1)
+    assert stacked.tolist() == [[2000.0]]
+
+
+def test_cores_beyond_the_driver(spark):
+    """Conjugate gradients over the points and over a stored sketch against dense solutions."""
+    rng = np.random.default_rng(4)
+    p = spark.createDataFrame([(str(i), *map(float, rng.random(2) ** 2), float(rng.normal())) for i in range(3000)], "pt_key string, c1 double, c2 double, u double")
+    m = FunctionalTucker(AX.unit_axes([9, 9]), np.zeros((9, 7)), [[ModeFunction(legendre(n - 1), {i: 1.0}) for i in range(n)] for n in (9, 7)])
+    dense = lstsq.full(p, m)
+    got = lstsq.full(p, m, max_r=1)
+    assert got.converged and np.abs(got.core - dense.core).max() < 1e-6 and got.residual2 == pytest.approx(dense.residual2, rel=1e-6)
+    few = lstsq.lsqr(p, m, rounds=2)
+    assert not few.converged and few.rounds == 2
+    share = 200 / 3000
+    rows = sketch.mixed_rows(p, m, share, b=256, total=3000).toArrow()
+    w = rows.column("row").combine_chunks().flatten().to_numpy().reshape(-1, m.R + 1)
+    want = np.linalg.lstsq(w[:, :-1], w[:, -1], rcond=None)[0]
+    kept = sketch.solve_sketch(p, m, 200, b=256, total=3000, max_bytes=0)
+    assert kept.rows == len(w) and np.abs(kept.core - want).max() < 1e-5
+
+
+def test_global_rows_are_one_transform(spark):
+    p = make_points(spark, field, 500, 2)
+    m = two_by_two()
+    a, b = sketch.global_rows(p, m, 40, length=64)
+    t = mixing.numbered(mixing.signs(p)).orderBy("q").toPandas()
+    assert t["q"].tolist() == list(range(500))
+    q2 = -(-500 // 64)
+    q = -(-500 // q2) * q2
+    w = np.zeros((q, m.R + 1))
+    w[:500] = np.column_stack([m.design([t["c1"].to_numpy(), t["c2"].to_numpy()]), t["u"].to_numpy()]) * t["sgn"].to_numpy()[:, None]
+    want = mixers.mix(w, "dft")[sketch.global_outputs(p, q, 40)]
+    assert np.abs(np.column_stack([a, b]) - want).max() < 1e-9
+
+
+def test_fill_holes_is_complete_from_one_node(spark):
+    axes = AX.unit_axes([40, 30, 10])
+    t = spark.createDataFrame([(3, 4, 5, 2.5, 1.0)], "i1 int, i2 int, i3 int, v double, support double")
+    full = regrid.fill_holes(t, axes)
+    assert full.count() == 12000 and full.where("v <> 2.5 OR v IS NULL").count() == 0
+
+
+def test_sums_of_a_stream_survive_a_restart(spark, tmp_path):
+    """Two runs of one stream, the second with more files: the core is that of all points."""
+    from fieldpress.streaming import refresh
+
+    p = make_points(spark, field, 400, 2)
+    src, where, sums = (str(tmp_path / x) for x in ("src", "checkpoint", "sums"))
+    m, seen = two_by_two(), []
+    parts = [p.where(F.pmod(F.xxhash64("pt_key"), F.lit(3)) == i) for i in range(3)]
+    for run, some in enumerate((parts[:2], parts[2:])):
+        for i, part in enumerate(some):
+            part.coalesce(1).write.mode("append").parquet(src)
+        stream = spark.readStream.schema(p.schema).option("maxFilesPerTrigger", 1).parquet(src)
+        refresh.refresh_each_batch(stream, m, lambda model, n: seen.append((model.core.ravel(), n)), where, sums).awaitTermination()
+    assert seen[-1][1] == 400 and len(seen) == 3
+    assert np.abs(seen[-1][0] - lstsq.full(p, m).core).max() < 1e-9
+
+
+def test_model_as_json(spark):
+    m = two_by_two()
+    back = FunctionalTucker.from_json(m.to_json())
+    x = [np.linspace(0, 1, 9)] * 2
+    assert np.allclose(back.evaluate(x), m.evaluate(x)) and back.axes == m.axes
 
 
 def test_large_cores_are_refused_by_the_dense_solver(spark):
