@@ -287,3 +287,134 @@ def test_candidates_need_no_gate_and_secrets_no_end():
 @given(st.lists(st.sampled_from(["a", "at", "AT", " ", "(at)", "@", ".", "dot", " dot ", "com", "foo", ",", "b" * 40]), max_size=40).map("".join))
 def test_spelt_addresses_are_those_of_the_pattern(text):
     assert pii.spelt(text) == [m.span() for m in pii._SPELT.finditer(text)]
+
+
+# -- the methods' decisions by brute force -------------------------------------------------------
+
+
+def test_out_of_place_distance_is_that_of_the_brute_force(spark, docs):
+    profiles = langid.learn(docs.filter("lang IS NOT NULL"), per_lang=50)
+    ranked = {}
+    for i, lang in enumerate(profiles.langs):
+        at = profiles.ranks[i, :-1]
+        ranked[lang] = [int(g) for g in profiles.union[np.argsort(np.where(at < 0, 10**9, at), kind="stable")[: (at >= 0).sum()]]]
+    texts = [r.text for r in docs.limit(40).collect()]
+    for t in texts:
+        best = langid.top(*langid.grams(t), langid.PROFILE).tolist()
+        got = profiles.predict(t)
+        if not best:
+            assert got == ("und", 0.0)
+            continue
+        away = {x: sum(abs(r.index(g) - i) if g in r else langid.PROFILE for i, g in enumerate(best)) for x, r in ranked.items()}
+        want = min(away, key=lambda x: (away[x], x))
+        assert got == (want, pytest.approx(1 - away[want] / (langid.PROFILE * len(best))))
+
+
+def test_machine_margin_over_real_features_is_the_pair_sum(docs):
+    f, m = quality.Features(n_meta=1), quality.Machine(quality.Features(n_meta=1).size)
+    m.w[:] = np.random.default_rng(1).normal(0, 0.1, len(m.w))
+    m.v[:] = np.random.default_rng(2).normal(0, 0.1, m.v.shape)
+    for r in docs.select("text", "n_chars").limit(6).collect():
+        words = " ".join((r.text or "").split()[:60])
+        idx, val = f(words, (r.n_chars,))
+        pairs = sum(float(m.v[idx[i]] @ m.v[idx[j]]) * val[i] * val[j] for i in range(len(idx)) for j in range(i))
+        assert m.margin(idx, val) == pytest.approx(m.w0 + float(m.w[idx] @ val) + pairs, abs=1e-3)
+    a, b = f("same words", (10,)), f("same words", (None,))
+    assert a[0].tolist() != b[0].tolist()  # metadata is a feature, null a bucket of its own
+
+
+def test_repeated_ids_do_not_swell_the_training_sample(spark, docs):
+    labels = spark.createDataFrame([(1, 0), (2, 1)], "doc_id long, quality int")
+    from pyspark.sql import functions as F
+
+    many = spark.range(3000).select(F.lit(1).cast("long").alias("doc_id"), F.concat(F.lit("text "), F.col("id")).alias("text")).union(spark.createDataFrame([(2, "other words")], "doc_id long, text string"))
+    m = quality.learn(many, labels, sample=50)
+    assert quality.score(many, m).count() == 3001
+
+
+def slow_fingerprint(text):
+    import xxhash
+
+    words = re.findall("[^\x20\x09-\x0d]+", re.sub("[A-Z]", lambda m: m.group().lower(), text or ""))
+    if not words:
+        return 0
+    shingles = [" ".join(words[i : i + 3]) for i in range(max(1, len(words) - 2))]
+    hashes = [xxhash.xxh64_intdigest(x.encode(), 42) for x in shingles]
+    return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+
+
+def test_fingerprints_are_those_of_the_brute_force(docs, odd):
+    from fieldpress.llm import simhash
+
+    texts = [r.text for r in docs.limit(60).collect()] + [r.text for r in odd.collect()] + ["A b", "É é\x0bX\u00a0y Z z", "one", " \t"]
+    for t in texts:
+        if t is None or len(t) < 60_000:
+            assert simhash.fingerprint(t) == slow_fingerprint(t)
+
+
+def test_reliabilities_are_those_of_the_brute_force():
+    """The same expectation-maximisation candidate by candidate in place of counts of patterns."""
+    rng = np.random.default_rng(0)
+    rows = []
+    for _ in range(400):
+        y = rng.random() < 0.4
+        rows.append(("email" if rng.random() < 0.7 else "phone", tuple(int(rng.choice([1, 0, -1], p=[0.6, 0.3, 0.1] if y else [0.1, 0.3, 0.6])) for _ in range(pii.LABELERS))))
+    counts = {}
+    for k, v in rows:
+        counts[k, " ".join(map(str, v))] = counts.get((k, " ".join(map(str, v))), 0) + 1
+    got = pii.Reliability().fit([(k, v, n) for (k, v), n in sorted(counts.items())], rounds=20)
+    post = [1 / (1 + np.exp(-sum(v))) for _, v in rows]
+    for _ in range(20):
+        table = np.zeros((2, pii.LABELERS, 3)) + np.array([[[2.0, 1.0, 0.5]], [[0.5, 1.0, 2.0]]])
+        for (_, v), p in zip(rows, post):
+            for i, x in enumerate(v):
+                table[0, i, x + 1] += 1 - p
+                table[1, i, x + 1] += p
+        table /= table.sum(axis=2, keepdims=True)
+        prior = {k: (sum(p for (q, _), p in zip(rows, post) if q == k) + 1) / (sum(q == k for q, _ in rows) + 2) for k in ("email", "phone")}
+        odds = [np.log(prior[k] / (1 - prior[k])) + sum(np.log(table[1, i, x + 1] / table[0, i, x + 1]) for i, x in enumerate(v)) for k, v in rows]
+        post = [1 / (1 + np.exp(-o)) for o in odds]
+    assert np.abs(got.table - table).max() < 1e-9 and all(got.prior[k] == pytest.approx(prior[k]) for k in prior)
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.tuples(st.integers(0, 40), st.integers(1, 12)), max_size=12), st.lists(st.tuples(st.integers(0, 40), st.integers(1, 12)), max_size=8))
+def test_free_spans_are_those_of_the_brute_force(cands, spans):
+    cands = sorted({(s, s + n, "person") for s, n in cands}, key=lambda x: (x[0], -x[1]))
+    spans = [(s, s + n, "ip") for s, n in spans]
+    want, end = [], -1
+    for s, e, k in cands:
+        if s >= end and not any(a < e and s < b for a, b, _ in spans):
+            want.append((s, e, k))
+            end = e
+    assert pii.free(cands, spans) == want
+
+
+def test_recall_of_added_spans_on_planted_data(spark):
+    """Written-out addresses, national numbers and secrets among look-alikes: found, and few look-alikes added."""
+    rng = np.random.default_rng(7)
+    rows, planted = [], 0
+    for i in range(300):
+        kind = i % 6
+        word = "".join(rng.choice(list("abcdefghijklmnop"), 6))
+        text = ["Please write to {w} at {w}mail dot com for details.", "Call 415-555-{n} by phone today.", "The password = \"{w}X9{n}zz\" is set.", "Figure 123-456-{n} in table version of the order.", "We stayed at {w} dot and then left for home.", "Plain words about {w} and nothing else."][kind].format(w=word, n=1000 + i)
+        rows.append((i, text))
+        planted += kind < 3
+    got = {r.doc_id: r.n_added for r in pii.find(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    found = sum(got[i] > 0 for i in got if i % 6 < 3)
+    wrong = sum(got[i] > 0 for i in got if i % 6 >= 4)
+    assert found >= 0.9 * planted and wrong <= 0.05 * 100
+
+
+def test_planted_junk_is_rejected_and_prose_kept(spark, docs):
+    """Symbol soup, bytes without pieces and one repeated token pass the base rule, and fail the bands of their language."""
+    rng = np.random.default_rng(2)
+    soup = " ".join("".join(rng.choice(list("#%&@^~+=/\\"), 9)) for _ in range(80))
+    fallback = " ".join("".join(chr(int(c)) for c in rng.integers(0x12000, 0x12400, 4)) for _ in range(80))
+    letters = " ".join("".join(rng.choice(list("bcdfghjklmnpqrstvwxz"), 8)) for _ in range(80))
+    measured_rows = docs.select("doc_id", "text", "lang").unionByName(spark.createDataFrame([(10**6 + i, t, "en") for i, t in enumerate((soup, fallback, letters))], "doc_id long, text string, lang string"))
+    rows = fertility.judge_fitted(fertility.measure(measured_rows, P.path("piece_bpe_32k.model"), lang_col="lang")).collect()
+    junk = {r.doc_id: r for r in rows if r.doc_id >= 10**6}
+    assert all(not r.base_failed and not r.kept for r in junk.values())
+    rest = [r for r in rows if r.doc_id < 10**6 and not r.base_failed]
+    assert np.mean([r.kept for r in rest]) > 0.8
