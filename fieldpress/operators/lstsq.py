@@ -199,7 +199,12 @@ def full(points: DataFrame, model: FunctionalTucker, method: str = "gram", max_r
 
 
 def solve_small(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Least squares of a matrix that fits the driver; of minimum norm if rows are short."""
+    """Least squares of a matrix that fits the driver, by QR; of minimum norm if rows are short or columns (nearly) dependent."""
+    if a.shape[0] >= a.shape[1] > 0:
+        q, r = np.linalg.qr(a)
+        d = np.abs(np.diag(r))
+        if d.min() > 1e-9 * d.max():
+            return np.linalg.solve(r, q.T @ b)
     return np.linalg.lstsq(a, b, rcond=None)[0]
 
 

@@ -43,7 +43,8 @@ def _transformed(model: FunctionalTucker, kind: str, cols: list[np.ndarray], u:
     def signed(i: int, j: int) -> np.ndarray:
         return np.concatenate([model.design([c[i:j] for c in cols]), u[i:j, None]], axis=1) * sgn[i:j, None]
 
-    if kind == "none" or len(kept) <= np.log2(size + 1) or n > step:
+    # a matrix product for few outputs: it is far faster an operation than the transform of all
+    if kind == "none" or len(kept) <= 16 * np.log2(size + 1) or n > step:
         t = mixers.rows_of(kind, size, kept)
         return sum((t[:, i : min(i + step, n)] @ signed(i, min(i + step, n)) for i in range(0, n, step)), np.zeros((len(kept), r + 1)))
     w = signed(0, n)
