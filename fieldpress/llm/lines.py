@@ -1,9 +1,11 @@
 """Line deduplication over overlapping three-line windows.
 
 A text is cut into lines. Lines end at line breaks and, with ``prose`` (the default), also
-after sentences and inside long sentences, as passages often stand in one long line: after
-the fifth to twelfth word, where a word's last character is one of ``ENDS``, so that the
-cuts follow the words themselves and fall alike in every copy of a passage. Every window of
+after sentences and inside long sentences, as passages often stand in one long line: at
+word ``LEAST`` to ``MOST``, if there after a comma or the like, else after the first word
+that ends in one of the rarer letters of ``ENDS``, else of the next, and so on. So the cuts
+follow the words themselves and fall alike in every copy of a passage (in Latin letters;
+other scripts are cut at punctuation and after ``MOST`` words). Every window of
 three consecutive lines is hashed; windows found more than once are looked up globally,
 each later occurrence covers its three lines, and covered lines go. Text that stays is
 kept byte for byte.
@@ -32,16 +34,28 @@ from .common import unused, written
 BROADCAST_BYTES = 32_000_000
 #: Position 10^9 a document: integral ids and positions are packed in one decimal for the minimum.
 _POSITIONS = 1_000_000_000
-#: Last characters of a word after which a long sentence may be cut: those whose code is a multiple of 4.
-ENDS = "dhlptx,"
-#: A line: up to a line break or a sentence end within 4 words; else from 5 words on also up to a word that ends in one of ENDS; 12 words at most; the rest.
-PROSE = rf"(?:[^ \n]* ){{0,3}}?[^ \n]*(?:\n|[.!?] )|(?:[^ \n]* ){{4,11}}?[^ \n]*(?:\n|[.!?{ENDS}] )|(?:[^ \n]* ){{12}}|[^\n]+"
+#: Words of a line that may be cut, and of the longest line.
+LEAST, MOST = 5, 12
+#: Last letters of a word after which a long sentence is cut: rare ones first.
+ENDS = ("pxfk", "dh", "tl")
+
+
+def _prose(java: bool) -> str:
+    """A line as a pattern. Alternatives in order: an end within fewer than LEAST words; punctuation; a word of each group of ENDS; MOST words; the rest. For Java words are taken whole (possessively) and ends are looked for behind; the other form needs neither and matches the same."""
+    word, few, more = ("[^ \n]*+" if java else "[^ \n]*"), f"{{0,{LEAST - 2}}}?", f"{{{LEAST - 1},{MOST - 1}}}?"
+    after = lambda x: f"{word}(?<=[{x}]) " if java else f"{word}[{x}] "
+    end = lambda x: f"{word}(?:\n|(?<=[{x}]) )" if java else f"{word}(?:\n|[{x}] )"
+    marks = [f"(?:{word} ){more}{end('.!?,;:')}", *[f"(?:{word} ){more}{after(x)}" for x in ENDS]]
+    return "|".join([f"(?:{word} ){few}{end('.!?')}", *marks, f"(?:{word} ){{{MOST}}}", "[^\n]+"])
+
+
+PROSE, PROSE_JAVA = _prose(False), _prose(True)
 PLAIN = r"[^\n]*\n|[^\n]+"
 
 
 def lines_of(text: Column, prose: bool = True) -> Column:
     """The lines with their separators; joined they are the text."""
-    return F.regexp_extract_all(text, F.lit(PROSE if prose else PLAIN), F.lit(0))
+    return F.regexp_extract_all(text, F.lit(PROSE_JAVA if prose else PLAIN), F.lit(0))
 
 
 def windows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", prose: bool = True) -> DataFrame:
@@ -83,17 +97,24 @@ def remove_repeats(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     # a row in memory: two numbers and a header, and 32 bytes for each range
     size = gone.agg(F.sum(F.lit(64) + F.coalesce(F.octet_length(F.col(ids).cast("string")), F.lit(0)) + 32 * F.size(cov))).first()[0] or 0
     both = docs.withColumn(tid, F.hash(text_col)).join(F.broadcast(gone) if size <= broadcast_bytes else gone.hint("merge"), (F.col(id_col) == F.col(ids)) & (F.col(tid) == F.col(key)), "left")
-    lines = lines_of(F.col(text_col), prose)
-    # bound once by the outer lambda; within a lambda other expressions are evaluated for each element
-    bound = F.transform(F.array(lines), lambda a: F.struct(a.alias("a"), _marks(F.col(cov), F.size(a)).alias("gone")))
-    kept = F.array_join(F.element_at(F.transform(bound, lambda s: F.filter(s["a"], lambda x, i: ~F.element_at(s["gone"], i + 1))), 1), "")
-    text = F.when(F.col(cov).isNull(), F.col(text_col)).otherwise(kept)
+    (out,) = unused(both, "out")
+
+    def kept(a: Column) -> Column:  # a is bound by a lambda, and so are its marks: other expressions are evaluated for each element
+        some = F.transform(F.array(_marks(F.col(cov), F.size(a))), lambda gone: F.filter(a, lambda x, i: ~F.element_at(gone, i + 1)))
+        return F.array_join(F.element_at(some, 1), "")
+
+    def row(a: Column) -> Column:
+        return F.struct(F.size(a).alias("n"), F.when(F.col(cov).isNotNull(), kept(a)).alias("text"))
+
+    touched = F.col(cov).isNotNull() if counts is None else F.lit(True)  # lines are cut once a row, and only where they are asked for
+    found = F.when(touched, F.element_at(F.transform(F.array(lines_of(F.col(text_col), prose)), row), 1))
+    made = both.withColumn(out, found)
+    text = F.when(F.col(cov).isNull(), F.col(text_col)).otherwise(F.col(f"{out}.text"))
     if counts is None:
-        return both.withColumn(text_col, text).select(*docs.columns)
-    n_lines = F.coalesce(F.size(lines), F.lit(0)) if prose else F.regexp_count(text_col, F.lit(PLAIN))
+        return made.withColumn(text_col, text).select(*docs.columns)
     n_gone = F.coalesce(F.aggregate(cov, F.lit(0), lambda n, r: n + r["b"] - r["a"]), F.lit(0))
-    out = both.withColumns({counts[0]: F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(n_lines).cast("long"), counts[1]: n_gone.cast("long"), text_col: text})
-    return out.select(*docs.columns, *counts)
+    n_lines = F.when(F.col(text_col).isNull(), F.lit(0)).otherwise(F.col(f"{out}.n"))
+    return made.withColumns({counts[0]: n_lines.cast("long"), counts[1]: n_gone.cast("long"), text_col: text}).select(*docs.columns, *counts)
 
 
 def _marks(ranges: Column, n: Column) -> Column:

@@ -291,25 +291,32 @@ def test_short_lines_are_windows_too(spark):
 
 def slow_lines(text, prose=True):
     """The cutting rule word by word."""
-    out, line, n = [], "", 0
-    for piece in re.findall(r"[^ \n]*(?: |\n|$)", text):
-        line, n = line + piece, n + 1
-        word = piece[:-1]
-        end = piece.endswith("\n")
-        if prose and piece.endswith(" "):
-            end = word[-1:] in tuple(".!?") and word != "" or n >= 5 and word[-1:] in tuple(lines.ENDS) and word != "" or n == 12
-        if end:
-            out.append(line)
-            line, n = "", 0
-    return out + ([line] if line else [])
+    out = []
+    while text:
+        words = re.findall(r"[^ \n]*[ \n]", text)[: lines.MOST]  # the last piece has no separator and ends nothing
+        words = words[: next((i + 1 for i, w in enumerate(words) if w.endswith("\n")), len(words))]
+        n = 0
+        if prose:
+            ends = lambda w, marks: w.endswith("\n") or w[:-1][-1:] in marks and len(w) > 1
+            first = [i + 1 for i, w in enumerate(words[: lines.LEAST - 1]) if ends(w, tuple(".!?"))]
+            later = [[i + 1 for i, w in enumerate(words) if i + 1 >= lines.LEAST and (ends(w, tuple(m)) if m[0] == "." else len(w) > 1 and w[-1] == " " and w[-2] in m)] for m in (".!?,;:", *lines.ENDS)]
+            n = next((x[0] for x in [first, *later] if x), lines.MOST if len(words) == lines.MOST and not words[-1].endswith("\n") else 0)
+            cut = "".join(words[:n])
+        if not n:
+            cut = text[: text.index("\n")] if "\n" in text else text
+            cut = cut + "\n" if not prose and "\n" in text else cut
+        out.append(cut)
+        text = text[len(cut) :]
+    return out
 
 
 @settings(max_examples=300, deadline=None)
-@given(st.text(alphabet="ad.,! \n", max_size=120), st.booleans())
+@given(st.text(alphabet="adtk.,!    \n", max_size=160), st.booleans())
 def test_lines_are_those_of_the_rule(text, prose):
-    pattern = re.compile(lines.PROSE if prose else lines.PLAIN)
-    got = pattern.findall(text)
-    assert "".join(got) == text and got == slow_lines(text, prose)
+    want = slow_lines(text, prose)
+    assert "".join(want) == text
+    for pattern in (lines.PROSE, lines.PROSE_JAVA) if prose else (lines.PLAIN,):
+        assert re.findall(pattern, text) == want
 
 
 def slow_removal(rows, prose=True):
