@@ -258,9 +258,9 @@ def core_decay(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.core_decay(df).where("abs_core > 1e-6").select("rank", q("abs_core").alias("abs_core"), q("cum_energy", 9).alias("cum_energy"))
 
 
-@query("SELECT count(DISTINCT l_quantity)::INTEGER AS r1, count(DISTINCT floor(l_discount * 100 + 0.5))::INTEGER AS r2, count(DISTINCT least(floor((p_retailprice - 900) / 5), 19))::INTEGER AS r3 FROM lineitem JOIN part ON l_partkey = p_partkey")
+@query("SELECT least(n1, n2 * n3)::INTEGER AS r1, least(n2, n1 * n3)::INTEGER AS r2, least(n3, n1 * n2)::INTEGER AS r3 FROM (SELECT count(DISTINCT l_quantity) AS n1, count(DISTINCT floor(l_discount * 100 + 0.5)) AS n2, count(DISTINCT least(floor((p_retailprice - 900) / 5), 19)) AS n3 FROM lineitem JOIN part ON l_partkey = p_partkey)")
 def noise_control(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean raw price by quantity, discount and retail bucket does not compress: every rank is the number of levels."""
+    """Mean raw price by quantity, discount and retail bucket does not compress: every rank is the number of levels (or of the other axes' cells, where that is less)."""
     part = tables.table(spark, sf_dir, "part").select("p_partkey", "p_retailprice")
     j = tables.table(spark, sf_dir, "lineitem").select("l_partkey", "l_quantity", "l_discount", "l_extendedprice").join(part, F.col("l_partkey") == F.col("p_partkey"))
     cells = j.select((F.col("l_quantity") - 1).cast("int").alias("i1"), F.floor(F.col("l_discount") * 100 + 0.5).cast("int").alias("i2"), F.least(F.floor((F.col("p_retailprice") - 900) / 5), F.lit(19)).cast("int").alias("i3"), "l_extendedprice")
