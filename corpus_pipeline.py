@@ -3,6 +3,12 @@
 Each stage is (name, function); a function takes (spark, docs, sf_dir) and returns a
 DataFrame. ``run`` writes each stage's rows to the shared folder and gives them to the
 next, so a lost executor costs one stage at most.
+
+Defined cases, in every stage: an empty table gives an empty one; other columns go through
+unchanged, whatever their names; repeated rows are judged each (near-duplicates: rows of one
+id are one document); a null text has no words, lines or windows and is scored, compared and
+encoded as an empty one (line dedup leaves it null); a row with a null id is scored and
+decontaminated like any, and kept by line dedup and near-dedup.
 """
 
 from __future__ import annotations
