@@ -11,8 +11,9 @@ driver (bounded). Scoring is row
 by row.
 
 Defined cases: a null or empty text has the structure features of an empty text and is
-scored like any; null metadata is a bucket of its own; rows with a null label or id are
-not learned from; without labels of both kinds the score is the prior (0.5 with none).
+scored like any; a machine scores with the metadata that it was learned with, and null or
+no metadata (a column that the table lacks, or not a number) is a bucket of its own; rows
+with a null label or id are not learned from; without labels of both kinds the score is the prior (0.5 with none).
 """
 
 from __future__ import annotations
@@ -99,8 +100,9 @@ class Features:
 
 
 class Machine:
-    def __init__(self, size: int, rank: int = RANK, seed: int = 7):
+    def __init__(self, size: int, rank: int = RANK, seed: int = 7, metadata: tuple[str, ...] = ()):
         rng = np.random.default_rng(seed)
+        self.metadata = tuple(metadata)
         self.w0, self.w = 0.0, np.zeros(size, np.float32)
         self.v = rng.normal(0, 0.02, (size, rank)).astype(np.float32)
 
@@ -145,12 +147,16 @@ class Machine:
         return self
 
 
+def _metadata(docs: DataFrame, names: tuple[str, ...]) -> list:
+    return [F.col(f"`{m}`").try_cast("double") if m in docs.columns else F.lit(None).cast("double") for m in names]
+
+
 def learn(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", metadata: tuple[str, ...] = (), sample: int = SAMPLE, bits: int = BITS) -> Machine:
     """Fits on about ``sample`` labelled rows at most. ``labels`` holds the rows that may be learned from."""
     usable = labels.filter(F.col(id_col).isNotNull() & F.col(label_col).isin(0, 1)).groupBy(F.col(id_col).alias("k")).agg(F.max(label_col).cast("int").alias("y"))
     share = sample / max(1, usable.count())
     picked = usable.filter(F.pmod(F.xxhash64(F.col("k").cast("string")), F.lit(1 << 30)) / float(1 << 30) < share)
-    src = docs.select(F.col(id_col).alias("k"), F.col(text_col).alias("text"), *[F.col(m).cast("double").alias(f"m{i}") for i, m in enumerate(metadata)])
+    src = docs.select(F.col(id_col).alias("k"), F.col(text_col).alias("text"), *[c.alias(f"m{i}") for i, c in enumerate(_metadata(docs, metadata))])
     joined = src.join(F.broadcast(picked), "k")
     # ids may repeat in docs: the rows are counted (ids alone are read) and thinned by their texts' hashes
     rows = docs.select(F.col(id_col).alias("k")).join(F.broadcast(picked), "k").count()
@@ -172,17 +178,18 @@ def learn(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_co
 
     rows = sorted((r.h, r.idx, r.val, r.y) for r in map_batches(joined, work, schema).collect())
     data = [(np.frombuffer(r[1], np.int32), np.frombuffer(r[2], np.float32)) for r in rows]
-    return Machine(Features(bits, len(metadata)).size).fit(data, np.array([r[3] for r in rows], np.float32))
+    return Machine(Features(bits, len(metadata)).size, metadata=metadata).fit(data, np.array([r[3] for r in rows], np.float32))
 
 
-def score(docs: DataFrame, machine: Machine, *, id_col: str = "doc_id", text_col: str = "text", metadata: tuple[str, ...] = (), bits: int = BITS) -> DataFrame:
+def score(docs: DataFrame, machine: Machine, *, id_col: str = "doc_id", text_col: str = "text", bits: int = BITS) -> DataFrame:
     """doc_id and score (0 to 1) of every row."""
-    src = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[F.col(m).cast("double").alias(f"m{i}") for i, m in enumerate(metadata)])
+    src = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[c.alias(f"m{i}") for i, c in enumerate(_metadata(docs, machine.metadata))])
     schema = T.StructType([src.schema["doc_id"], T.StructField("score", T.DoubleType())])
-    return map_batches(src, lambda: _score_batch(machine, len(metadata), bits, "doc_id"), schema)
+    return map_batches(src, lambda: _score_batch(machine, bits, "doc_id"), schema)
 
 
-def _score_batch(machine: Machine, n_meta: int, bits: int, id_name: str):
+def _score_batch(machine: Machine, bits: int, id_name: str):
+    n_meta = len(machine.metadata)
     feats = Features(bits, n_meta)
 
     def act(batch: pa.RecordBatch) -> dict:
@@ -196,10 +203,10 @@ def _score_batch(machine: Machine, n_meta: int, bits: int, id_name: str):
     return act
 
 
-def keep_good(docs: DataFrame, machine: Machine, threshold: float, *, text_col: str = "text", metadata: tuple[str, ...] = (), bits: int = BITS) -> DataFrame:
+def keep_good(docs: DataFrame, machine: Machine, threshold: float, *, text_col: str = "text", bits: int = BITS) -> DataFrame:
     """The rows of docs with a score of at least ``threshold``, with all their columns and no shuffle."""
     (name,) = unused(docs, "quality_score")
-    n_meta = len(metadata)
+    n_meta = len(machine.metadata)
 
     @F.pandas_udf("double")
     def marks(batches: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.Series]:
@@ -209,5 +216,5 @@ def keep_good(docs: DataFrame, machine: Machine, threshold: float, *, text_col:
             yield pd.Series(1 / (1 + np.exp(-np.clip(np.array(found, float), -30, 30))))
 
     # a second column even without metadata: the iterator then always holds tuples
-    cols = [F.col(text_col), *([F.col(m).cast("double") for m in metadata] or [F.lit(0.0)])]
+    cols = [F.col(text_col), *(_metadata(docs, machine.metadata) or [F.lit(0.0)])]
     return docs.withColumn(name, marks(*cols)).filter(F.col(name) >= threshold).drop(name)

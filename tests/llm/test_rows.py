@@ -217,8 +217,8 @@ def test_quality_of_held_out_documents(spark, sf, odd, none):
 def test_quality_with_metadata_and_without_labels(spark, docs, none):
     labels = spark.createDataFrame([(i, i % 2) for i in range(40)], "doc_id long, quality int")
     m = quality.learn(docs, labels, metadata=("n_chars",))
-    assert quality.score(docs, m, metadata=("n_chars",)).count() == docs.count()
-    assert quality.keep_good(docs, m, 0.0, metadata=("n_chars",)).count() == docs.count()
+    assert quality.score(docs, m).count() == docs.count()
+    assert quality.keep_good(docs, m, 0.0).count() == docs.count()
     empty = quality.learn(docs, labels.where("false"))
     assert {round(r.score, 1) for r in quality.score(docs.limit(5), empty).collect()} == {0.5}
 
