@@ -23,7 +23,7 @@ def signs(points: DataFrame, seed: int | str = 0) -> DataFrame:
 def blocks(points: DataFrame, b: int, seed: int | str = 0, total: int | None = None) -> DataFrame:
     """Adds blk and h (order within the block): blocks of about b rows by hash. A shuffle of narrow rows follows when they are gathered."""
     n = points.count() if total is None else total
-    count = max(1, round(n / b))
+    count = max(1, (2 * n + b) // (2 * b))  # halves go up, as in SQL
     return points.withColumn("blk", F.pmod(hash_int(F.col("pt_key"), f"mix{seed}", 0), F.lit(count)).cast("long")).withColumn("h", hash_int(F.col("pt_key"), f"mix{seed}", 1))
 
 
