@@ -32,7 +32,15 @@ MAX_SKETCH = 1_000_000_000
 
 def draw(blk: int, n: int, seed: int | str) -> np.ndarray:
     """Uniform numbers for the n outputs of a block, by MD5: a retried task, or DuckDB, draws the same."""
-    return np.array([int(hashlib.md5(f"{blk}-{i}/{seed}".encode()).hexdigest()[:8], 16) for i in range(n)]) / 4294967296.0
+    return np.array([int.from_bytes(hashlib.md5(f"{blk}-{i}/{seed}".encode()).digest()[:4]) for i in range(n)]) / 4294967296.0
+
+
+def _drawn(kind: str, share: float, seed: int | str, blk: int, n: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """(draws, outputs, length of the transform) that a block of n rows keeps."""
+    size = 1 << max(0, n - 1).bit_length() if kind == "wht" else n
+    h = draw(blk, size, seed)
+    kept = np.flatnonzero(h < share * n / size)
+    return h[kept] * (size / n), kept, size
 
 
 def _transformed(model: FunctionalTucker, kind: str, cols: list[np.ndarray], u: np.ndarray, sgn: np.ndarray, size: int, kept: np.ndarray) -> np.ndarray:
@@ -55,14 +63,39 @@ def _transformed(model: FunctionalTucker, kind: str, cols: list[np.ndarray], u:
 
 def _block_outputs(model: FunctionalTucker, kind: str, share: float, seed: int | str, blk: int, cols: list[np.ndarray], u: np.ndarray, sgn: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
     """(draws, outputs, rows) of a block, or None if no output is drawn."""
-    n = size = len(u)
-    if kind == "wht":
-        size = 1 << max(0, n - 1).bit_length()
-    h = draw(blk, size, seed)
-    kept = np.flatnonzero(h < share * n / size)
-    if not len(kept):
-        return None
-    return h[kept] * (size / n), kept, _transformed(model, kind, cols, u, sgn, size, kept)
+    h, kept, size = _drawn(kind, share, seed, blk, len(u))
+    return (h, kept, _transformed(model, kind, cols, u, sgn, size, kept)) if len(kept) else None
+
+
+#: Drawn blocks that are looked up in a broadcast.
+MAX_DRAWN = 1_000_000
+
+
+def of_drawn_blocks(rows: DataFrame, share: float, kind: str, b: int, seed: int | str, total: int) -> DataFrame:
+    """rows (with blk) without the blocks of which no output is drawn, where these are most: draws need only a block's number and size, so one count by block tells, and all other rows stay out of the shuffle. The sketch is the same."""
+    if share * b > 0.25 or share * total > MAX_DRAWN:
+        return rows
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            hit = [k for k, n in zip(batch.column("blk").to_pylist(), batch.column("n").to_pylist()) if len(_drawn(kind, share, seed, k, n)[1])]
+            yield pa.RecordBatch.from_arrays([pa.array(hit, pa.int64())], names=["blk"])
+
+    sizes = rows.groupBy("blk").agg(F.count(F.lit(1)).alias("n"))
+    hit = sizes.repartition(max(1, rows.sparkSession.sparkContext.defaultParallelism)).mapInArrow(run, "blk long")
+    return rows.join(F.broadcast(hit), "blk", "left_semi")
+
+
+def share_of(s: int, q: int) -> float:
+    """A little more than s of q, so that the s smallest draws are among them."""
+    return min(1.0, (s + 5 * np.sqrt(s) + 10) / max(q, 1))
+
+
+def drawn_points(points: DataFrame, d: int, s: int, kind: str = "dft", b: int = 1024, seed: int = 0, total: int | None = None) -> DataFrame:
+    """The points that s mixed rows are made of, for several sketches of the same points: with the same total their sketches are those of all points."""
+    q = points.count() if total is None else total
+    src = mixing.blocks(points.select("pt_key", *coords(d), "u"), b, seed, q)
+    return of_drawn_blocks(src, share_of(s, q), kind, b, seed, q).select("pt_key", *coords(d), "u")
 
 
 def mixed_rows(points: DataFrame, model: FunctionalTucker, share: float, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None) -> DataFrame:
@@ -116,7 +149,9 @@ def mixed_rows(points: DataFrame, model: FunctionalTucker, share: float, kind: s
         got = _block_outputs(model, kind, share, seed, blk, [t.column(c).to_numpy() for c in coords(d)], t.column("u").to_numpy(), t.column("sgn").to_numpy())
         return _ROWS.empty_table() if got is None else pa.Table.from_arrays(list(record(blk, got)), schema=_ROWS)
 
-    return mixing.blocks(src, b, seed, total).groupBy("blk").applyInArrow(run, "h double, blk long, out int, row array<double>")
+    q = points.count() if total is None else total
+    kept = of_drawn_blocks(mixing.blocks(src, b, seed, q), share, kind, b, seed, q)
+    return kept.groupBy("blk").applyInArrow(run, "h double, blk long, out int, row array<double>")
 
 
 def global_outputs(points: DataFrame, q: int, s: int, seed: int = 0) -> list[int]:
@@ -186,7 +221,7 @@ def collect_sketch(rows: DataFrame, s: int, r: int) -> tuple[np.ndarray, np.ndar
 
 
 def sketch(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """s uniformly drawn mixed rows. A little more than the share is let through, so that the s smallest draws are among them."""
+    """s uniformly drawn mixed rows."""
     q = points.count() if total is None else total
     if scope == "global":
         if kind != "dft":
@@ -194,8 +229,7 @@ def sketch(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "dft"
         if s * (model.R + 1) * 8 > MAX_SKETCH:
             raise ValueError(f"a sketch of {s} x {model.R + 1} numbers is more than {MAX_SKETCH} bytes: use scope='block'")
         return global_rows(points, model, s, seed, q)
-    share = min(1.0, (s + 5 * np.sqrt(s) + 10) / max(q, 1))
-    return collect_sketch(mixed_rows(points, model, share, kind, b, scope, seed, q), s, model.R)
+    return collect_sketch(mixed_rows(points, model, share_of(s, q), kind, b, scope, seed, q), s, model.R)
 
 
 def solve_sketch(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "dft", b: int = 1024, scope: str = "block", seed: int = 0, total: int | None = None, max_bytes: int | None = None) -> Solution:
@@ -297,26 +331,37 @@ def leverage_ls(points: DataFrame, model: FunctionalTucker, s: int, seed: int =
 
 def projected(points: DataFrame, model: FunctionalTucker, s: int, kind: str = "sparse_sign", seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """sparse_sign: every row goes with a sign to one of s buckets, which are summed. gauss: s Gaussian combinations of all rows. Each task adds into one s x (R + 1) block."""
+    return projections(points, model, [s], kind, seed)[0]
+
+
+def projections(points: DataFrame, model: FunctionalTucker, sizes: list[int], kind: str = "sparse_sign", seed: int = 0) -> list[tuple[np.ndarray, np.ndarray]]:
+    """``projected`` for several s in one scan: buckets of each size, or the first of the most Gaussian combinations (a row's numbers are drawn in order)."""
     d, r = model.d, model.R
-    if s * (r + 1) * 8 > MAX_SKETCH:
+    starts = np.cumsum([0, *sizes]) if kind == "sparse_sign" else np.array([0, max(sizes)])
+    height = int(starts[-1])
+    if height * (r + 1) * 8 > MAX_SKETCH:
         raise ValueError("the sketch is too large for one block")
     src = points.select(*coords(d), "u", mixing.sign_of(F.col("pt_key"), seed).alias("sgn"), hash_int(F.col("pt_key"), f"mix{seed}", 3).alias("bkt"))
 
     def make(batches):
-        out = np.zeros((s, r + 1))
+        out = np.zeros((height, r + 1))
         for batch in batches:
-            for part in slices(batch, max(r, s)):
+            for part in slices(batch, max(r, max(sizes))):
                 w = np.concatenate([model.design(columns(part, d)), part.column("u").to_numpy(zero_copy_only=False)[:, None]], axis=1)
                 bkt = part.column("bkt").to_numpy()
                 if kind == "sparse_sign":
-                    np.add.at(out, bkt % s, w * part.column("sgn").to_numpy()[:, None])
+                    signed = w * part.column("sgn").to_numpy()[:, None]
+                    for at, s in zip(starts, sizes):
+                        for j in range(r + 1):
+                            out[at : at + s, j] += np.bincount(bkt % s, signed[:, j], s)
                 elif kind == "gauss":
-                    g = np.stack([np.random.default_rng([int(x), seed]).standard_normal(s) for x in bkt], axis=1)
-                    out += g @ w / np.sqrt(s)
+                    g = np.stack([np.random.default_rng([int(x), seed]).standard_normal(height) for x in bkt], axis=1)
+                    out += g @ w
                 else:
                     raise ValueError(f"unknown projection {kind!r}")
         return out
 
-    block = sum_blocks(src, make, (s, r + 1))
-    block = np.zeros((s, r + 1)) if block is None else block
-    return block[:, :r], block[:, r]
+    block = sum_blocks(src, make, (height, r + 1))
+    block = np.zeros((height, r + 1)) if block is None else block
+    parts = [block[at : at + s] for at, s in zip(starts, sizes)] if kind == "sparse_sign" else [block[:s] / np.sqrt(s) for s in sizes]
+    return [(x[:, :r], x[:, r]) for x in parts]
